@@ -66,7 +66,7 @@ def sentence_ids(text: Column, sentences: dict[str, str] | None = None) -> Colum
     known = F.create_map(*[F.lit(x) for name, s in sentences.items() for x in (s, name)])
     cut = F.split(F.translate(F.coalesce(text, F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), r"[\n\r]+|[.!?]+[ \t]+|[.!?]+(?![\s\S])")
     likely = F.filter(cut, lambda s: F.substring(s, 1, 1000).rlike(_starts(sentences)))
-    plain = F.transform(likely, lambda s: F.rtrim(F.lit(" ."), F.trim(F.regexp_replace(s, NOISE, " "))))
+    plain = F.transform(likely, lambda s: F.rtrim(F.trim(F.regexp_replace(s, NOISE, " ")), F.lit(" .")))
     return F.filter(F.transform(plain, lambda s: F.try_element_at(known, s)), lambda i: i.isNotNull())
 
 
