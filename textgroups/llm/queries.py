@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from textgroups.llm import exact_dedup, license_scan, mixing, packing, quality, sharding, simhash, token_cache
+from textgroups.llm import exact_dedup, lang_id, license_scan, lm_score, mixing, packing, quality, sharding, simhash, token_cache
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -23,6 +23,10 @@ def op2_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.array_join("sentence_ids", " ").alias("sentence_ids"), F.array_join("licenses", ",").alias("licenses"), "n_licenses")
 
 
+def op3_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_score.score_held_out(_docs(spark, sf_dir))
+
+
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.place(_docs(spark, sf_dir).select("doc_id")).select("doc_id", "slot", "shard")
 
@@ -44,12 +48,16 @@ def op8_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.deduplicate(_docs(spark, sf_dir))
 
 
+def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lang_id.identify(_docs(spark, sf_dir))
+
+
 def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_groups(_docs(spark, sf_dir))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mixing, op2_license_scan, op4_sharding, op5_quality_rules, op6_token_counts, op7_best_fit_packing, op8_exact_dedup, op10_simhash)}
+    return {f.__name__: f for f in (op1_mixing, op2_license_scan, op3_lm_score, op4_sharding, op5_quality_rules, op6_token_counts, op7_best_fit_packing, op8_exact_dedup, op9_language_id, op10_simhash)}
 
 
 def oracle_sql() -> dict[str, str]:
