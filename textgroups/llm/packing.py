@@ -16,6 +16,7 @@ Defined results: a null text is empty and gives one piece, the end id; repeated
 from __future__ import annotations
 
 import heapq
+import os
 import zlib
 from collections import defaultdict
 from collections.abc import Iterator
@@ -48,6 +49,7 @@ class WordIds:
     """
 
     def __init__(self, path: str):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
         from tokenizers import Tokenizer
 
         self.encoder = Tokenizer.from_file(path)
