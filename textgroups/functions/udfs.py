@@ -27,11 +27,11 @@ def l2norm(a: pd.Series) -> pd.Series:
     return a.map(lambda x: None if x is None else float(np.sqrt((np.asarray(x, float) ** 2).sum()))).astype(float)
 
 
-@F.pandas_udf("struct<n: long, ls: array<double>, ss: double>")
-def cf_triple(x: pd.Series) -> dict:
-    """Count, linear sum and square sum of a group of arrays (DM7)."""
+@F.pandas_udf("array<double>")
+def cf_triple(x: pd.Series) -> list:
+    """Count, square sum and linear sum of a group of arrays (DM7), as one array (n, ss, ls...)."""
     m = np.stack([np.asarray(v, float) for v in x]) if len(x) else np.zeros((0, 0))
-    return {"n": len(m), "ls": m.sum(axis=0).tolist(), "ss": float((m * m).sum())}
+    return [float(len(m)), float((m * m).sum()), *m.sum(axis=0).tolist()]
 
 
 @F.pandas_udf("double")

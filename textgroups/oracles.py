@@ -96,8 +96,8 @@ def first_groups(linked: str) -> list[tuple[str, str]]:
 
 def closure_groups(linked: str) -> list[tuple[str, str]]:
     return [
-        ("both", f"SELECT a, b FROM {linked} UNION ALL SELECT b, a FROM {linked}"),
-        ("reach", "SELECT mc, mc AS x FROM head UNION SELECT r.mc, both.b FROM reach r JOIN both ON both.a = r.x"),
+        ("twoway", f"SELECT a, b FROM {linked} UNION ALL SELECT b, a FROM {linked}"),
+        ("reach", "SELECT mc, mc AS x FROM head UNION SELECT r.mc, w.b FROM reach r JOIN twoway w ON w.a = r.x"),
         ("roots", "SELECT mc, min(x) AS root FROM reach GROUP BY mc"),
         ("groups", "SELECT mc, dense_rank() OVER (ORDER BY root) - 1 AS g FROM roots"),
     ]
@@ -116,7 +116,8 @@ def micro_labels(k: int, m: int) -> list[tuple[str, str]]:
     ]
 
 
-def sample(s: int) -> list[tuple[str, str]]:
+def sample(s: int | str) -> list[tuple[str, str]]:
+    """The first ``s`` documents of the draw; ``s`` is a number or a scalar query."""
     return [
         ("smp", f"SELECT doc_id, rk FROM ord WHERE rk < {s}"),
         ("sp", "SELECT doc_id, term, wq FROM post JOIN smp USING (doc_id)"),
@@ -141,9 +142,9 @@ def single_link(k: int) -> list[tuple[str, str]]:
     ]
 
 
-def sampleseed(k: int, s: int, rounds: int, reassign: bool = False) -> list[tuple[str, str]]:
-    """Last labels are ``r{rounds}``."""
-    out = [*sample(s), *single_link(k), *means("seeded", "k0"), ("rest", "SELECT doc_id FROM ids WHERE doc_id NOT IN (SELECT doc_id FROM smp)")]
+def sampleseed(k: int, rounds: int, reassign: bool = False) -> list[tuple[str, str]]:
+    """Last labels are ``r{rounds}``; the sample has sqrt(k n) documents."""
+    out = [*sample(f"(SELECT CAST(ceil(sqrt({k} * count(*)::DOUBLE)) AS BIGINT) FROM ids)"), *single_link(k), *means("seeded", "k0"), ("rest", "SELECT doc_id FROM ids WHERE doc_id NOT IN (SELECT doc_id FROM smp)")]
     for i in range(1, rounds + 1):
         if reassign:
             out += labels(f"k{i - 1}", f"r{i}")

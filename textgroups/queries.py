@@ -465,7 +465,7 @@ def best_pair(spark, sf_dir):
     return _sims(relational.best_pair(hac.pairwise_sim(v, draw_sample(v.packed.select("doc_id"), 100))), "sim")
 
 
-_THRESHOLD = O.with_([*P, *O.sample(200), ("both", f"SELECT a, b FROM sdot WHERE dp >= {FULL} * 0.5"), ("reach", "SELECT doc_id, doc_id AS x FROM smp UNION SELECT r.doc_id, both.b FROM reach r JOIN both ON both.a = r.x")], "SELECT doc_id AS node, min(x) AS comp FROM reach GROUP BY doc_id")
+_THRESHOLD = O.with_([*P, *O.sample(200), ("twoway", f"SELECT a, b FROM sdot WHERE dp >= {FULL} * 0.5"), ("reach", "SELECT doc_id, doc_id AS x FROM smp UNION SELECT r.doc_id, w.b FROM reach r JOIN twoway w ON w.a = r.x")], "SELECT doc_id AS node, min(x) AS comp FROM reach GROUP BY doc_id")
 
 
 def _threshold_edges(spark, sf_dir) -> DataFrame:
@@ -539,14 +539,14 @@ def _sample_query(name: str, rounds: int, reassign: bool):
         return sample_of(spark, sf_dir, rounds, reassign).assign.select("doc_id", "cluster_id")
 
     run.__name__ = name
-    query(O.with_([*D, *O.sampleseed(K, 100, rounds, reassign)], f"SELECT doc_id, c AS cluster_id FROM r{rounds}"))(run)
+    query(O.with_([*D, *O.sampleseed(K, rounds, reassign)], f"SELECT doc_id, c AS cluster_id FROM r{rounds}"))(run)
 
 
 for _n, _rr, _re in (("sampleseed_r1", 1, False), ("sampleseed_r2", 2, False), ("sampleseed_r3", 3, False), ("sampleseed_reassign", 2, True)):
     _sample_query(_n, _rr, _re)
 
 
-@query(O.with_([*D, *O.sampleseed(K, 100, 1)], "SELECT side, count(*) AS n FROM (SELECT 'fixed' AS side FROM seeded UNION ALL SELECT 'attached' FROM t1) GROUP BY side"))
+@query(O.with_([*D, *O.sampleseed(K, 1)], "SELECT side, count(*) AS n FROM (SELECT 'fixed' AS side FROM seeded UNION ALL SELECT 'attached' FROM t1) GROUP BY side"))
 def label_union(spark, sf_dir):
     """H10, O17"""
     got = sample_of(spark, sf_dir, 1)
@@ -663,7 +663,7 @@ def cluster_purity(spark, sf_dir):
 def external_measures(spark, sf_dir):
     """M11"""
     got = metrics.external(lloyd_of(spark, sf_dir).assign, docs_of(spark, sf_dir), "lang")
-    return spark.createDataFrame(list(got.items()), "measure string, value double")
+    return spark.createDataFrame([(m, float(x)) for m, x in got.items()], "measure string, value double")
 
 
 @query(O.with_([*D, *O.lloyd(K, 3)], "SELECT c AS cluster_id, count(*) AS n, round(count(*) / avg(count(*)) OVER (), 6) AS share_of_mean FROM l3 GROUP BY c"))
@@ -800,7 +800,7 @@ def ntile_sim(spark, sf_dir):
     return lloyd_of(spark, sf_dir).assign.select("doc_id", F.ntile(10).over(w).alias("tile"), F.round(F.percent_rank().over(w), 6).alias("pr"))
 
 
-@query(O.with_(L3, f"SELECT cluster_id, doc_id, round(sum(1 - sim) OVER (PARTITION BY cluster_id ORDER BY sim DESC, doc_id ROWS UNBOUNDED PRECEDING), 4) AS running FROM {_LAB}"))
+@query(O.with_(L3, f"SELECT cluster_id, doc_id, round(sum(1 - sim) OVER (PARTITION BY cluster_id ORDER BY sim DESC, doc_id ROWS UNBOUNDED PRECEDING), 4) + 0.0 AS running FROM {_LAB}"))
 def running_rss(spark, sf_dir):
     """O23"""
     w = Window.partitionBy("cluster_id").orderBy(F.desc("sim"), "doc_id").rowsBetween(Window.unboundedPreceding, 0)
@@ -850,9 +850,9 @@ def exact_copies(spark, sf_dir):
     return relational.exact_copies(docs_of(spark, sf_dir))
 
 
-@query("SELECT doc_id, length(text) AS chars, length(regexp_replace(text, '[^0-9]', '', 'g')) AS digits, upper(substring(text, 1, 5)) AS head, md5(concat_ws('|', lang, source)) AS tag FROM documents")
+@query("SELECT doc_id, length(text) AS chars, length(regexp_replace(text, '[^0-9]', '', 'g')) AS digits, lower(substring(text, 1, 5)) AS head, md5(concat_ws('|', lang, source)) AS tag FROM documents")
 def text_stats(spark, sf_dir):
-    return docs_of(spark, sf_dir).select("doc_id", F.length("text").cast("long").alias("chars"), F.length(F.regexp_replace("text", "[^0-9]", "")).cast("long").alias("digits"), F.upper(F.substring("text", 1, 5)).alias("head"), F.md5(F.concat_ws("|", "lang", "source")).alias("tag"))
+    return docs_of(spark, sf_dir).select("doc_id", F.length("text").cast("long").alias("chars"), F.length(F.regexp_replace("text", "[^0-9]", "")).cast("long").alias("digits"), F.lower(F.substring("text", 1, 5)).alias("head"), F.md5(F.concat_ws("|", "lang", "source")).alias("tag"))
 
 
 @query("SELECT item_id, trim(regexp_replace(lower(text), '[^a-z0-9]+', ' ', 'g')) AS plain FROM benchmark")
@@ -1014,7 +1014,7 @@ def udaf_cf(spark, sf_dir):
     """O36"""
     from textgroups.functions.udfs import cf_triple
 
-    return load(spark, sf_dir, "embeddings").groupBy("label").agg(cf_triple("embedding").alias("cf")).select("label", F.col("cf.n").alias("n"), F.round("cf.ss", 4).alias("ss"))
+    return load(spark, sf_dir, "embeddings").groupBy("label").agg(cf_triple("embedding").alias("cf")).select("label", F.element_at("cf", 1).cast("long").alias("n"), F.round(F.element_at("cf", 2), 4).alias("ss"))
 
 
 @query("SELECT item_id, term, count(*) AS n FROM (SELECT item_id, unnest(string_split_regex(lower(text), '[^\\p{L}\\p{N}]+')) AS term FROM benchmark) WHERE term <> '' GROUP BY 1, 2")
