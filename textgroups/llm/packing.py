@@ -21,6 +21,7 @@ import zlib
 from collections import defaultdict
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import chain
 
 import numpy as np
 import public_tokenizers
@@ -41,11 +42,17 @@ CACHE_WORDS = 600_000
 BUCKET_ROWS = 20_000
 
 
+#: A word of letters with ASCII punctuation behind it: the tokenizer splits it there. The one letter whose lower case
+#: holds a mark (dotted capital I) is not split from what follows.
+_LETTERS_THEN_MARKS = r"^(?P<head>[^\P{L}\x{0130}]+)(?P<tail>[!-/:-@\[-`{-~]+)$"
+
+
 class WordIds:
     """Token ids of words, remembered between batches.
 
     Exact for tokenizers that drop white space and whose pre-tokens never span it, as the one used here: the ids of a
-    text are those of its words one after the other. Special strings hold no white space either.
+    text are those of its words one after the other, and the ids of letters followed by marks are those of the two
+    parts. The tokenizer lower-cases, so A-Z are lower-cased first, except where a text may hold a special string.
     """
 
     def __init__(self, path: str):
@@ -58,7 +65,7 @@ class WordIds:
         self.clear()
 
     def clear(self) -> None:
-        self.place: dict[str, int] = {}
+        self.place: dict[str, int] = {"": 0}
         self.ids = np.zeros(1 << 20, np.uint32)
         self.sizes = np.zeros(1 << 16, np.int32)
         self.begins = np.zeros(1 << 16, np.int64)
@@ -76,7 +83,7 @@ class WordIds:
             part = words[i : i + 20_000]
             found = [e.ids for e in self.encoder.encode_batch_fast(part, add_special_tokens=False)]
             sizes = np.fromiter(map(len, found), np.int32, len(found))
-            flat = np.fromiter((x for ids in found for x in ids), np.uint32, int(sizes.sum()))
+            flat = np.fromiter(chain.from_iterable(found), np.uint32, int(sizes.sum()))
             n = len(self.place)
             self._room("sizes", n + len(part))
             self._room("begins", n + len(part))
@@ -87,23 +94,39 @@ class WordIds:
             self.used += len(flat)
             self.place.update(zip(part, range(n, n + len(part)), strict=True))
 
+    def _places(self, distinct: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Places of the first and second part of each word; the second one is 0 where there is none."""
+        cut = pc.extract_regex(distinct, _LETTERS_THEN_MARKS)
+        whole = pc.is_null(cut)
+        head = pc.if_else(whole, distinct, pc.struct_field(cut, 0))
+        tail = pc.if_else(whole, pa.scalar(""), pc.struct_field(cut, 1))
+        coded = pa.concat_arrays([head, tail]).dictionary_encode()
+        parts = coded.dictionary.to_pylist()
+        if len(self.place) + len(parts) > CACHE_WORDS:
+            self.clear()
+        self._learn([w for w in parts if w not in self.place])
+        at = np.fromiter(map(self.place.__getitem__, parts), np.int64, len(parts))[coded.indices.to_numpy(zero_copy_only=False)]
+        return at[: len(distinct)], at[len(distinct) :]
+
     def encode(self, texts: pa.Array, end_id: int = END_ID) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts with their end ids, tokens of each text)."""
-        starts, codes, distinct = split_words(texts)
-        words = distinct.to_pylist()
-        if len(self.place) + len(words) > CACHE_WORDS:
-            self.clear()
-        self._learn([w for w in words if w not in self.place and w])
-        at = np.fromiter((self.place.get(w, 0) for w in words), np.int64, len(words))[codes]
+        plain = not pc.any(pc.match_substring(texts, "<|")).as_py()
+        starts, codes, distinct = split_words(texts, lower=plain)
+        head, tail = self._places(distinct)
+        number = (1 + (tail > 0))[codes]  # parts of each word
+        upto = np.concatenate([[0], np.cumsum(number)])
+        at = np.repeat(head[codes], number)
+        two = np.flatnonzero(number == 2)
+        at[upto[two] + 1] = tail[codes[two]]
         sizes = self.sizes[at].astype(np.int64)
         ends = np.concatenate([[0], np.cumsum(sizes)])
-        tokens = ends[starts[1:]] - ends[starts[:-1]] + 1
-        within = np.arange(ends[-1]) - np.repeat(ends[:-1], sizes)
-        flat = self.ids[np.repeat(self.begins[at], sizes) + within]
+        of_text = ends[upto[starts]]
+        tokens = np.diff(of_text) + 1
+        within = np.arange(ends[-1]) + np.repeat(self.begins[at] - ends[:-1], sizes)
         out = np.full(int(tokens.sum()), end_id, np.uint32)
         real = np.ones(len(out), bool)
         real[np.cumsum(tokens) - 1] = False
-        out[real] = flat
+        out[real] = self.ids[within]
         return out, tokens
 
 
