@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from textgroups.llm import exact_dedup, lang_id, license_scan, lm_score, mixing, packing, quality, sharding, simhash, token_cache
+from textgroups.llm import exact_dedup, lang_id, license_scan, lm_score, mixing, oracles, packing, quality, sharding, simhash, token_cache
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -61,4 +61,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return oracles.oracle_sql()
