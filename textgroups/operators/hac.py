@@ -89,14 +89,31 @@ def _dense(pdf: pd.DataFrame) -> np.ndarray:
     return out
 
 
+def _gram(pdf: pd.DataFrame, block: int = 8192) -> np.ndarray:
+    """Products of all pairs of rows (idx, val), exact; terms are taken in blocks, so memory follows the rows only."""
+    sizes = pdf["idx"].map(len).to_numpy()
+    out = np.zeros((len(pdf), len(pdf)))
+    if not sizes.sum():
+        return out
+    row, idx, val = np.repeat(np.arange(len(pdf)), sizes), np.concatenate(pdf["idx"].to_list()), np.concatenate(pdf["val"].to_list())
+    terms, idx = np.unique(idx, return_inverse=True)
+    order = np.argsort(idx, kind="stable")
+    row, idx, val = row[order], idx[order], val[order]
+    for first in range(0, len(terms), block):
+        a, b = np.searchsorted(idx, [first, first + block])
+        x = np.zeros((min(block, len(terms) - first), len(pdf)))
+        x[idx[a:b] - first, row[a:b]] = val[a:b]
+        out += x.T @ x
+    return out
+
+
 def local_trees(vecs: Vectors, parts: DataFrame, linkage: str = "single") -> DataFrame:
     """(part, step, left, right, height, size): the dendrogram of each part, in one task a part (H7)."""
     rows = vecs.packed.join(F.broadcast(parts), "doc_id")
 
     def tree(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("rk")
-        x = _dense(pdf)
-        merges, _ = agglomerate(x.T @ x / UNIT / UNIT, 1, linkage, x)
+        merges, _ = agglomerate(_gram(pdf) / UNIT / UNIT, 1, linkage, _dense(pdf) if linkage == "centroid" else None)
         ids = pdf["doc_id"].to_numpy()
         return pd.DataFrame([(pdf["part"].iloc[0], i, ids[a], ids[b], h, n) for i, (a, b, h, n) in enumerate(merges)], columns=["part", "step", "left", "right", "height", "size"])
 
@@ -109,8 +126,7 @@ def _local_clusters(vecs: Vectors, parts: DataFrame, k: int, linkage: str, level
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("rk")
-        x = _dense(pdf)
-        _, labels = agglomerate(x.T @ x / UNIT / UNIT, min(k, len(pdf)), linkage, x)
+        _, labels = agglomerate(_gram(pdf) / UNIT / UNIT, min(k, len(pdf)), linkage, _dense(pdf) if linkage == "centroid" else None)
         return pd.DataFrame({"part": pdf["part"].to_numpy(), "local": labels.astype(np.int64), "doc_id": pdf["doc_id"].to_numpy()})
 
     return rows.groupBy("part").applyInPandas(run, "part long, local long, doc_id long")
@@ -172,15 +188,16 @@ def parthac(vecs: Vectors, sample: DataFrame, k: int, parts: int, linkage: str =
     return align_trees(vecs, _local_clusters(vecs, random_parts(sample, parts), k, linkage), k, align)
 
 
-def spanning_tree(x: np.ndarray, ids: np.ndarray) -> list[tuple[int, int, int]]:
-    """Maximum spanning tree (a, b, product) of unit columns by Prim; the order (product, then smaller ids) is total,
-    so the tree is unique."""
+def spanning_tree(gram: np.ndarray, ids: np.ndarray) -> list[tuple[int, int, int]]:
+    """Maximum spanning tree (a, b, product) of a product matrix by Prim; the order (product, then smaller ids) is
+    total, so the tree is unique."""
     n = len(ids)
     if n < 2:
         return []
     inside = np.zeros(n, bool)
     inside[0] = True
-    best = (x[:, 0] @ x).astype(np.int64)
+    gram = gram.astype(np.int64)
+    best = gram[0].copy()
     link = np.zeros(n, np.int64)
     out = []
     for _ in range(n - 1):
@@ -190,7 +207,7 @@ def spanning_tree(x: np.ndarray, ids: np.ndarray) -> list[tuple[int, int, int]]:
         a, b = sorted((int(ids[j]), int(ids[link[j]])))
         out.append((a, b, int(best[j])))
         inside[j] = True
-        dots = (x[:, j] @ x).astype(np.int64)
+        dots = gram[j]
         pair = lambda o: (np.minimum(ids, ids[o]), np.maximum(ids, ids[o]))
         (l1, h1), (l0, h0) = pair(np.full(n, j)), pair(link)
         better = ~inside & ((dots > best) | ((dots == best) & ((l1 < l0) | ((l1 == l0) & (h1 < h0)))))
@@ -231,7 +248,7 @@ def mst(vecs: Vectors, members: DataFrame, parts: int = 4, fan_in: int = 4) -> D
 
     def prim(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("doc_id")
-        return pd.DataFrame([(pdf["pair"].iloc[0], *e) for e in spanning_tree(_dense(pdf), pdf["doc_id"].to_numpy())], columns=["pair", "a", "b", "dp"])
+        return pd.DataFrame([(pdf["pair"].iloc[0], *e) for e in spanning_tree(_gram(pdf), pdf["doc_id"].to_numpy())], columns=["pair", "a", "b", "dp"])
 
     schema = "pair long, a long, b long, dp long"
     trees = dealt.groupBy("pair").applyInPandas(prim, schema)
@@ -290,8 +307,7 @@ def sample_clusters(vecs: Vectors, sample: DataFrame, k: int, linkage: str = "si
         got = [b for b in batches if b.num_rows]
         if got:
             pdf = pa.Table.from_batches(got).to_pandas().sort_values("rk")
-            x = _dense(pdf)
-            _, labels = agglomerate(x.T @ x / UNIT / UNIT, min(k, len(pdf)), linkage, x)
+            _, labels = agglomerate(_gram(pdf) / UNIT / UNIT, min(k, len(pdf)), linkage, _dense(pdf) if linkage == "centroid" else None)
             yield pa.record_batch([pa.array(pdf["doc_id"].to_numpy()), pa.array(labels.astype(np.int64))], names=["doc_id", "cluster_id"])
 
     return rows.select("doc_id", "rk", "idx", "val").mapInArrow(run, "doc_id long, cluster_id long")
