@@ -191,7 +191,7 @@ def _merged(rows: DataFrame, shards: int, kinds: tuple[type, ...], finish: Calla
             keys, *values = _summed(keys, *values)
             yield from finish(s, keys, values)
 
-    return rows.repartition(shards, "shard").mapInArrow(run, schema)
+    return rows.repartitionById(shards, F.col("shard")).mapInArrow(run, schema)
 
 
 def discounts(n: list[int]) -> list[float]:
