@@ -81,7 +81,7 @@ def deduplicate(docs: DataFrame, index: DigestIndex | None = None) -> DataFrame:
 
 def keep_first(docs: DataFrame) -> DataFrame:
     """The documents that stay, one per digest, with their own columns; repeated rows of one document become one."""
-    kept = deduplicate(docs).filter("kept").select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_sha")).distinct()
-    tagged = docs.withColumn("_sha", F.sha2(normalised(F.col("text")), 256))
-    joined = tagged.join(kept.hint("merge"), tagged["doc_id"].cast("long").eqNullSafe(kept["_id"]) & (tagged["_sha"] == kept["_sha"])).drop(kept["_sha"])
-    return joined.dropDuplicates(["_id", "_sha"]).select(*docs.columns)
+    kept = deduplicate(docs).filter("kept").select("doc_id", "text_sha256").distinct()
+    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("id"), F.sha2(normalised(F.col("text")), 256).alias("sha"))
+    joined = rows.join(kept.hint("merge"), rows["id"].eqNullSafe(kept["doc_id"]) & (rows["sha"] == kept["text_sha256"]))
+    return joined.dropDuplicates(["id", "sha"]).select("row.*")

@@ -131,9 +131,9 @@ def mixed_documents(docs: DataFrame, block: int = BLOCK_WORDS) -> DataFrame:
 
     Each row comes back with its own columns; a document that the mix cuts counts as taken from half of its words on.
     """
-    times = mixture(docs, block).filter("size > 0").select(F.col("doc_id").alias("_id"), F.col("source").alias("_s"), F.col("size").alias("_n"), F.floor(F.col("taken") / F.col("size") + 0.5).cast("int").alias("_times"))
-    times = times.groupBy("_id", "_s", "_n").agg(F.sum("_times").alias("_times"), F.count(F.lit(1)).alias("_rows")).filter("_times > 0")
-    sized = docs.withColumn("_size", word_count(F.col("text")))
-    joined = sized.join(times.hint("merge"), sized["doc_id"].cast("long").eqNullSafe(times["_id"]) & sized["source"].cast("string").eqNullSafe(times["_s"]) & (sized["_size"] == times["_n"]))
-    each = F.ceil(F.col("_times") / F.col("_rows")).cast("int")
-    return joined.select(*[docs[c] for c in docs.columns], F.explode(F.sequence(F.lit(1), each)).alias("_copy")).select(*docs.columns)
+    times = mixture(docs, block).filter("size > 0").select("doc_id", "source", "size", F.floor(F.col("taken") / F.col("size") + 0.5).cast("int").alias("times"))
+    times = times.groupBy("doc_id", "source", "size").agg(F.sum("times").alias("times"), F.count(F.lit(1)).alias("rows")).filter("times > 0")
+    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("id"), F.col("source").cast("string").alias("src"), word_count(F.col("text")).alias("words"))
+    joined = rows.join(times.hint("merge"), rows["id"].eqNullSafe(times["doc_id"]) & rows["src"].eqNullSafe(times["source"]) & (rows["words"] == times["size"]))
+    each = F.ceil(F.col("times") / F.col("rows")).cast("int")  # equal rows share what the mix takes of them
+    return joined.select("row", F.explode(F.sequence(F.lit(1), each)).alias("copy")).select("row.*")

@@ -122,9 +122,9 @@ def measure(texts: pa.Array) -> dict[str, np.ndarray]:
 
 
 def _measured(docs: DataFrame) -> DataFrame:
-    """``docs`` with a struct ``_m`` of the measures, taken where the text is: no shuffle."""
+    """``docs`` with a struct ``__measures`` of the measures, taken where the text is: no shuffle."""
     names = docs.columns
-    schema = T.StructType([*docs.schema.fields, T.StructField("_m", T.StructType([T.StructField(m, T.LongType()) for m in MEASURES]))])
+    schema = T.StructType([*docs.schema.fields, T.StructField("__measures", T.StructType([T.StructField(m, T.LongType()) for m in MEASURES]))])
     at = names.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -132,7 +132,7 @@ def _measured(docs: DataFrame) -> DataFrame:
             for part in slices(batch, at):
                 got = measure(as_text(part.column(at)))
                 struct = pa.StructArray.from_arrays([pa.array(got[m].astype(np.int64)) for m in MEASURES], names=list(MEASURES))
-                yield pa.RecordBatch.from_arrays([*part.columns, struct], names=[*names, "_m"])
+                yield pa.RecordBatch.from_arrays([*part.columns, struct], names=[*names, "__measures"])
 
     return docs.mapInArrow(run, schema)
 
@@ -145,7 +145,7 @@ def _failed(mask: int, of: Callable[[str], Column]) -> Column:
 def ledger(docs: DataFrame) -> DataFrame:
     """(doc_id, measures, failed): bit i of ``failed`` is set if rule i fails."""
     measured = _measured(docs.select(F.col("doc_id").cast("long"), "text"))
-    return measured.select("doc_id", "_m.*", _failed((1 << len(RULES)) - 1, lambda m: F.col("_m")[m]).alias("failed"))
+    return measured.select("doc_id", "__measures.*", _failed((1 << len(RULES)) - 1, lambda m: F.col("__measures")[m]).alias("failed"))
 
 
 def verdicts(rows: DataFrame, policy: str | tuple[str, ...] = "v1") -> DataFrame:
@@ -168,4 +168,4 @@ def ablations(rows: DataFrame, policy: str | tuple[str, ...] = "v1") -> DataFram
 def keep_good(docs: DataFrame, policy: str = "v1") -> DataFrame:
     """The documents that a policy keeps, with their own columns."""
     mask = mask_of(policy) | mask_of("base")
-    return _measured(docs).filter(_failed(mask, lambda m: F.col("_m")[m]) == 0).select(*docs.columns)
+    return _measured(docs).filter(_failed(mask, lambda m: F.col("__measures")[m]) == 0).select(*docs.columns)

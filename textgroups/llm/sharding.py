@@ -11,7 +11,7 @@ from __future__ import annotations
 
 import hashlib
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 SHARDS = 64
@@ -50,7 +50,7 @@ def lookup_frame(spark: SparkSession, shards: list[str], slots: int = SLOTS) ->
     return spark.range(slots, numPartitions=1).select("id", F.element_at(F.lit(table), (F.col("id") + 1).cast("int")).alias("shard")).select(F.col("id").alias("slot"), F.col("shard").cast("int"))
 
 
-def slot_of(key, slots: int = SLOTS):
+def slot_of(key: Column, slots: int = SLOTS) -> Column:
     """60 bits of the key's MD5, modulo the table size."""
     head = F.substring(F.md5(F.coalesce(key.cast("string"), F.lit(""))), 1, 15)
     return F.pmod(F.conv(head, 16, 10).cast("long"), F.lit(slots))
