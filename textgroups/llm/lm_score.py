@@ -38,6 +38,8 @@ SHARD_BYTES = 24 << 20
 HELD_KEYS = 3_000_000
 END_HASH, START = np.uint64(0x5851F42D4C957F2D), np.uint64(0xFFFFFFFF)
 _UNKNOWN = np.uint64(0xFFFFFFFE)
+#: The optimizer's estimate for a plan that it knows nothing about is beyond this.
+_UNKNOWN_BYTES = 1 << 55
 FOLDS, HELD_OUT = 5, 1
 
 
@@ -215,6 +217,8 @@ def fit(training: DataFrame, folder: str | None = None) -> dict:
         raise ValueError("the model's arrays are mapped into memory: name a folder that is mounted on all machines")
     os.makedirs(folder, exist_ok=True)
     size = input_bytes(training.select("text"))
+    if size >= _UNKNOWN_BYTES:
+        size = (training.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // 2
     bits = max(0, int(np.ceil(np.log2(max(1, size / SHARD_BYTES)))))
     shards = 1 << bits
 
