@@ -6,7 +6,6 @@ executor can read, so a lost executor costs a re-read and nothing else.
 
 from __future__ import annotations
 
-import os
 import tempfile
 import uuid
 
@@ -56,7 +55,3 @@ def drop_path(spark: SparkSession, path: str) -> None:
 def input_bytes(df: DataFrame) -> int:
     """Size of a plan as the optimizer estimates it (file sizes for a scan)."""
     return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
-
-
-def is_local(spark: SparkSession) -> bool:
-    return spark.sparkContext.master.startswith("local[") or os.environ.get("SPARK_LOCAL_MODE") == "1"
