@@ -29,7 +29,7 @@ GOLDEN = 0.6180339887498949
 #: Cells that the unit interval is cut into for the join of points and sources.
 CELLS = 4096
 #: Documents of one source and bucket, about: the most that one task orders at once.
-BUCKET_ROWS = 20_000
+BUCKET_ROWS = 2_000
 
 
 def word_count(text: Column) -> Column:
