@@ -119,6 +119,26 @@ def test_spanning_tree_cut_is_threshold_graph(spark, points):
     assert len(set(zip(labels.values(), (comp[i] for i in labels)))) == 5 == len(set(comp.values()))
 
 
+@pytest.mark.parametrize("k", [1, 7, 40])
+def test_one_task_seeding_is_the_spanning_tree_of_parts(vecs, k):
+    drawn = materialise(draw_sample(vecs.packed.select("doc_id"), 40))
+    table, centers = hac.link_in_one_task(vecs, drawn, k)
+    parts = hac.mst_link(vecs, drawn, k=k, parts=3)
+    assert sorted(zip(*(table.column(i).to_pylist() for i in (0, 1)))) == sorted((r["doc_id"], r["cluster_id"]) for r in parts.collect())
+    assert np.array_equal(centers, hac.cluster_centers(vecs, parts, k))
+
+
+def test_product_matrix_of_frequent_and_rare_terms(vecs, monkeypatch):
+    pdf = vecs.packed.orderBy("doc_id").limit(60).toPandas()
+    full = np.zeros((len(pdf), vecs.v))
+    for i, (idx, val) in enumerate(zip(pdf["idx"], pdf["val"], strict=True)):
+        full[i, idx] = val
+    monkeypatch.setattr(hac, "_PAIRS", 500)
+    assert np.array_equal(hac._gram(pdf), full @ full.T)
+    monkeypatch.setattr(hac, "_DENSE", 10**9)
+    assert np.array_equal(hac._gram(pdf, block=100), full @ full.T)
+
+
 @pytest.mark.parametrize("scheme", SCHEMES)
 def test_component_schemes(spark, scheme):
     path = [(i, i + 1) for i in range(1, 8)]

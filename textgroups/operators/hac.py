@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -89,21 +90,46 @@ def _dense(pdf: pd.DataFrame) -> np.ndarray:
     return out
 
 
+#: A term that more than 1/_DENSE of the rows hold goes through a dense product, others through their pairs of rows.
+_DENSE = 10
+#: Pairs of rows that the sparse part of a product matrix holds at once.
+_PAIRS = 4_000_000
+
+
 def _gram(pdf: pd.DataFrame, block: int = 8192) -> np.ndarray:
-    """Products of all pairs of rows (idx, val), exact; terms are taken in blocks, so memory follows the rows only."""
-    sizes = pdf["idx"].map(len).to_numpy()
-    out = np.zeros((len(pdf), len(pdf)))
+    """Products of all pairs of rows (idx, val), exact.
+
+    Frequent terms are multiplied densely, in blocks; rare ones, which would be mostly zeros there, add up over the
+    pairs of rows that share them. Memory follows the rows only.
+    """
+    sizes, n = pdf["idx"].map(len).to_numpy(), len(pdf)
+    out = np.zeros((n, n))
     if not sizes.sum():
         return out
-    row, idx, val = np.repeat(np.arange(len(pdf)), sizes), np.concatenate(pdf["idx"].to_list()), np.concatenate(pdf["val"].to_list())
-    terms, idx = np.unique(idx, return_inverse=True)
+    row, idx, val = np.repeat(np.arange(n), sizes), np.concatenate(pdf["idx"].to_list()), np.concatenate(pdf["val"].to_list()).astype(np.float64)
+    terms, idx, df = np.unique(idx, return_inverse=True, return_counts=True)
     order = np.argsort(idx, kind="stable")
     row, idx, val = row[order], idx[order], val[order]
-    for first in range(0, len(terms), block):
-        a, b = np.searchsorted(idx, [first, first + block])
-        x = np.zeros((min(block, len(terms) - first), len(pdf)))
-        x[idx[a:b] - first, row[a:b]] = val[a:b]
+    frequent = df * _DENSE > n
+    dense = frequent[idx]
+    place = np.cumsum(frequent) - 1
+    drow, dterm, dval = row[dense], place[idx[dense]], val[dense]
+    for first in range(0, int(frequent.sum()), block):
+        a, b = np.searchsorted(dterm, [first, first + block])
+        x = np.zeros((min(block, int(frequent.sum()) - first), n))
+        x[dterm[a:b] - first, drow[a:b]] = dval[a:b]
         out += x.T @ x
+    row, idx, val = row[~dense], idx[~dense], val[~dense]
+    begin, upto = np.searchsorted(idx, idx, side="left"), np.cumsum(df[idx])
+    first = 0
+    while first < len(row):
+        done = upto[first - 1] if first else 0
+        last = max(first + 1, int(np.searchsorted(upto, done + _PAIRS, side="right")))
+        some = df[idx[first:last]]
+        one = np.repeat(np.arange(first, last), some)
+        two = np.arange(len(one)) - np.repeat(np.cumsum(some) - some, some) + begin[one]
+        out += np.bincount(row[one] * n + row[two], val[one] * val[two], n * n).reshape(n, n)
+        first = last
     return out
 
 
@@ -202,8 +228,9 @@ def spanning_tree(gram: np.ndarray, ids: np.ndarray) -> list[tuple[int, int, int
     out = []
     for _ in range(n - 1):
         free = np.flatnonzero(~inside)
+        free = free[best[free] == best[free].max()]
         low, high = np.minimum(ids[free], ids[link[free]]), np.maximum(ids[free], ids[link[free]])
-        j = free[np.lexsort((high, low, -best[free]))[0]]
+        j = free[np.lexsort((high, low))[0]]
         a, b = sorted((int(ids[j]), int(ids[link[j]])))
         out.append((a, b, int(best[j])))
         inside[j] = True
@@ -291,6 +318,42 @@ def mst_link(vecs: Vectors, members: DataFrame, k: int | None = None, threshold:
     return vecs.packed.sparkSession.createDataFrame(list(labels.items()), "doc_id long, cluster_id long")
 
 
+def link_in_one_task(vecs: Vectors, members: DataFrame, k: int) -> tuple[pa.Table, np.ndarray]:
+    """Labels and unit centroids of ``mst_link`` for a small sample, in one job: (doc_id, cluster_id) and the matrix.
+
+    One task holds the members' product matrix, so the caller checks their number; what comes back is a row a member
+    and a vector a cluster.
+    """
+    rows = vecs.packed.join(F.broadcast(members), "doc_id").select("doc_id", "rk", "idx", "val").repartition(1)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        got = [b for b in batches if b.num_rows]
+        if not got:
+            return
+        pdf = pa.Table.from_batches(got).to_pandas().sort_values("doc_id")
+        tree = spanning_tree(_gram(pdf), pdf["doc_id"].to_numpy())
+        of = cut_mst(tree, pdf.sort_values("rk")["doc_id"].tolist(), k)
+        label = pdf["doc_id"].map(of).to_numpy()
+        sizes = pdf["idx"].map(len).to_numpy()
+        idx, val = np.concatenate(pdf["idx"].to_list()), np.concatenate(pdf["val"].to_list()).astype(np.int64)
+        cell, inverse = np.unique(np.repeat(label, sizes).astype(np.int64) << 32 | idx, return_inverse=True)
+        sums = np.bincount(inverse, val, len(cell)).astype(np.int64)
+        ends = np.searchsorted(cell >> 32, np.arange(int(label.max()) + 2)).astype(np.int32)
+        none = lambda n, kind: pa.nulls(n, kind)
+        lists = pa.list_(pa.int32()), pa.list_(pa.int64())
+        names = ["doc_id", "cluster_id", "idx", "sums"]
+        yield pa.record_batch([pa.array(pdf["doc_id"].to_numpy()), pa.array(label.astype(np.int64)), none(len(pdf), lists[0]), none(len(pdf), lists[1])], names=names)
+        groups = len(ends) - 1
+        yield pa.record_batch([none(groups, pa.int64()), pa.array(np.arange(groups)), pa.ListArray.from_arrays(ends, pa.array((cell & 0xFFFFFFFF).astype(np.int32))), pa.ListArray.from_arrays(ends, pa.array(sums))], names=names)
+
+    got = rows.mapInArrow(run, "doc_id long, cluster_id long, idx array<int>, sums array<long>").toArrow()
+    known = got.column("doc_id").is_valid()
+    matrix = np.zeros((vecs.v, k))
+    for r in got.filter(pc.invert(known)).select(["cluster_id", "idx", "sums"]).to_pylist():
+        matrix[r["idx"], r["cluster_id"]] = r["sums"]
+    return got.filter(known).select(["doc_id", "cluster_id"]), unit(matrix)
+
+
 def cluster_centers(vecs: Vectors, labels: DataFrame, k: int) -> np.ndarray:
     """Unit centroids of labelled documents (H9)."""
     got = vecs.postings.join(F.broadcast(labels), "doc_id").groupBy("cluster_id", "term_id").agg(F.sum("wq").alias("s")).toArrow()

@@ -10,12 +10,14 @@ from pyspark.sql import functions as F
 
 from textgroups.functions.vectors import Vectors
 from textgroups.operators.assign import assign_nearest, totals, unit
-from textgroups.operators.hac import cluster_centers, mst_link, parthac, sample_clusters
+from textgroups.operators.hac import cluster_centers, link_in_one_task, mst_link, parthac, sample_clusters
 from textgroups.operators.sampling import draw_sample, sample_size
 from textgroups.plans.storage import materialise
 
 #: Sample documents a part of the spanning-tree route, about.
 PART_ROWS = 500
+#: Samples of no more documents are clustered by one task (a matrix of 32 MB), with the same labels.
+ONE_TASK_ROWS = 2_000
 #: Labels of the sample go to the tasks by broadcast up to so many rows (16 bytes each).
 BROADCAST_ROWS = 4_000_000
 
@@ -44,9 +46,13 @@ def sampleseed(vecs: Vectors, k: int, *, s: int | None = None, linkage: str = "s
     The sample's documents keep their cluster unless ``reassign_sample`` (H11b); they count in the centroids anyway.
     """
     s = s or sample_size(vecs.n, k)
-    sample = materialise(draw_sample(vecs.packed.select("doc_id"), s, seed, n=vecs.n), "sample")
-    fixed = materialise(seed_from_sample(vecs, sample, s, k, linkage, hac, parts), "seeded")
-    centers = cluster_centers(vecs, fixed, k)
+    drawn = draw_sample(vecs.packed.select("doc_id"), s, seed, n=vecs.n)
+    if hac == "mst" and linkage == "single" and parts is None and s <= ONE_TASK_ROWS:
+        table, centers = link_in_one_task(vecs, drawn, k)
+        fixed = vecs.packed.sparkSession.createDataFrame(table)
+    else:
+        fixed = materialise(seed_from_sample(vecs, materialise(drawn, "sample"), s, k, linkage, hac, parts), "seeded")
+        centers = cluster_centers(vecs, fixed, k)
     labels = fixed.select("doc_id", F.col("cluster_id").alias("fixed"))
     marked = vecs.packed if reassign_sample else vecs.packed.join(F.broadcast(labels) if s <= BROADCAST_ROWS else labels, "doc_id", "left")
     history = []
