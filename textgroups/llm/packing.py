@@ -39,6 +39,8 @@ TOKENIZER = "word_bpe_49k.json"
 END_ID = 1
 #: Different words whose ids a worker keeps; the store is emptied when it is full.
 CACHE_WORDS = 600_000
+#: Bytes of text encoded at once, about: a worker's arrays follow it.
+ENCODE_BYTES = 2 << 20
 BUCKET_ROWS = 20_000
 
 
@@ -142,7 +144,7 @@ def pieces(docs: DataFrame, tokenizer: str | None = None, capacity: int = CAPACI
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = _word_ids(path)
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", ENCODE_BYTES):
                 ids, tokens = encoder.encode(as_text(part.column("text")), end_id)
                 number = -(-tokens // capacity)
                 owner = np.repeat(np.arange(len(tokens)), number)

@@ -29,12 +29,12 @@ def as_text(column: pa.Array) -> pa.Array:
     return pc.fill_null(column.cast(pa.string()), "")
 
 
-def slices(batch: pa.RecordBatch, column: str | int) -> list[pa.RecordBatch]:
-    """The batch in runs of rows of about SLICE_BYTES of text each (a longer text is a run of its own)."""
+def slices(batch: pa.RecordBatch, column: str | int, most: int = SLICE_BYTES) -> list[pa.RecordBatch]:
+    """The batch in runs of rows of about ``most`` bytes of text each (a longer text is a run of its own)."""
     sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)
     runs, first, held = [], 0, 0
     for i, size in enumerate(sizes):
-        if held and held + size > SLICE_BYTES:
+        if held and held + size > most:
             runs.append(batch.slice(first, i - first))
             first, held = i, 0
         held += int(size)
