@@ -22,6 +22,8 @@ from pyspark.sql import types as T
 from textgroups.llm.words import as_text, combine, hash_strings, slices, split_words
 
 WINDOW = 8
+#: Bytes of text measured at once, about: a worker's arrays follow it.
+MEASURE_BYTES = 2 << 20
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_same_next", "n_upper", "n_letters", "n_alpha_words", "n_marks")
 
 
@@ -129,7 +131,7 @@ def _measured(docs: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, at):
+            for part in slices(batch, at, MEASURE_BYTES):
                 got = measure(as_text(part.column(at)))
                 struct = pa.StructArray.from_arrays([pa.array(got[m].astype(np.int64)) for m in MEASURES], names=list(MEASURES))
                 yield pa.RecordBatch.from_arrays([*part.columns, struct], names=[*names, "__measures"])
