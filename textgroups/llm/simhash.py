@@ -147,16 +147,21 @@ def links(distinct: DataFrame) -> DataFrame:
     return spanning_forest(pairs.unionByName(stars))
 
 
-def near_groups(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
-    """One row per document: doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable by links)."""
-    prints = materialise(fingerprints(docs, shingle), "fingerprints")
-    distinct = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")), "distinct")
-    joined = components(links(distinct))
+def labels(distinct: DataFrame, edges: DataFrame) -> DataFrame:
+    """(fp, n, comp, component_id) of the written ``distinct(fp, least, n)``: its component and the smallest id in it."""
+    joined = components(edges)
     of = distinct.join(joined.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", "n", F.coalesce("comp", "fp").alias("comp"))
     of = materialise(of, "labels")
     ids = of.groupBy("comp").agg(F.min("least").alias("component_id"), F.count(F.lit(1)).alias("prints"))
     ids = materialise(ids, "ids")
-    by_print = materialise(join_lookup(of, ids, "comp", "prints").select("fp", "n", "component_id"), "by-print")
+    return materialise(join_lookup(of, ids, "comp", "prints").select("fp", "n", "comp", "component_id"), "by-print")
+
+
+def near_groups(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
+    """One row per document: doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable by links)."""
+    prints = materialise(fingerprints(docs, shingle), "fingerprints")
+    distinct = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")), "distinct")
+    by_print = labels(distinct, links(distinct)).drop("comp")
     out = join_lookup(prints, by_print, "fp", "n")
     return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
