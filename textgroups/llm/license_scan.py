@@ -1,9 +1,10 @@
 """Licence scans by sentence rules (operator 2).
 
-Known licence sentences have identifiers; a licence is a rule: an ordered sequence of identifiers. A text is cut into
-sentences (at line ends, and at full stops, question and exclamation marks before white space), sentences are
-normalised (A-Z lower-cased, everything but letters, digits and full stops between digits turned into single spaces),
-known ones become their identifiers and others are left out, and the text's identifier sequence is met with the rules.
+Known licence sentences have identifiers; a licence is a rule: an ordered sequence of identifiers. A known sentence is
+found where its words (A-Z lower-cased) follow one another with anything but letters, digits, stops and blank lines
+between them, so also where it is wrapped or its lines begin with comment marks. It begins at a line or after a full stop,
+question or exclamation mark before white space, perhaps behind an item's number, and ends at a line end or such a mark.
+Known sentences become their identifiers, all else is left out, and the identifier sequence is met with the rules.
 All of it runs in the row, without a shuffle: the known sentences are part of the plan and their number is fixed.
 
 Defined results: a null or empty text, or one without known sentences, has no licences (an empty list); a rule that
@@ -35,7 +36,17 @@ SENTENCES = {
     "bsd-binary": "redistributions in binary form must reproduce the above copyright notice this list of conditions and the following disclaimer in the documentation and or other materials provided with the distribution",
     "bsd-names": "neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission",
     "all-rights": "all rights reserved",
+    "apache2-notice": "licensed under the apache license version 2.0 the license you may not use this file except in compliance with the license",
+    "apache2-obtain": "you may obtain a copy of the license at",
+    "apache2-url": "http www.apache.org licenses license 2.0",
+    "apache2-urls": "https www.apache.org licenses license 2.0",
+    "gpl-program": "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation either version 3 of the license or at your option any later version",
 }
+#: Whole sentences about a work: subject, verb and licence, by the identifier of the licence's own short sentence.
+SUBJECTS = ("project", "software", "work", "program", "library", "package", "code", "file", "repository")
+NAMED = {"mit-licensed": "MIT", "apache2-licensed": "Apache-2.0", "ccbync4": "CC-BY-NC-4.0", "ccby4": "CC-BY-4.0", "ccbysa4": "CC-BY-SA-4.0"}
+STATED = {f"{i}-{verb}-{x}": (n, f"this {x} is {verb} {SENTENCES[i].split(' ', 1)[1]}") for i, n in NAMED.items() for verb in ("licensed", "released") for x in SUBJECTS}
+SENTENCES |= {i: s for i, (_, s) in STATED.items()}
 #: Licence and the identifiers that must follow one another (unknown sentences between them don't count).
 RULES = (
     ("MIT", ("mit-release",)),
@@ -51,6 +62,11 @@ RULES = (
     ("BSD-3-Clause", ("bsd-retain", "bsd-binary", "bsd-names")),
     ("BSD-2-Clause", ("bsd-retain", "bsd-binary")),
     ("Proprietary", ("all-rights",)),
+    ("Apache-2.0", ("apache2-notice",)),
+    ("Apache-2.0", ("apache2-comply", "apache2-obtain", "apache2-url")),
+    ("Apache-2.0", ("apache2-comply", "apache2-obtain", "apache2-urls")),
+    ("GPL-3.0", ("gpl-program", "gpl-warranty")),
+    *((n, (i,)) for i, (n, _) in STATED.items()),
 )
 #: Sentence ends, and what a normalised sentence replaces by one space, as both engines' patterns.
 ENDS = r"[\n\r]+|[.!?]+[ \t]+|[.!?]+$"
@@ -60,19 +76,29 @@ NOISE = r"[^a-z0-9.]+"
 def sentence_ids(text: Column, sentences: dict[str, str] | None = None) -> Column:
     """Identifiers of the known sentences of a text, in order.
 
-    Sentences are first thinned out by a set of hashes, which costs one lookup each; the few that pass are compared.
+    Only texts with one of the sentences' first two words side by side go through the long pattern.
     """
     sentences = sentences or SENTENCES
     known = F.create_map(*[F.lit(x) for name, s in sentences.items() for x in (s, name)])
-    cut = F.split(F.translate(F.coalesce(text, F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), r"[\n\r]+|[.!?]+[ \t]+|[.!?]+(?![\s\S])")
-    likely = F.filter(cut, lambda s: F.substring(s, 1, 1000).rlike(_starts(sentences)))
-    plain = F.transform(likely, lambda s: F.rtrim(F.trim(F.regexp_replace(s, NOISE, " ")), F.lit(" .")))
+    low = F.translate(F.coalesce(text, F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    found = F.when(low.rlike(_starts(sentences)), F.regexp_extract_all(low, F.lit(_pattern(sentences)), F.lit(1))).otherwise(F.array().cast("array<string>"))
+    plain = F.transform(found, lambda s: F.trim(F.regexp_replace(s, NOISE, " ")))
     return F.filter(F.transform(plain, lambda s: F.try_element_at(known, s)), lambda i: i.isNotNull())
 
 
+#: Between two words: no letter, digit, stop or blank line; a line end at most.
+_GAP = r"(?:[^a-z0-9.!?\r\n]|[!?](?!\s))*+(?:(?:\r\n?|\n)(?:[^a-z0-9.!?\r\n]|[!?](?!\s))*+)?(?<![a-z0-9.])"
+
+
 def _starts(sentences: dict[str, str]) -> str:
-    """Pattern that every known sentence meets: it begins with one of their first words."""
-    return "^[^a-z0-9]*(" + "|".join(sorted({s.split()[0] for s in sentences.values()})) + ")[^a-z0-9]"
+    """Pattern that every text with a known sentence meets: the first two words of one of them."""
+    return "(" + "|".join(sorted({"[^a-z0-9.]+".join(s.replace(".", r"\.").split()[:2]) for s in sentences.values()})) + ")"
+
+
+def _pattern(sentences: dict[str, str]) -> str:
+    """Pattern of all known sentences, longer ones first, between their ends."""
+    body = "|".join(_GAP.join(s.replace(".", r"\.").split()) for s in sorted(sentences.values(), key=len, reverse=True))
+    return rf"(?:^|[\r\n]|[.!?][ \t])[^a-z0-9.]*+(?:[a-z0-9]{{1,2}}\)[^a-z0-9.]*+)?({body})(?=[^a-z0-9\r\n]*(?:[\r\n]|(?![\s\S]))|[^a-z0-9\r\n]*[.!?][ \t])"
 
 
 def matched(ids: Column, rules=None) -> Column:
