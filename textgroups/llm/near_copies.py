@@ -9,7 +9,8 @@ Buckets of up to BUCKET_LIMIT different sets are compared in pairs. In a larger
 them, then those that stand outside the bucket's largest component with another one, and at last each that is still
 outside with every set of the bucket that is in another component. A set is first taken out of the large buckets if so
 many of its shingles are in no other set of any large bucket that none of those can reach the similarity. Pairs within a component need no comparison, so
-components are those of all verified candidates, and a large group of near copies takes linear work.
+components are those of all verified candidates. Work is linear in a large group of close copies; where many of its
+members stand outside the largest component the last comparison still grows with the square of the group.
 
 Defined results: a null or empty text, or one without words, has the empty set, and empty sets are linked to each other;
 fewer words than a shingle are one shingle; rows of one set are linked; null ids never become a component id unless all
