@@ -164,12 +164,3 @@ def near_groups(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
     by_print = labels(distinct, links(distinct)).drop("comp")
     out = join_lookup(prints, by_print, "fp", "n")
     return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
-
-
-def keep_one(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
-    """One document of each group stays, that of the smallest id; rows whose id is null stay all; one row per kept id."""
-    kept = near_groups(docs, shingle).filter("doc_id = component_id or doc_id is null").select("doc_id").distinct()
-    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("id"))
-    joined = rows.join(kept.hint("merge"), rows["id"].eqNullSafe(kept["doc_id"])).select("id", "row")
-    whole = joined.filter("id is null").unionByName(joined.filter("id is not null").dropDuplicates(["id"]))
-    return whole.select("row.*")
