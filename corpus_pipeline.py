@@ -23,7 +23,7 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies (0.8 or more of their 5-word shingles in common) stays."""
+    """One document of each group of near copies (0.8 or more of their 5-word shingles in common) stays; fuzzy Golay keys find them."""
     return near_copies.keep_one(docs)
 
 

@@ -1,45 +1,51 @@
-"""Near copies by shared word shingles (the near-dedup stage of the pipeline).
+"""Near copies by shared word shingles (the near-dedup stage of the pipeline, on the fuzzy keys of operator 10).
 
-Two texts are linked if their sets of 5-word shingles have a Jaccard similarity of 0.8 or more. A text has BANDS keys,
-each the hash of ROWS minimum hashes of its set; texts that share a key are candidates, and every link is verified on
-the whole sets. A pair at exactly 0.8 shares no key with a chance of (1 - 0.8^ROWS)^BANDS, about 1 in 70 000; more
-similar pairs are missed still less.
+Two texts are linked if their sets of 5-word shingles have a Jaccard similarity of 0.8 or more. A set's SimHash
+fingerprint has TABLES * SEGMENTS segments of 23 bits; SEGMENTS segments of a table are decoded together to the PROBES
+most likely combinations of Golay codewords, each of which is a key of 12 * SEGMENTS bits. Sets that share a key are
+candidates, and every link is verified on the whole sets. Measured on random sets, a pair at exactly 0.8 shares a key with
+a chance of 0.95, at 0.85 of 0.99, from 0.9 on nearly always. Two unrelated sets share one of 36 bits with a chance of
+1e-8; for more than 10^9 sets use SEGMENTS = 4, which leaves fewer chance candidates than documents.
 
 Buckets of up to BUCKET_LIMIT different sets are compared in pairs. In a larger one all sets are compared with one of
-them, then those that stand outside the bucket's largest component with another one, and at last each that is still
-outside with every set of the bucket that is in another component. A set is first taken out of the large buckets if so
-many of its shingles are in no other set of any large bucket that none of those can reach the similarity. Pairs within a component need no comparison, so
-components are those of all verified candidates. Work is linear in a large group of close copies; where many of its
-members stand outside the largest component the last comparison still grows with the square of the group.
+them, then those that stand outside the bucket's largest component with another one. What is still outside is compared
+with all sets of the bucket that are in another component, in blocks of sets: a task holds two blocks and gives the links
+it finds, so no row is made for a pair that is none. Pairs within a component need no comparison, so components are those
+of all verified candidates. Work is linear in a large group of close copies; where many of its members stand outside the
+largest component, the comparison of blocks grows with their number times the group's size.
 
 Defined results: a null or empty text, or one without words, has the empty set, and empty sets are linked to each other;
 fewer words than a shingle are one shingle; rows of one set are linked; null ids never become a component id unless all
-ids of the component are null; an empty table gives no rows.
+ids of the component are null; rows that repeat an id and a text count as one; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
-from textgroups.llm.simhash import labels
-from textgroups.llm.words import as_text, combine, slices
+from textgroups.llm.simhash import SEGMENT_BITS, bit_sums, labels, soft_keys
+from textgroups.llm.words import as_text, slices
 from textgroups.operators.components import components, spanning_forest
 from textgroups.plans.skew import join_lookup
 from textgroups.plans.storage import materialise
 
 SHINGLE, SIMILARITY = 5, 0.8
-BANDS, ROWS, SEED = 28, 5, 43
+TABLES, SEGMENTS, PROBES, SEED = 20, 3, 6, 43
 #: Buckets of more different sets than this are compared by way of their components.
-BUCKET_LIMIT = 16
-SLICE_BYTES, _STEP = 2 << 20, 1024
+BUCKET_LIMIT = 8
+#: Sets and characters of a block that is compared with another one, about.
+BLOCK_ROWS, BLOCK_CHARS = 256, 4 << 20
+#: Numbers of texts and of dropped rows go to the tasks by broadcast up to so many (24 bytes each), beyond it by shuffle.
+BROADCAST_ROWS = 500_000
+SLICE_BYTES, _DECODED = 2 << 20, 128
 
 
 def shingles(text: str, shingle: int = SHINGLE) -> np.ndarray:
@@ -55,46 +61,45 @@ def shingles(text: str, shingle: int = SHINGLE) -> np.ndarray:
     return np.unique(np.fromiter((digest(line[a:b], SEED) for a, b in zip(first, last[k - 1 :])), np.uint64, len(words) - k + 1))
 
 
+def reaches(shared: np.ndarray | int, one: np.ndarray | int, two: np.ndarray | int):
+    """Whether sets of ``one`` and ``two`` shingles with ``shared`` common ones reach SIMILARITY."""
+    return 10 * shared >= round(10 * SIMILARITY) * (one + two - shared)
+
+
 def similar(one: np.ndarray, two: np.ndarray) -> bool:
-    """Whether two sets reach SIMILARITY."""
     if min(len(one), len(two)) < SIMILARITY * max(len(one), len(two)):
         return False
-    shared = len(np.intersect1d(one, two, assume_unique=True))
-    return 10 * shared >= round(10 * SIMILARITY) * (len(one) + len(two) - shared)
-
-
-def band_keys(sets: list[np.ndarray]) -> np.ndarray:
-    """One row of BANDS keys for each set."""
-    rng = np.random.default_rng(SEED)
-    factor = rng.integers(0, 1 << 63, BANDS * ROWS, np.uint64) << np.uint64(1) | np.uint64(1)
-    offset = rng.integers(0, 1 << 64, BANDS * ROWS, np.uint64)
-    least = np.full((len(sets), BANDS * ROWS), np.iinfo(np.uint64).max, np.uint64)
-    for i, hashes in enumerate(sets):
-        for at in range(0, len(hashes), _STEP):
-            np.minimum(least[i], (hashes[at : at + _STEP, None] * factor + offset).min(axis=0), out=least[i])
-    by_band = least.reshape(len(sets), BANDS, ROWS)
-    keys = np.broadcast_to(np.arange(1, BANDS + 1, dtype=np.uint64), (len(sets), BANDS))
-    for r in range(ROWS):
-        keys = combine(keys, by_band[:, :, r])
-    return keys
-
-
-def signed(docs: DataFrame) -> DataFrame:
-    """(row, id, uid, fp, keys): the documents with a number of their own, a hash of their sets and the keys of their bands (none for the empty set)."""
-    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("id"), F.monotonically_increasing_id().alias("uid"), "text")
+    return bool(reaches(len(np.intersect1d(one, two, assume_unique=True)), len(one), len(two)))
+
+
+def fuzzy_keys(sets: list[np.ndarray], tables: int = TABLES) -> np.ndarray:
+    """One row of tables * PROBES keys for each set."""
+    bits = tables * SEGMENTS * SEGMENT_BITS
+    out = [np.zeros((0, tables * PROBES), np.int64)]
+    for i in range(0, len(sets), _DECODED):
+        out.append(soft_keys(np.array([bit_sums(s, bits) for s in sets[i : i + _DECODED]]), tables, SEGMENTS, PROBES))
+    return np.concatenate(out)
+
+
+def _digest(text: Column) -> Column:
+    return F.xxhash64(F.coalesce(text, F.lit("")))
+
+
+def prints(docs: DataFrame, tables: int = TABLES) -> DataFrame:
+    """(id, tx, fp, keys): a hash of the text, a hash of its set, and the set's keys (none for the empty set)."""
+    rows = docs.select(F.col("doc_id").cast("long").alias("id"), _digest(F.col("text")).alias("tx"), "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for batch in slices(whole, "text", SLICE_BYTES):
                 sets = [shingles(t.as_py()) for t in as_text(batch.column("text"))]
+                some = [s for s in sets if len(s)]
                 fp = np.fromiter((xxhash.xxh64_intdigest(s.tobytes(), SEED) if len(s) else 0 for s in sets), np.uint64, len(sets))
-                keys = band_keys(sets).view(np.int64)
-                ends = np.concatenate([[0], np.cumsum([BANDS if len(s) else 0 for s in sets])]).astype(np.int32)
-                flat = keys[[len(s) > 0 for s in sets]].ravel()
-                yield pa.record_batch([batch.column("row"), batch.column("id"), batch.column("uid"), pa.array(fp.view(np.int64)), pa.ListArray.from_arrays(ends, pa.array(flat))], names=["row", "id", "uid", "fp", "keys"])
+                ends = np.concatenate([[0], np.cumsum([tables * PROBES if len(s) else 0 for s in sets])]).astype(np.int32)
+                keys = pa.ListArray.from_arrays(ends, pa.array(fuzzy_keys(some, tables).ravel()))
+                yield pa.record_batch([batch.column("id"), batch.column("tx"), pa.array(fp.view(np.int64)), keys], names=["id", "tx", "fp", "keys"])
 
-    out = StructType([rows.schema["row"], StructField("id", LongType()), StructField("uid", LongType()), StructField("fp", LongType()), StructField("keys", ArrayType(LongType()))])
-    return rows.mapInArrow(run, out)
+    return rows.mapInArrow(run, "id long, tx long, fp long, keys array<long>")
 
 
 def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
@@ -109,25 +114,11 @@ def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     for side in ("b", "a"):
         uses = pairs.groupBy(side).agg(F.count(F.lit(1)).alias("n"))
         lookup = texts.select(F.col("fp").alias(side), F.col("text").alias("text_" + side)).join(uses.hint("merge"), side)
-        pairs = materialise(join_lookup(pairs, materialise(lookup, "texts"), side, "n").drop("n"), "pairs")
+        pairs = join_lookup(pairs, materialise(lookup, "texts"), side, "n").drop("n")
+        pairs = materialise(pairs, "pairs") if side == "b" else pairs
     return materialise(pairs.select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long"), "verified")
 
 
-def _alone(texts: DataFrame) -> DataFrame:
-    """The sets (fp) that reach SIMILARITY with no other one, since more of their shingles than that allows are theirs alone."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for batch in slices(whole, "text", SLICE_BYTES):
-                for fp, text in zip(batch.column("fp").to_pylist(), as_text(batch.column("text"))):
-                    hashes = shingles(text.as_py())
-                    yield pa.record_batch([pa.array(hashes.view(np.int64)), pa.array(np.full(len(hashes), fp)), pa.array(np.full(len(hashes), len(hashes)))], names=["shingle", "fp", "size"])
-
-    rows = texts.select("fp", "text").mapInArrow(run, "shingle long, fp long, size long")
-    own = rows.groupBy("shingle").agg(F.min("fp").alias("fp"), F.min("size").alias("size"), F.count(F.lit(1)).alias("n")).filter("n = 1")
-    return own.groupBy("fp", "size").agg(F.count(F.lit(1)).alias("own")).filter(10 * (F.col("size") - F.col("own")) < round(10 * SIMILARITY) * F.col("size")).select("fp")
-
-
 def _outside(large: DataFrame, edges: DataFrame) -> DataFrame:
     """(key, fp, comp, main, n) of the buckets that hold more than one component, whose largest one is ``main``."""
     known = components(edges).withColumnRenamed("node", "fp")
@@ -137,47 +128,108 @@ def _outside(large: DataFrame, edges: DataFrame) -> DataFrame:
     return materialise(join_lookup(members, materialise(main.filter("parts > 1").drop("parts"), "main"), "key", "n"), "outside")
 
 
-def links(rows: DataFrame) -> DataFrame:
-    """Edges (a, b) between different sets of the written ``signed`` rows."""
-    keys = materialise(rows.groupBy("fp").agg(F.any_value("keys").alias("keys")).select("fp", F.explode("keys").alias("key")), "keys")
-    shared = keys.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("least")).filter("n > 1")
-    candidates = materialise(join_lookup(keys, materialise(shared, "shared"), "key", "n"), "candidates")
-    small, large = candidates.filter(F.col("n") <= BUCKET_LIMIT), candidates.filter(F.col("n") > BUCKET_LIMIT)
+def _compared(one: list[np.ndarray], two: list[np.ndarray]) -> Iterator[tuple[int, int]]:
+    """(i, j) of the sets of two blocks that reach SIMILARITY."""
+    size = np.array([len(s) for s in two])
+    known, inverse = np.unique(np.concatenate(two), return_inverse=True)
+    starts = np.concatenate([[0], np.cumsum(size)[:-1]])
+    for i, s in enumerate(one):
+        at = np.minimum(np.searchsorted(known, s), len(known) - 1)
+        mark = np.zeros(len(known), np.int64)
+        mark[at[known[at] == s]] = 1
+        shared = np.add.reduceat(mark[inverse], starts)
+        yield from ((i, int(j)) for j in np.flatnonzero(reaches(shared, len(s), size)))
+
+
+def _by_blocks(outside: DataFrame, texts: DataFrame) -> DataFrame:
+    """Links (a, b) between the sets outside the largest component of a bucket and all sets of another component there.
+
+    Buckets with the same largest component are one group, so a set that stands in many of them is compared once. The
+    strays of a group and all its sets are cut into blocks by a hash; a pair of blocks is a row of numbers until the
+    texts are joined to it, and only links leave its task.
+    """
+    rows = outside.select(F.col("main").alias("group"), "fp", "comp", (F.col("comp") != F.col("main")).alias("stray")).distinct()
+    rows = rows.join(texts.select("fp", F.length("text").alias("chars")).hint("merge"), "fp").withColumn("side", F.xxhash64("group", "stray"))
+    rows = materialise(rows, "rows")
+    parts = rows.groupBy("group", "stray", "side").agg(F.count(F.lit(1)).alias("n"), F.sum("chars").alias("chars"))
+    parts = materialise(parts.withColumn("blocks", F.greatest(F.ceil(F.col("n") / BLOCK_ROWS), F.ceil(F.col("chars") / BLOCK_CHARS)).cast("long")), "parts")
+    dealt = join_lookup(rows.select("side", "fp", "comp"), parts.select("side", "n", "blocks"), "side", "n")
+    dealt = dealt.select(F.xxhash64("side", F.pmod(F.xxhash64("fp", F.lit(7)), "blocks")).alias("block"), "fp", "comp")
+    numbered = parts.select("group", "stray", "side", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("i"))
+    numbered = numbered.select("group", "stray", F.xxhash64("side", "i").alias("block"))
+    left = numbered.filter("stray").select("group", F.col("block").alias("one"))
+    meets = left.join(numbered.select("group", "stray", F.col("block").alias("two")).hint("merge"), "group").filter("not stray or one <= two")
+    meets = materialise(meets.select("one", "two", F.xxhash64("one", "two").alias("pair")), "meets")
+    ends = meets.select("pair", F.col("one").alias("block"), F.lit(0).alias("end")).unionByName(meets.select("pair", F.col("two").alias("block"), F.lit(1).alias("end")))
+    held = materialise(dealt.join(ends.hint("merge"), "block").select("pair", "end", "fp", "comp"), "held")
+    uses = held.groupBy("fp").agg(F.count(F.lit(1)).alias("n"))
+    lookup = materialise(texts.select("fp", "text").join(uses.hint("merge"), "fp"), "texts")
+    full = join_lookup(held, lookup, "fp", "n").select("pair", "end", "fp", "comp", "text")
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        held = lru_cache(4 * BLOCK_ROWS)(shingles)
+        first, second = (np.flatnonzero(pdf["end"].to_numpy() == e) for e in (0, 1))
+        fp, comp, texts = pdf["fp"].to_numpy(), pdf["comp"].to_numpy(), pdf["text"].to_list()
+        found = _compared([held(texts[x]) for x in first], [held(texts[x]) for x in second]) if len(first) and len(second) else []
+        ends = ((first[i], second[j]) for i, j in found)
+        return pd.DataFrame([(min(fp[x], fp[y]), max(fp[x], fp[y])) for x, y in ends if comp[x] != comp[y]], columns=["a", "b"], dtype="int64")
+
+    return materialise(full.groupBy("pair").applyInPandas(run, "a long, b long").distinct(), "block-links")
+
+
+def links(distinct: DataFrame, texts_of: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """Edges (a, b) between different sets of the written ``distinct(fp, keys)``; ``texts_of`` adds their texts to sets (fp)."""
+    keys = distinct.select("fp", F.explode("keys").alias("key"))
+    shared = materialise(keys.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("a"), F.max("fp").alias("b")).filter("n > 1"), "shared")
+    more = materialise(shared.filter("n > 2").select("key", "n", F.col("a").alias("least")), "more")
+    members = materialise(join_lookup(keys, more, "key", "n"), "members")
+    small, large = members.filter(F.col("n") <= BUCKET_LIMIT), members.filter(F.col("n") > BUCKET_LIMIT)
     one, two = small.select("key", F.col("fp").alias("a")), small.select("key", F.col("fp").alias("b"))
-    texts = rows.select("fp", F.col("row.text").alias("text")).join(candidates.select("fp").distinct().hint("merge"), "fp", "left_semi")
-    texts = materialise(texts.groupBy("fp").agg(F.any_value("text").alias("text")), "texts")
-    alone = materialise(_alone(texts.join(large.select("fp").distinct().hint("merge"), "fp", "left_semi")), "alone")
-    large = materialise(large.join(alone.hint("merge"), "fp", "left_anti").select("key", "fp"), "large")
-    least = materialise(large.groupBy("key").agg(F.min("fp").alias("least"), F.count(F.lit(1)).alias("n")), "least")
-    large = materialise(join_lookup(large, least, "key", "n"), "large")
-    pairs = one.join(two.hint("merge"), "key").filter("a < b").select("a", "b")
+    pairs = shared.filter("n = 2").select("a", "b").unionByName(one.join(two.hint("merge"), "key").filter("a < b").select("a", "b"))
     pairs = pairs.unionByName(large.filter("fp <> least").select(F.col("least").alias("a"), F.col("fp").alias("b")))
     tried = materialise(pairs.distinct(), "pairs")
+    candidates = tried.select(F.col("a").alias("fp")).unionByName(tried.select(F.col("b").alias("fp"))).distinct()
+    texts = materialise(texts_of(candidates), "texts")
     edges = verified(tried, texts)
     if large.isEmpty():
         return edges
-    for turn in range(3):
+    for turn in range(2):
         outside = _outside(large, edges)
         strays = outside.filter("comp <> main")
         if strays.isEmpty():
-            break
-        if turn < 2:
-            lead = strays.groupBy("key").agg(F.min_by(F.struct("fp", "comp"), F.xxhash64("fp", F.lit(turn))).alias("lead"), F.any_value("n").alias("n"))
-            pairs = join_lookup(outside.drop("n"), materialise(lead, "lead"), "key", "n").filter("comp <> lead.comp").select("fp", F.col("lead.fp").alias("to"))
-        else:
-            ends = strays.select("key", F.col("fp").alias("to"), F.col("comp").alias("other"))
-            pairs = outside.join(ends.hint("merge"), "key").filter("comp <> other").select("fp", "to")
+            return edges
+        lead = strays.groupBy("key").agg(F.min_by(F.struct("fp", "comp"), F.xxhash64("fp", F.lit(turn))).alias("lead"), F.any_value("n").alias("n"))
+        pairs = join_lookup(outside.drop("n"), materialise(lead, "lead"), "key", "n").filter("comp <> lead.comp").select("fp", F.col("lead.fp").alias("to"))
         pairs = pairs.select(F.least("fp", "to").alias("a"), F.greatest("fp", "to").alias("b")).distinct().join(tried.hint("merge"), ["a", "b"], "left_anti")
         pairs = materialise(pairs, "pairs")
         edges, tried = edges.unionByName(verified(pairs, texts)), tried.unionByName(pairs)
-    return edges
-
-
-def keep_one(docs: DataFrame) -> DataFrame:
-    """One document of each group stays, that of the smallest id; rows whose id is null stay all."""
-    rows = materialise(signed(docs), "signed")
-    distinct = materialise(rows.groupBy("fp").agg(F.min("id").alias("least"), F.count(F.lit(1)).alias("n")), "distinct")
-    by_set = labels(distinct, spanning_forest(links(rows)))
-    found = join_lookup(rows.select("fp", "id", "uid"), by_set, "fp", "n")
-    kept = found.filter("id = component_id").groupBy("id", "comp").agg(F.min("uid").alias("uid")).select("uid")
-    return rows.select("uid", "row").join(kept.unionByName(found.filter("id is null").select("uid")).hint("merge"), "uid", "left_semi").select("row.*")
+    outside = _outside(large, edges)
+    return edges if outside.isEmpty() else edges.unionByName(_by_blocks(outside, texts))
+
+
+def _sized(rows: DataFrame) -> DataFrame:
+    """The written ``rows`` as the side of a join that is sent to all tasks, if they are few."""
+    return F.broadcast(rows) if rows.count() <= BROADCAST_ROWS else rows.hint("merge")
+
+
+def keep_one(docs: DataFrame, tables: int = TABLES) -> DataFrame:
+    """One document of each group stays, that of the smallest id (of its texts the one with the least hash); rows whose
+    id is null stay all."""
+    rows = materialise(prints(docs, tables), "prints")
+    distinct = rows.groupBy("fp").agg(F.any_value("keys").alias("keys"), F.min("id").alias("least"), F.count(F.lit(1)).alias("n"))
+    distinct = materialise(distinct, "distinct")
+    tagged = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("id"), _digest(F.col("text")).alias("tx"))
+
+    def texts_of(sets: DataFrame) -> DataFrame:
+        wanted = rows.select("fp", "tx").join(sets.hint("merge"), "fp", "left_semi").groupBy("fp").agg(F.min("tx").alias("tx"))
+        found = tagged.join(_sized(materialise(wanted, "wanted")), "tx")
+        return found.groupBy("fp").agg(F.any_value("row.text").alias("text"))
+
+    by_set = labels(distinct.drop("keys"), spanning_forest(links(distinct, texts_of)))
+    found = materialise(join_lookup(rows.select("id", "tx", "fp"), by_set, "fp", "n").filter("id is not null"), "found")
+    stay = found.filter("id = component_id").groupBy("id", "comp").agg(F.min("tx").alias("tx")).select("id", "tx", F.lit(True).alias("stays"))
+    texts = found.groupBy("id", "tx").agg(F.count(F.lit(1)).alias("times")).join(stay.hint("merge"), ["id", "tx"], "left")
+    marks = materialise(texts.filter("stays is null or times > 1").select("id", "tx", F.col("stays").isNotNull().alias("stays")), "marks")
+    marked = tagged.join(_sized(marks), ["id", "tx"], "left")
+    repeated = marked.filter("stays").dropDuplicates(["id", "tx"])
+    return marked.filter("stays is null").unionByName(repeated).select("row.*")

@@ -19,7 +19,8 @@ component id unless all ids of the component are null; an empty table gives no r
 from __future__ import annotations
 
 from collections.abc import Iterator
-from itertools import combinations
+from functools import lru_cache
+from itertools import combinations, product
 
 import numpy as np
 import pyarrow as pa
@@ -27,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from textgroups.llm.words import as_text
+from textgroups.llm.words import _mix, as_text
 from textgroups.operators.components import components, spanning_forest
 from textgroups.plans.skew import join_lookup
 from textgroups.plans.storage import materialise
@@ -38,6 +39,8 @@ BUCKET_LIMIT = 16
 #: Generator polynomial of the Golay code: x^11 + x^10 + x^6 + x^5 + x^4 + x^2 + 1.
 GENERATOR = 0b110001110101
 _STEP = 1 << 18
+#: Bits of a Golay codeword, and the most bits that soft decoding turns.
+SEGMENT_BITS, SOFT_WEIGHT = 23, 5
 
 
 def fingerprint(text: str, shingle: int = SHINGLE) -> int:
@@ -75,6 +78,7 @@ def _remainder(word: int) -> int:
     return word
 
 
+@lru_cache(1)
 def golay_tables() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Syndrome of the upper 12 bits of a word, error patterns (up to weight 4) of each syndrome, and their number.
 
@@ -131,6 +135,67 @@ def fuzzy_keys(distinct: DataFrame) -> DataFrame:
     return distinct.select("fp").mapInArrow(run, "key long, fp long")
 
 
+@lru_cache(1)
+def _patterns() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """By syndrome: the error patterns of up to SOFT_WEIGHT bits, their bit places (SEGMENT_BITS: none), and which are real."""
+    single = [_remainder(1 << (SEGMENT_BITS - 1 - i)) for i in range(SEGMENT_BITS)]
+    lists: list[list[tuple[int, ...]]] = [[] for _ in range(2048)]
+    for weight in range(SOFT_WEIGHT + 1):
+        for places in combinations(range(SEGMENT_BITS), weight):
+            s = 0
+            for i in places:
+                s ^= single[i]
+            lists[s].append(places)
+    most = max(map(len, lists))
+    words, places = np.zeros((2048, most), np.int64), np.full((2048, most, SOFT_WEIGHT), SEGMENT_BITS, np.int64)
+    for s, found in enumerate(lists):
+        for j, at in enumerate(found):
+            words[s, j] = sum(1 << (SEGMENT_BITS - 1 - i) for i in at)
+            places[s, j, : len(at)] = at
+    return words, places, np.arange(most) < np.array([len(x) for x in lists])[:, None]
+
+
+def bit_sums(hashes: np.ndarray, bits: int) -> np.ndarray:
+    """For each of ``bits`` fingerprint bits: the hashes that have it set less those that don't, over the root of their number."""
+    words = -(-bits // 64)
+    seeds = _mix(np.arange(1, words + 1, dtype=np.uint64))
+    places = np.arange(8 * words, dtype=np.int64) * 256
+    counts = np.zeros(8 * words * 256, np.int64)
+    for i in range(0, len(hashes), 4096):
+        octets = _mix(hashes[i : i + 4096, None] ^ seeds).view(np.uint8)
+        counts += np.bincount((octets + places).ravel(), minlength=len(counts))
+    of_byte = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1).astype(np.float64)
+    ones = (counts.reshape(-1, 256).astype(np.float64) @ of_byte).ravel()[:bits]
+    return (2 * ones - len(hashes)) / np.sqrt(max(1, len(hashes)))
+
+
+def soft_keys(sums: np.ndarray, tables: int, segments: int, probes: int) -> np.ndarray:
+    """(texts, tables * probes) fuzzy keys of rows of bit sums.
+
+    A key is a table and one codeword index for each of its ``segments``. Every segment is decoded to the codewords whose
+    disagreement with it, weighed by how clear the disagreeing bits are, is least; of the combinations the ``probes``
+    least in all are taken. Near copies differ in unclear bits first, so they share a key far more often than by the
+    number of their differing bits.
+    """
+    n = len(sums)
+    words, places, real = _patterns()
+    x = sums.reshape(-1, SEGMENT_BITS)
+    hard = (x > 0) @ (1 << np.arange(SEGMENT_BITS - 1, -1, -1))
+    clear = np.concatenate([np.abs(x), np.zeros((len(x), 1))], axis=1)
+    syndrome = golay_tables()[0][hard >> 11] ^ (hard & 2047)
+    cost = np.take_along_axis(clear[:, None, :], places[syndrome].reshape(len(x), 1, -1), axis=2).reshape(len(x), -1, SOFT_WEIGHT).sum(axis=2)
+    cost[~real[syndrome]] = np.inf
+    best = np.argsort(cost, axis=1, kind="stable")[:, :probes]
+    cost = np.take_along_axis(cost, best, axis=1).reshape(n, tables, segments, probes)
+    index = ((hard[:, None] ^ np.take_along_axis(words[syndrome], best, axis=1)) >> 11).reshape(n, tables, segments, probes)
+    chosen = np.array([c for c in product(range(probes), repeat=segments) if np.prod(np.array(c) + 1) <= probes])  # no other one is among the least
+    keys, total = np.zeros((n, tables, len(chosen)), np.int64), np.zeros((n, tables, len(chosen)))
+    for s in range(segments):
+        keys, total = keys << 12 | index[:, :, s, chosen[:, s]], total + cost[:, :, s, chosen[:, s]]
+    least = np.argsort(total, axis=2, kind="stable")[:, :, :probes]
+    return (np.take_along_axis(keys, least, axis=2) | (np.arange(tables)[None, :, None] << 12 * segments)).reshape(n, -1)
+
+
 def links(distinct: DataFrame) -> DataFrame:
     """Edges (a, b) between different fingerprints whose components are those of all links of up to MAX_BITS bits."""
     keys = materialise(fuzzy_keys(distinct), "keys")
