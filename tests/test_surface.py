@@ -131,3 +131,16 @@ def test_windows(spark, small, kind):
     events = tables.load(spark, small, "events")
     total = event_windows(events, kind).agg(F.sum("n")).first()[0]
     assert total == events.count() * (4 if kind == "sliding" else 1)
+
+
+def test_running_totals_in_two_levels(spark):
+    from textgroups.plans.skew import running_totals
+
+    rows = spark.range(3000).selectExpr("if(id % 3 = 0, 'hot', concat('g', id % 7)) g", "id", "cast(id / 10 as long) b")
+    want, seen = {}, {}
+    for r in rows.orderBy("id").collect():
+        n, s = seen.get(r["g"], (0, 0))
+        want[r["id"]], seen[r["g"]] = (n, s), (n + 1, s + r["id"])
+    for coarse in (None, F.floor(F.col("b") / 16)):
+        got = running_totals(rows, ["g"], "b", [F.col("id")], F.col("id"), "at", "before", coarse).collect()
+        assert {r["id"]: (r["at"], r["before"]) for r in got} == want
