@@ -28,9 +28,10 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from textgroups.llm.rows import keep_unmarked, sized, text_key
 from textgroups.llm.simhash import SEGMENT_BITS, bit_sums, labels, soft_keys
 from textgroups.llm.words import as_text, slices
 from textgroups.operators.components import components, spanning_forest
@@ -43,8 +44,6 @@ TABLES, SEGMENTS, PROBES, SEED = 20, 3, 6, 43
 BUCKET_LIMIT = 8
 #: Sets and characters of a block that is compared with another one, about.
 BLOCK_ROWS, BLOCK_CHARS = 256, 4 << 20
-#: Numbers of texts and of dropped rows go to the tasks by broadcast up to so many (24 bytes each), beyond it by shuffle.
-BROADCAST_ROWS = 500_000
 SLICE_BYTES, _DECODED = 2 << 20, 128
 
 
@@ -81,13 +80,9 @@ def fuzzy_keys(sets: list[np.ndarray], tables: int = TABLES) -> np.ndarray:
     return np.concatenate(out)
 
 
-def _digest(text: Column) -> Column:
-    return F.xxhash64(F.coalesce(text, F.lit("")))
-
-
 def prints(docs: DataFrame, tables: int = TABLES) -> DataFrame:
     """(id, tx, fp, keys): a hash of the text, a hash of its set, and the set's keys (none for the empty set)."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("id"), _digest(F.col("text")).alias("tx"), "text")
+    rows = docs.select(F.col("doc_id").cast("long").alias("id"), text_key(F.col("text")).alias("tx"), "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -207,29 +202,21 @@ def links(distinct: DataFrame, texts_of: Callable[[DataFrame], DataFrame]) -> Da
     return edges if outside.isEmpty() else edges.unionByName(_by_blocks(outside, texts))
 
 
-def _sized(rows: DataFrame) -> DataFrame:
-    """The written ``rows`` as the side of a join that is sent to all tasks, if they are few."""
-    return F.broadcast(rows) if rows.count() <= BROADCAST_ROWS else rows.hint("merge")
-
-
 def keep_one(docs: DataFrame, tables: int = TABLES) -> DataFrame:
     """One document of each group stays, that of the smallest id (of its texts the one with the least hash); rows whose
     id is null stay all."""
     rows = materialise(prints(docs, tables), "prints")
     distinct = rows.groupBy("fp").agg(F.any_value("keys").alias("keys"), F.min("id").alias("least"), F.count(F.lit(1)).alias("n"))
     distinct = materialise(distinct, "distinct")
-    tagged = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("id"), _digest(F.col("text")).alias("tx"))
 
     def texts_of(sets: DataFrame) -> DataFrame:
         wanted = rows.select("fp", "tx").join(sets.hint("merge"), "fp", "left_semi").groupBy("fp").agg(F.min("tx").alias("tx"))
-        found = tagged.join(_sized(materialise(wanted, "wanted")), "tx")
-        return found.groupBy("fp").agg(F.any_value("row.text").alias("text"))
+        found = docs.select(text_key(F.col("text")).alias("tx"), "text").join(sized(materialise(wanted, "wanted")), "tx")
+        return found.groupBy("fp").agg(F.any_value("text").alias("text"))
 
     by_set = labels(distinct.drop("keys"), spanning_forest(links(distinct, texts_of)))
     found = materialise(join_lookup(rows.select("id", "tx", "fp"), by_set, "fp", "n").filter("id is not null"), "found")
     stay = found.filter("id = component_id").groupBy("id", "comp").agg(F.min("tx").alias("tx")).select("id", "tx", F.lit(True).alias("stays"))
     texts = found.groupBy("id", "tx").agg(F.count(F.lit(1)).alias("times")).join(stay.hint("merge"), ["id", "tx"], "left")
     marks = materialise(texts.filter("stays is null or times > 1").select("id", "tx", F.col("stays").isNotNull().alias("stays")), "marks")
-    marked = tagged.join(_sized(marks), ["id", "tx"], "left")
-    repeated = marked.filter("stays").dropDuplicates(["id", "tx"])
-    return marked.filter("stays is null").unionByName(repeated).select("row.*")
+    return keep_unmarked(docs, marks)
