@@ -1,8 +1,8 @@
 """Quality rules as a bitmask ledger (operator 5).
 
-Every rule is evaluated once per document; the ledger keeps the measurements and one failure bit per rule. Policies are
-versioned sets of rules: a verdict is a bitwise test of the ledger, so a new policy or an ablation reads the ledger and
-never the texts. Defined results: a null or empty text has no words, all measures 0, and fails the word count; repeated
+Every rule is evaluated once per document; the ledger, a written table, keeps the measurements, one failure bit per rule
+and the number of rules it was made with. Policies are versioned sets of rules: a verdict is a bitwise test of the
+ledger, so a new policy or an ablation reads the ledger and never the texts. Defined results: a null or empty text has no words, all measures 0, and fails the word count; repeated
 rows and ids are judged row by row; an empty table gives no rows; extra columns are ignored.
 """
 
@@ -17,9 +17,10 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
+from textgroups.llm.rows import keep_unmarked, text_key
 from textgroups.llm.words import as_text, combine, hash_strings, slices, split_words
+from textgroups.plans.storage import materialise
 
 WINDOW = 8
 #: Bytes of text measured at once, about: a worker's arrays follow it.
@@ -124,19 +125,16 @@ def measure(texts: pa.Array) -> dict[str, np.ndarray]:
 
 
 def _measured(docs: DataFrame) -> DataFrame:
-    """``docs`` with a struct ``__measures`` of the measures, taken where the text is: no shuffle."""
-    names = docs.columns
-    schema = T.StructType([*docs.schema.fields, T.StructField("__measures", T.StructType([T.StructField(m, T.LongType()) for m in MEASURES]))])
-    at = names.index("text")
+    """(doc_id, tx, measures): taken where the text is, without a shuffle; ``tx`` is a hash of the text."""
+    rows = docs.select(F.col("doc_id").cast("long"), text_key(F.col("text")).alias("tx"), "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, at, MEASURE_BYTES):
-                got = measure(as_text(part.column(at)))
-                struct = pa.StructArray.from_arrays([pa.array(got[m].astype(np.int64)) for m in MEASURES], names=list(MEASURES))
-                yield pa.RecordBatch.from_arrays([*part.columns, struct], names=[*names, "__measures"])
+            for part in slices(batch, "text", MEASURE_BYTES):
+                got = measure(as_text(part.column("text")))
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("tx"), *[pa.array(got[m].astype(np.int64)) for m in MEASURES]], names=["doc_id", "tx", *MEASURES])
 
-    return docs.mapInArrow(run, schema)
+    return rows.mapInArrow(run, "doc_id long, tx long, " + ", ".join(f"{m} long" for m in MEASURES))
 
 
 def _failed(mask: int, of: Callable[[str], Column]) -> Column:
@@ -144,30 +142,41 @@ def _failed(mask: int, of: Callable[[str], Column]) -> Column:
     return reduce(lambda x, y: x.bitwiseOR(y), bits, F.lit(0).cast("long"))
 
 
-def ledger(docs: DataFrame) -> DataFrame:
-    """(doc_id, measures, failed): bit i of ``failed`` is set if rule i fails."""
-    measured = _measured(docs.select(F.col("doc_id").cast("long"), "text"))
-    return measured.select("doc_id", "__measures.*", _failed((1 << len(RULES)) - 1, lambda m: F.col("__measures")[m]).alias("failed"))
+def ledger(docs: DataFrame, path: str | None = None) -> DataFrame:
+    """(doc_id, tx, measures, failed, rules): bit i of ``failed`` is set if rule i fails, of the first ``rules`` rules.
+
+    The texts are read here and nowhere else: the ledger is written to ``path`` (to the shared folder without one) and
+    what is returned reads it. A ledger of fewer rules stays valid for the policies that use none of the later ones.
+    """
+    rows = _measured(docs).withColumn("failed", _failed((1 << len(RULES)) - 1, F.col)).withColumn("rules", F.lit(len(RULES)))
+    if path is None:
+        return materialise(rows, "ledger")
+    rows.write.mode("append").parquet(path)
+    return docs.sparkSession.read.schema(rows.schema).parquet(path)
+
+
+def _active(policy: str | tuple[str, ...]) -> int:
+    """The bits that reject a document: the policy's and, always, those of the base."""
+    return mask_of(policy) | mask_of("base")
 
 
 def verdicts(rows: DataFrame, policy: str | tuple[str, ...] = "v1") -> DataFrame:
     """The ledger with ``base_failed`` and ``kept`` under a policy; no text is read."""
-    base, mask = mask_of("base"), mask_of(policy) | mask_of("base")
-    return rows.withColumn("base_failed", F.col("failed").bitwiseAND(F.lit(base)) != 0).withColumn("kept", F.col("failed").bitwiseAND(F.lit(mask)) == 0)
+    return rows.withColumn("base_failed", F.col("failed").bitwiseAND(F.lit(mask_of("base"))) != 0).withColumn("kept", F.col("failed").bitwiseAND(F.lit(_active(policy))) == 0)
 
 
 def ablations(rows: DataFrame, policy: str | tuple[str, ...] = "v1") -> DataFrame:
-    """Per rule of a policy: documents that fail it, that fail only it, and that would stay without it."""
-    mask = mask_of(policy)
-    active = F.col("failed").bitwiseAND(F.lit(mask))
-    by_mask = rows.groupBy(active.alias("mask")).agg(F.count(F.lit(1)).alias("n"))
+    """Per rule that counts under a policy: documents that fail it, that fail only it, and that would stay without it."""
+    mask = _active(policy)
+    by_mask = rows.groupBy(F.col("failed").bitwiseAND(F.lit(mask)).alias("mask")).agg(F.count(F.lit(1)).alias("n"))
     rules = F.array(*[F.struct(F.lit(r.name).alias("rule"), F.lit(1 << i).cast("long").alias("bit")) for i, r in enumerate(RULES) if mask >> i & 1])
     each = by_mask.select("mask", "n", F.explode(rules).alias("r")).select("mask", "n", "r.*")
     fails, only = F.col("mask").bitwiseAND(F.col("bit")) != 0, F.col("mask") == F.col("bit")
-    return each.groupBy("rule").agg(F.sum(F.when(fails, F.col("n")).otherwise(0)).alias("failing"), F.sum(F.when(only, F.col("n")).otherwise(0)).alias("failing_alone"), F.sum(F.when(only | (F.col("mask") == 0), F.col("n")).otherwise(0)).alias("kept_without"))
+    count = lambda c: F.sum(F.when(c, F.col("n")).otherwise(0)).cast("long")
+    return each.groupBy("rule").agg(count(fails).alias("failing"), count(only).alias("failing_alone"), count(only | (F.col("mask") == 0)).alias("kept_without"))
 
 
-def keep_good(docs: DataFrame, policy: str = "v1") -> DataFrame:
-    """The documents that a policy keeps, with their own columns."""
-    mask = mask_of(policy) | mask_of("base")
-    return _measured(docs).filter(_failed(mask, lambda m: F.col("__measures")[m]) == 0).select(*docs.columns)
+def keep_good(docs: DataFrame, policy: str | tuple[str, ...] = "v1", path: str | None = None) -> DataFrame:
+    """The documents that a policy keeps, with their own columns; the verdict is read from the ledger."""
+    rejected = verdicts(ledger(docs, path), policy).filter("not kept").select(F.col("doc_id").alias("id"), "tx").distinct()
+    return keep_unmarked(docs, materialise(rejected.withColumn("stays", F.lit(False)), "rejected"))

@@ -36,6 +36,11 @@ def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "failed")
 
 
+def quality_ablations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What each rule of operator 5 does, from its ledger."""
+    return quality.ablations(quality.ledger(_docs(spark, sf_dir)))
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_cache.count_tokens(_docs(spark, sf_dir))
 
@@ -57,7 +62,7 @@ def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mixing, op2_license_scan, op3_lm_score, op4_sharding, op5_quality_rules, op6_token_counts, op7_best_fit_packing, op8_exact_dedup, op9_language_id, op10_simhash)}
+    return {f.__name__: f for f in (op1_mixing, op2_license_scan, op3_lm_score, op4_sharding, op5_quality_rules, op6_token_counts, op7_best_fit_packing, op8_exact_dedup, op9_language_id, op10_simhash, quality_ablations)}
 
 
 def oracle_sql() -> dict[str, str]:
