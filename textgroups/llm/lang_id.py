@@ -177,7 +177,7 @@ def sample(labelled: DataFrame, bound: int = SAMPLE_WINDOWS) -> tuple[np.ndarray
     key = F.xxhash64("doc_id", "text")
     unit = F.pmod(key, F.lit(1 << 30)) / float(1 << 30)
     rate = F.element_at(F.create_map(*[x for lang, n in sizes.items() for x in (F.lit(lang), F.lit(0.9 * share / n))]), F.col("lang"))
-    octets = F.encode(F.lower("text"), "UTF-8")
+    octets = F.encode(F.translate("text", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "UTF-8")  # as cut() lowers
     start = F.pmod(F.shiftrightunsigned(key, 31), F.greatest(F.octet_length(octets) - WINDOW // 2, F.lit(1))).cast("int")
     drawn = labelled.filter(unit < rate).select("lang", F.substring(octets, start + 1, F.lit(WINDOW)).alias("w")).limit(bound).collect()
     windows = np.zeros((len(drawn), WINDOW), np.uint8)
