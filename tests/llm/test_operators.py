@@ -113,6 +113,7 @@ def test_mix_targets_by_hand(spark):
 def test_schedule_is_even(spark, docs):
     sizes = docs.select("doc_id", "source", mixing.word_count(F.col("text")).alias("size"))
     slots = mixing.schedule(mixing.source_targets(sizes), 16).toPandas().sort_values("slot")
+    assert slots["slot"].is_unique
     total = Counter(slots["_src"])
     for source, n in total.items():
         first = (slots["_src"].to_numpy()[: len(slots) // 2] == source).sum()
@@ -188,13 +189,20 @@ def test_quality_measures_against_brute_force(spark, docs, rows):
         assert tuple(got[i][m] for m in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")) == want
 
 
-def test_policies_and_ablations_read_the_ledger(spark, docs, small):
+def test_policies_and_ablations_read_the_ledger(spark, docs, small, tmp_path):
     ledger = quality.ledger(docs)
     kept = {r["doc_id"] for r in quality.verdicts(ledger).filter("kept").collect()}
     assert kept == {r["doc_id"] for r in quality.keep_good(docs).collect()}
     labels = {r["doc_id"]: r["quality"] for r in spark.read.parquet(f"{small}/labels.parquet").collect()}
     base = {r["doc_id"] for r in quality.verdicts(ledger, "base").filter("kept").collect()}
     assert all((i in kept) == (labels[i] == 1) for i in labels if i in base)
+    path = str(tmp_path / "ledger")
+    stored = quality.ledger(docs, path)
+    assert stored.filter("rules <> 9").isEmpty() and spark.read.parquet(path).count() == docs.count()
+    for policy in ("v1", "base", ("symbols",)):
+        alive = stored.filter(F.col("failed").bitwiseAND(F.lit(quality.mask_of(policy) | 3)) == 0).count()
+        assert quality.verdicts(stored, policy).filter("kept").count() == alive == quality.keep_good(docs, policy).count()
+        assert all(r["kept_without"] == alive + r["failing_alone"] for r in quality.ablations(stored, policy).collect())
     for r in quality.ablations(ledger).collect():
         without = tuple(x for x in quality.POLICIES["v1"] if x != r["rule"])
         mask = quality.mask_of(without)
@@ -286,6 +294,30 @@ def test_plan_places_every_length(seed):
     assert len(bins) <= 1.23 * sum(x * n for x, n in histogram.items()) / 100 + 1
 
 
+def test_one_row_of_a_group_is_kept(spark):
+    """Equal ids over different texts, exact repeats, null and extreme ids."""
+    low = -(1 << 63)
+    table = [(1, "ab"), (1, "a b"), (2, "a\tb"), (3, "x"), (3, "x"), (None, "y z"), (None, "y z"), (low, "yz"), (low, "q"), (None, "q"), (4, None), (5, "")]
+    d = spark.createDataFrame(table, "doc_id long, text string")
+    got = exact_dedup.deduplicate(d).collect()
+    assert Counter(r["doc_id"] for r in got) == Counter(i for i, _ in table)
+    kept = Counter((r["doc_id"], r["group_size"]) for r in got if r["kept"])
+    assert kept == Counter([(1, 3), (3, 2), (None, 3), (low, 2), (4, 2)])
+    assert {r["keep_id"] for r in got if r["group_size"] == 3} == {1, None}
+    assert Counter((r["doc_id"], r["text"]) for r in exact_dedup.keep_first(d).collect()) == Counter([(1, "a b"), (3, "x"), (None, "y z"), (low, "q"), (4, None)])
+
+
+def test_an_index_drops_what_came_before(spark):
+    index = exact_dedup.DigestIndex(spark, "index_batches", 2)
+    try:
+        one = spark.createDataFrame([(1, "a b"), (2, "c")], "doc_id long, text string")
+        two = spark.createDataFrame([(0, "ab  "), (1, "a b"), (3, "d"), (4, "d")], "doc_id long, text string")
+        assert all(r["kept"] for r in exact_dedup.deduplicate(one, index).collect())
+        assert {(r["doc_id"], r["keep_id"], r["kept"]) for r in exact_dedup.deduplicate(two, index).collect()} == {(0, 1, False), (1, 1, False), (3, 3, True), (4, 3, False)}
+    finally:
+        index.drop()
+
+
 def test_digest_index_persists(spark, docs):
     index = exact_dedup.DigestIndex(spark, "index_test", 4)
     try:
@@ -314,6 +346,31 @@ def test_language_network(spark, small):
     assert "xx" not in again.values()
 
 
+def test_verdict_of_whole_texts_against_the_plain_network(spark, docs):
+    """Every window of every text through the network itself, weighed by its bytes; 'und' without a letter."""
+    labelled = docs.select("doc_id", "text", "lang").filter("lang is not null and text <> ''")
+    net = lang_id.train(*lang_id.sample(labelled, 200), epochs=2)
+    some = docs.select("doc_id", "text").limit(40).collect()
+    texts = {r["doc_id"]: r["text"] for r in some} | {-1: None, -2: "", -3: "12 !?\n", -4: "ÄÖ " * 300, -5: "A" * lang_id.WINDOW}
+    d = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    for r in lang_id.predict(d, net).collect():
+        octets = lower(texts[r["doc_id"]]).encode()
+        if not re.search(r"[^\W\d_]", texts[r["doc_id"]] or ""):
+            assert (r["lang_pred"], r["score"]) == ("und", 0)
+            continue
+        total, size = np.zeros(len(net.languages)), 0
+        for i in range(0, len(octets), lang_id.WINDOW):
+            piece = octets[i : i + lang_id.WINDOW]
+            x = np.zeros((1, lang_id.WINDOW), np.uint8)
+            x[0, : len(piece)] = np.frombuffer(piece, np.uint8)
+            logits = np.maximum(lang_id._forward(net, x)[1], 0)[0] @ net.weights + net.offset
+            total += len(piece) * (logits - logits.max() - np.log(np.exp(logits - logits.max()).sum()))
+            size += len(piece)
+        p = np.exp(total / size - (total / size).max())
+        p /= p.sum()
+        assert r["score"] == pytest.approx(p.max(), abs=1e-3) and (r["lang_pred"] == net.languages[int(p.argmax())] or np.sort(p)[-2] > p.max() - 1e-3)
+
+
 def test_convolution_tables_equal_the_network():
     rng = np.random.default_rng(0)
     x = rng.integers(32, 127, (40, lang_id.WINDOW)).astype(np.uint8)

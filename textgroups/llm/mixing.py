@@ -64,7 +64,7 @@ def lines(sizes: DataFrame) -> DataFrame:
     while 16**digits * BUCKET_ROWS < rows and digits < 7:
         digits += 1
     tagged = sizes.withColumn("_h", F.md5(F.concat_ws("#", F.lit("mix"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))).withColumn("_b", F.substring("_h", 1, digits)).withColumn("_src", source_key(F.col("source")))
-    placed = running_totals(tagged, ["_src"], "_b", [F.col("_h"), F.col("doc_id"), F.col("size")], F.col("size"), "place", "start")
+    placed = running_totals(tagged, ["_src"], "_b", [F.col("_h"), F.col("doc_id"), F.col("size")], F.col("size"), "place", "start", F.substring("_b", 1, digits // 2))
     return placed.drop("_h", "_b")
 
 
@@ -86,10 +86,12 @@ def schedule(targets: DataFrame, block: int = BLOCK_WORDS) -> DataFrame:
     points = points.withColumn("cell", F.floor(F.col("u") * CELLS))
     cells = ends.withColumn("cell", F.explode(F.sequence(F.floor(F.col("low") * CELLS), F.least(F.floor(F.col("high") * CELLS), F.lit(CELLS - 1)))))
     hit = points.join(cells, "cell").filter("u >= low and u < high").select("k", "_src", "blocks", "words", F.floor(F.col("k") / BUCKET_ROWS).alias("_b"))
-    ranked = running_totals(hit, ["_src"], "_b", [F.col("k")], F.lit(0), "rank", "_zero").filter("rank < blocks").select(F.col("k").alias("slot"), "_src", "rank", "words")
+    ranked = running_totals(hit, ["_src"], "_b", [F.col("k")], F.lit(0), "rank", "_zero", F.floor(F.col("_b") / BUCKET_ROWS)).filter("rank < blocks").select(F.col("k").alias("slot"), "_src", "rank", "words")
     got = ranked.groupBy("_src").agg(F.count(F.lit(1)).alias("got"))
     short = ends.join(got, "_src", "left").withColumn("got", F.coalesce("got", F.lit(0))).filter("got < blocks")
-    tail = short.select(F.lit(slots).alias("slot"), "_src", F.explode(F.sequence("got", F.col("blocks") - 1)).alias("rank"), "words")
+    # The points miss a source's share by a few blocks at most (their discrepancy), so few are numbered here.
+    tail = short.select("_src", F.explode(F.sequence("got", F.col("blocks") - 1)).alias("rank"), "words")
+    tail = tail.select((F.row_number().over(Window.orderBy("rank", "_src")) - 1 + slots).cast("long").alias("slot"), "_src", "rank", "words")
     every = ranked.unionByName(tail)
     return every.select("slot", "_src", "rank", F.least(F.lit(block).cast("long"), F.col("words") - F.col("rank") * block).alias("words"))
 
@@ -120,10 +122,12 @@ def mix_blocks(docs: DataFrame, block: int = BLOCK_WORDS) -> DataFrame:
 
 
 def mixture(docs: DataFrame, block: int = BLOCK_WORDS) -> DataFrame:
-    """One row per document: doc_id, size, source_size, target, taken (words the mix takes), source."""
+    """One row per document: doc_id, size, source_size, target, taken (words the mix takes), source, first_slot (the first
+    slot that takes of it, null: none)."""
     pieces = mix_blocks(docs, block)
     keys = ["doc_id", "source", "place", "size", "source_size", "target"]
-    return pieces.groupBy(*keys).agg(F.sum("words").cast("long").alias("taken")).select("doc_id", "size", "source_size", "target", "taken", "source")
+    taken = pieces.groupBy(*keys).agg(F.sum("words").cast("long").alias("taken"), F.min(F.when(F.col("words") > 0, F.col("slot"))).alias("first_slot"))
+    return taken.select("doc_id", "size", "source_size", "target", "taken", "source", "first_slot")
 
 
 def mixed_documents(docs: DataFrame, block: int = BLOCK_WORDS) -> DataFrame:

@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from textgroups.llm import license_scan, mixing, sharding
+from textgroups.llm import license_scan, mixing, quality, sharding
 
 WORD = r"[^\x20\x09-\x0D]+"
 
 
 def mixing_sql() -> str:
     w5, w2, w1 = mixing.WEIGHTS
+    b = mixing.BLOCK_WORDS
     return f"""
 WITH d AS (SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '{WORD}'))::BIGINT AS size FROM documents),
 s AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM d GROUP BY source),
@@ -18,9 +19,19 @@ r AS (SELECT *, sum(source_size) OVER () AS total, sum(weight) OVER () AS all_w,
 l AS (SELECT *, (total::DOUBLE * {mixing.FACTOR} - full_s::DOUBLE * {mixing.CAP}) / (all_w - full_w)::DOUBLE AS level FROM r),
 water AS (SELECT level FROM l WHERE level * weight <= source_size * {mixing.CAP} ORDER BY source_size::DOUBLE / weight LIMIT 1),
 t AS (SELECT source, source_size, least(coalesce((SELECT level FROM water) * weight, source_size * 2.0::DOUBLE), source_size * 2.0::DOUBLE) AS target FROM l),
-p AS (SELECT d.*, t.source_size, t.target, coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY md5('mix#' || d.doc_id), d.doc_id, d.size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS start FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source)
-SELECT doc_id, size, source_size, target, source,
-  CAST(greatest(0, least(start + size, floor(target)::BIGINT) - start) + greatest(0, least(start + source_size + size, floor(target)::BIGINT) - start - source_size) AS BIGINT) AS taken FROM p"""
+p AS (SELECT d.*, t.source_size, t.target, coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY md5('mix#' || d.doc_id), d.doc_id, d.size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS start FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
+q AS MATERIALIZED (SELECT *, row_number() OVER () AS rid FROM p),
+sh AS (SELECT source, floor(target)::BIGINT AS words, ceil(floor(target) / {b})::BIGINT AS blocks, (upto - target) / al AS low, CASE WHEN upto >= al THEN 2.0::DOUBLE ELSE upto / al END AS high
+  FROM (SELECT source, target, sum(target) OVER (ORDER BY source NULLS LAST ROWS UNBOUNDED PRECEDING) AS upto, sum(target) OVER () AS al FROM t) WHERE floor(target) > 0),
+pt AS (SELECT k, x - floor(x) AS u FROM (SELECT k, (k + 0.5::DOUBLE) * {mixing.GOLDEN}::DOUBLE AS x FROM (SELECT unnest(range(CAST((SELECT sum(blocks) FROM sh) AS BIGINT))) AS k))),
+ht AS (SELECT k AS slot, source, blocks, row_number() OVER (PARTITION BY source ORDER BY k) - 1 AS rank FROM pt JOIN sh ON u >= low AND u < high QUALIFY rank < blocks),
+sl AS (SELECT slot, source, rank FROM ht UNION ALL
+  SELECT row_number() OVER (ORDER BY rank, CASE WHEN source IS NULL THEN '-' ELSE '=' || source END) - 1 + (SELECT CAST(sum(blocks) AS BIGINT) FROM sh), source, rank
+  FROM (SELECT sh.source, unnest(range(coalesce(g.n, 0), sh.blocks)) AS rank FROM sh LEFT JOIN (SELECT source, count(*) AS n FROM ht GROUP BY source) g ON g.source IS NOT DISTINCT FROM sh.source)),
+pc AS (SELECT rid, source, unnest(range(CAST(lo // {b} AS BIGINT), CAST((hi - 1) // {b} + 1 AS BIGINT))) AS rank FROM (SELECT rid, source, start + pass * source_size AS lo, least(start + pass * source_size + size, floor(target)::BIGINT) AS hi FROM q CROSS JOIN (SELECT unnest([0, 1]) AS pass)) WHERE lo < hi),
+fs AS (SELECT rid, min(slot) AS first_slot FROM pc JOIN sl ON sl.rank = pc.rank AND sl.source IS NOT DISTINCT FROM pc.source GROUP BY rid)
+SELECT doc_id, size, source_size, target, source, fs.first_slot,
+  CAST(greatest(0, least(start + size, floor(target)::BIGINT) - start) + greatest(0, least(start + source_size + size, floor(target)::BIGINT) - start - source_size) AS BIGINT) AS taken FROM q LEFT JOIN fs USING (rid)"""
 
 
 def license_sql() -> str:
@@ -62,12 +73,20 @@ f AS (SELECT *, (n_words < 20)::BIGINT + 2 * (100 * n_repeat_words > 30 * n_word
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, failed & 3 <> 0 AS base_failed, failed = 0 AS kept, failed FROM f"""
 
 
+def ablations_sql() -> str:
+    rules = ", ".join(f"('{r.name}', {1 << i})" for i, r in enumerate(quality.RULES))
+    return f"""
+WITH m AS ({quality_sql()})
+SELECT rule, CAST(count(*) FILTER (failed & bit <> 0) AS BIGINT) AS failing, CAST(count(*) FILTER (failed = bit) AS BIGINT) AS failing_alone, CAST(count(*) FILTER (failed = bit OR failed = 0) AS BIGINT) AS kept_without
+FROM m CROSS JOIN (VALUES {rules}) r(rule, bit) GROUP BY rule"""
+
+
 def exact_dedup_sql() -> str:
     return """
 WITH d AS (SELECT doc_id, length(coalesce(text, '')) AS n, sha256(regexp_replace(coalesce(text, ''), '[\\x20\\x09-\\x0D]', '', 'g')) AS h FROM documents)
 SELECT doc_id, first_value(doc_id) OVER (PARTITION BY h ORDER BY n DESC, doc_id) AS keep_id, count(*) OVER (PARTITION BY h) AS group_size,
-  doc_id = first_value(doc_id) OVER (PARTITION BY h ORDER BY n DESC, doc_id) AS kept, h AS text_sha256 FROM d"""
+  row_number() OVER (PARTITION BY h ORDER BY n DESC, doc_id) = 1 AS kept, h AS text_sha256 FROM d"""
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_mixing": mixing_sql(), "op2_license_scan": license_sql(), "op4_sharding": sharding_sql(), "op5_quality_rules": quality_sql(), "op8_exact_dedup": exact_dedup_sql()}
+    return {"op1_mixing": mixing_sql(), "op2_license_scan": license_sql(), "op4_sharding": sharding_sql(), "op5_quality_rules": quality_sql(), "op8_exact_dedup": exact_dedup_sql(), "quality_ablations": ablations_sql()}
