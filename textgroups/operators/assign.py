@@ -12,8 +12,8 @@ from pyspark.sql import functions as F
 from textgroups.functions.text import UNIT
 from textgroups.functions.vectors import Vectors
 
-#: A centre matrix beyond this goes through a shuffle join instead of a broadcast.
-MATRIX_BYTES = 512 << 20
+#: A centre matrix beyond this is neither broadcast nor brought to the driver: centres stay a table (operators/tables.py).
+MATRIX_BYTES = 256 << 20
 #: Products that a kernel holds at once.
 _CELLS = 4_000_000
 ZERO_POLICIES = ("lowest", "drop", "noise")
@@ -21,9 +21,19 @@ STRATEGIES = ("block", "dense", "join", "shuffle", "expr", "truncate", "prune")
 _SALT = 16
 
 
+def fits(k: int, v: int) -> bool:
+    """Whether a matrix of k centres of v terms may be held by the driver and each task."""
+    return k * v * 8 <= MATRIX_BYTES
+
+
+def checked(k: int, v: int) -> None:
+    if not fits(k, v):
+        raise ValueError(f"a matrix of {k} centres and {v} terms is beyond MATRIX_BYTES: use strategy 'shuffle'")
+
+
 def plan_strategy(n: int, z: float, k: int, v: int) -> str:
     """Exact strategy by the size of the centre matrix (D-table): a kernel while it can be broadcast, else a shuffle."""
-    return "block" if k * v * 8 <= MATRIX_BYTES else "shuffle"
+    return "block" if fits(k, v) else "shuffle"
 
 
 def centre_matrix(centers: DataFrame, v: int, k: int | None = None) -> np.ndarray:
@@ -31,8 +41,7 @@ def centre_matrix(centers: DataFrame, v: int, k: int | None = None) -> np.ndarra
     got = centers.select(F.col("center_id").cast("long"), F.col("term_id").cast("long"), F.col("cq").cast("double")).toArrow()
     c, t, x = (got.column(i).to_numpy() for i in range(3))
     k = k if k is not None else (int(c.max()) + 1 if len(c) else 0)
-    if k * v * 8 > MATRIX_BYTES:
-        raise ValueError("the centre matrix is too large to be broadcast: use strategy 'shuffle'")
+    checked(k, v)
     out = np.zeros((v, k))
     out[t, c] = x
     return out
@@ -49,6 +58,7 @@ def vectors_of(vecs: Vectors, picked: DataFrame) -> np.ndarray:
     """Matrix of the documents in ``picked(center_id, doc_id)``: k vectors come to the driver."""
     rows = vecs.packed.join(F.broadcast(picked), "doc_id")
     k = picked.count()
+    checked(k, vecs.v)
     out = np.zeros((vecs.v, k))
     for r in rows.select("center_id", "idx", "val").collect():
         out[r["idx"], r["center_id"]] = r["val"]
@@ -133,6 +143,11 @@ def _by_join(vecs: Vectors, centers: DataFrame, top: int, shuffle: bool) -> Data
     return ids.join(best, "doc_id", "left").select("doc_id", F.coalesce("center_id", lowest).alias("center_id"), F.coalesce("dp", lowest).alias("dp"), F.coalesce("rank", F.lit(1)).alias("rank"), "empty")
 
 
+def nearest_by_join(vecs: Vectors, centers: DataFrame) -> DataFrame:
+    """(doc_id, center_id, dp, rank, empty) by the salted shuffle join, for centres that stay a table."""
+    return _by_join(vecs, centers, 1, True)
+
+
 def _by_expression(vecs: Vectors, matrix: np.ndarray) -> DataFrame:
     """Dense points against a few centres, inside the JVM's expressions."""
     best = None
@@ -211,9 +226,11 @@ class Totals:
 def totals(packed: DataFrame, matrix: np.ndarray, fixed: str | None = None) -> Totals:
     """Assign and add up in one pass; ``fixed`` names a column of labels that hold where they are not null.
 
-    Each task adds up its documents before anything is shuffled: at most one row per centre and term leaves a task.
+    Each task adds up its documents before anything is shuffled: at most one row per centre and term leaves a task. The
+    matrix and its sums are of a checked size; beyond it use ``tables.add_up``.
     """
     v, k = matrix.shape
+    checked(k, v)
     spark = packed.sparkSession
     held = spark.sparkContext.broadcast(matrix)
 
@@ -228,24 +245,15 @@ def totals(packed: DataFrame, matrix: np.ndarray, fixed: str | None = None) -> T
             sizes, idx = _lists(batch.column("idx"), np.int64)
             _, val = _lists(batch.column("val"), np.int64)
             cell = np.repeat(label, sizes) * v + idx
-            if sums is None:
-                sums = np.zeros(k * v, np.int64) if k * v <= 40_000_000 else {}
-            if isinstance(sums, dict):
-                where, inverse = np.unique(cell, return_inverse=True)
-                for c, x in zip(where.tolist(), np.bincount(inverse, val).astype(np.int64).tolist(), strict=True):
-                    sums[c] = sums.get(c, 0) + x
-            else:
-                sums += np.bincount(cell, val, k * v).astype(np.int64)
+            sums = np.zeros(k * v, np.int64) if sums is None else sums
+            sums += np.bincount(cell, val, k * v).astype(np.int64)
             n += np.bincount(label, minlength=k)
             ss += np.bincount(label, np.bincount(np.repeat(np.arange(len(sizes)), sizes), val * val, len(sizes)), k).astype(np.int64)
             np.minimum.at(low, label, dp)
         if sums is None:
             return
-        if isinstance(sums, dict):
-            cells, values = np.fromiter(sums, np.int64, len(sums)), np.fromiter(sums.values(), np.int64, len(sums))
-        else:
-            cells = np.flatnonzero(sums)
-            values = sums[cells]
+        cells = np.flatnonzero(sums)
+        values = sums[cells]
         some = np.flatnonzero(n)
         rows = [(cells // v, cells % v, values, np.zeros(len(cells), np.int64)), (some, np.full(len(some), -1), n[some], low[some]), (some, np.full(len(some), -2), ss[some], np.zeros(len(some), np.int64))]
         c, t, s, m = (np.concatenate(x) for x in zip(*rows, strict=True))

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from textgroups.functions.text import UNIT
 from textgroups.functions.vectors import Vectors
-from textgroups.operators.assign import unit
+from textgroups.operators.assign import checked, unit
 
 LINKAGES = ("single", "complete", "average", "centroid")
 
@@ -355,7 +355,8 @@ def link_in_one_task(vecs: Vectors, members: DataFrame, k: int) -> tuple[pa.Tabl
 
 
 def cluster_centers(vecs: Vectors, labels: DataFrame, k: int) -> np.ndarray:
-    """Unit centroids of labelled documents (H9)."""
+    """Unit centroids of labelled documents (H9), a matrix of a checked size."""
+    checked(k, vecs.v)
     got = vecs.postings.join(F.broadcast(labels), "doc_id").groupBy("cluster_id", "term_id").agg(F.sum("wq").alias("s")).toArrow()
     out = np.zeros((vecs.v, k))
     out[got.column("term_id").to_numpy(), got.column("cluster_id").to_numpy()] = got.column("s").to_numpy()

@@ -9,13 +9,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from textgroups.functions.vectors import Vectors
-from textgroups.operators.assign import assign_nearest, centre_matrix, totals, unit, vectors_of
+from textgroups.operators import tables
+from textgroups.operators.assign import assign_nearest, centre_matrix, centres_frame, totals, unit, vectors_of
 from textgroups.operators.sampling import pick_centers
 
 
 class LloydResult(NamedTuple):
     assign: DataFrame
-    centers: np.ndarray
+    centers: np.ndarray | DataFrame
     info: dict
 
 
@@ -44,14 +45,49 @@ def refill(fresh: np.ndarray, counts: np.ndarray, old: np.ndarray, empty: str, v
     return fresh
 
 
-def lloyd(vecs: Vectors, k: int, init="random", max_iter: int = 8, tol: float = 0.0, stop: str = "labels", seed: int = 42, empty: str = "keep") -> LloydResult:
+def _lloyd_by_table(vecs: Vectors, k: int, init, max_iter: int, tol: float, stop: str, seed: int, empty: str) -> LloydResult:
+    """The same rounds with centres that stay a table."""
+    if isinstance(init, np.ndarray):
+        centers = tables.materialise(centres_frame(vecs.packed.sparkSession, init), "centers")
+    elif isinstance(init, DataFrame):
+        centers = init.select(F.col("center_id").cast("long"), "term_id", "cq")
+    elif init == "random":
+        centers = tables.chosen(vecs, pick_centers(vecs.packed.select("doc_id"), k, seed, n=vecs.n))
+    else:
+        raise ValueError(f"start {init} needs a matrix of centres; give its centres as a table")
+    history, before, rounds = [], None, 0
+    for rounds in range(1, max_iter + 1):
+        now = tables.add_up(vecs, centers)
+        history.append(now.rss())
+        fresh = tables.unit_table(now.sums, centers, now.head)
+        if empty == "farthest":
+            full = {r["center_id"] for r in now.head.select("center_id").collect()}
+            none = [c for c in range(k) if c not in full]
+            if none:
+                far = now.labels.orderBy("dp", "doc_id").limit(len(none)).select("doc_id").collect()
+                picked = vecs.packed.sparkSession.createDataFrame([(c, r["doc_id"]) for c, r in zip(none, far)], "center_id long, doc_id long")
+                moved = [c for c, _ in zip(none, far)]
+                fresh = tables.materialise(fresh.filter(~F.col("center_id").isin(moved)).unionByName(tables.chosen(vecs, picked)), "centers")
+        shift = tables.largest_move(fresh, centers)
+        centers = fresh
+        if shift == 0 or (stop == "shift" and shift <= tol) or (stop == "rss" and before is not None and before - history[-1] <= tol * before):
+            break
+        before = history[-1]
+    labels = assign_nearest(vecs, centers, "shuffle").withColumnRenamed("center_id", "cluster_id")
+    return LloydResult(labels, centers, {"rounds": rounds, "rss_by_round": history, "passes": rounds + 1})
+
+
+def lloyd(vecs: Vectors, k: int, init="random", max_iter: int = 8, tol: float = 0.0, stop: str = "labels", seed: int = 42, empty: str = "keep", strategy: str = "auto") -> LloydResult:
     """Assign, add up in the tasks, add up over tasks, new means (B1, B1c, B1r).
 
     One pass over the vectors a round: labels are not stored, the sums come from the same pass that assigns. Sums and
     counts are carried, never means of means. Stops when no centre moves, which is when no label does (``labels``), when
     the largest move of a centre is at most ``tol`` (``shift``), or when RSS falls by no more than ``tol`` of itself
-    (``rss``); at ``max_iter`` rounds anyway (B1t).
+    (``rss``); at ``max_iter`` rounds anyway (B1t). ``strategy``: centres as a ``matrix``, as a table (``shuffle``), or
+    by the size of the matrix (``auto``); the labels are the same, and ``centers`` is a table in the second case.
     """
+    if tables.by_table(strategy, k, vecs.v):
+        return _lloyd_by_table(vecs, k, init, max_iter, tol, stop, seed, empty)
     centers = initial_centers(vecs, k, init, seed)
     history, before = [], None
     rounds = 0

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from textgroups.functions.text import UNIT
 from textgroups.functions.vectors import Vectors
+from textgroups.operators import tables
 from textgroups.operators.assign import Totals, assign_nearest, totals, unit, vectors_of
 from textgroups.operators.sampling import pick_centers
 
@@ -42,8 +43,8 @@ class Micro(NamedTuple):
 
 class MicroResult(NamedTuple):
     assign: DataFrame
-    centers: np.ndarray
-    micro: Micro
+    centers: np.ndarray | DataFrame
+    micro: Micro | MicroTable
     groups: np.ndarray
     info: dict
 
@@ -87,10 +88,15 @@ class Links(NamedTuple):
 
 def micro_similarity(centers: np.ndarray, least: np.ndarray, zero_rule: str = "either", clamp: bool = True) -> Links:
     """Similarity of every pair (A5, A7); ``clamp=False`` keeps the sign (A5r); ``cosine`` links by centre cosine only."""
+    return links_of_products(centers.T @ centers, least, zero_rule, clamp)
+
+
+def links_of_products(dots: np.ndarray, least: np.ndarray, zero_rule: str = "either", clamp: bool = True) -> Links:
+    """The same from the products of all pairs of centres."""
     if zero_rule not in ZERO_RULES:
         raise ValueError(f"unknown zero rule {zero_rule}")
-    m = centers.shape[1]
-    gram = np.round(centers.T @ centers / UNIT / UNIT, 12)
+    m = len(dots)
+    gram = np.round(dots / UNIT / UNIT, 12)
     a, b = np.triu_indices(m, 1)
     cos = gram[a, b]
     raw = np.round(cos - least[a] - least[b], 12)
@@ -235,20 +241,38 @@ def cf_rss(stats: Totals) -> float:
     return stats.rss()
 
 
-def microgroup(vecs: Vectors, k: int, n_micro: int, *, seed: int = 42, link: str = "first", zero_rule: str = "either", clamp: bool = True, threshold: str = "exact", unreachable: str = "rank", final_rounds: int = 1, center: str = "mean", keep_empty: bool = False) -> MicroResult:
-    """Proposal (a) (A0): two passes over the documents, whatever the number of micro-clusters.
+class MicroTable(NamedTuple):
+    """Micro-clusters whose vectors stay tables; what is here of each is a few numbers."""
 
-    ``unreachable`` (A10): if no threshold leaves ``k`` groups, cut the total order of all pairs (``rank``), take the
-    nearest count that a threshold gives (``nearest``), or fail (``error``). ``info`` always says what the literal
-    relation gave.
-    """
-    micro = build_micro(vecs, n_micro, seed, keep_empty)
-    m = micro.m
-    s0 = initial_threshold(micro.stats.least)
-    links = micro_similarity(micro.centers, micro.stats.least, zero_rule, clamp)
+    centers: DataFrame
+    sums: DataFrame
+    count: np.ndarray
+    least: np.ndarray
+    rss: float
+
+
+def build_micro_table(vecs: Vectors, n_micro: int, seed: int = 42, keep_empty: bool = False) -> MicroTable:
+    """``build_micro`` without a matrix: the micro-clusters are renumbered over those that are not dropped."""
+    if n_micro > MOST_MICRO:
+        raise ValueError(f"links of more than {MOST_MICRO} micro-clusters are not held on the driver")
+    n_micro = min(n_micro, vecs.n)
+    centers = tables.chosen(vecs, pick_centers(vecs.packed.select("doc_id"), n_micro, seed, n=vecs.n))
+    now = tables.add_up(vecs, centers)
+    count, least = np.zeros(n_micro), np.full(n_micro, float(UNIT * UNIT))
+    for r in now.head.select("center_id", "n", "low").collect():
+        count[r["center_id"]], least[r["center_id"]] = r["n"], r["low"]
+    some = np.arange(n_micro) if keep_empty else np.flatnonzero(count > 0)
+    number = vecs.packed.sparkSession.createDataFrame(pa.table({"center_id": some.astype(np.int64), "mc": np.arange(len(some))}))
+    renumber = lambda df: df.join(F.broadcast(number), "center_id").drop("center_id").withColumnRenamed("mc", "center_id")
+    return MicroTable(renumber(centers), renumber(now.sums), count[some], least[some] / UNIT / UNIT, now.rss())
+
+
+def choose_groups(links: Links, least: np.ndarray, k: int, link: str, threshold: str, unreachable: str) -> tuple[np.ndarray, dict]:
+    """(group of each micro-cluster, what the threshold and the literal relation gave) (A4-A10)."""
+    m, trials = len(least), 0
+    s0 = initial_threshold(least)
     if threshold == "exact":
         s, reached = exact_threshold(links, m, k, link)
-        trials = 0
     else:
         s, reached, trials = threshold_search(links, m, k, s0, threshold, link)
     policy = "threshold"
@@ -259,14 +283,40 @@ def microgroup(vecs: Vectors, k: int, n_micro: int, *, seed: int = 42, link: str
         policy = unreachable
         linked = link_by_rank(links, m, k, link) if unreachable == "rank" else linked
     groups = group(links, linked, m, link)
+    found = int(groups.max(initial=-1)) + 1
+    return groups, {"s0": s0, "s_link": s, "groups_at_s0": count_groups(links, s0, m, link), "groups_literal": reached, "k_reached": found == k, "policy_used": policy, "trials": trials, "groups": found, "n_micro": m}
+
+
+def microgroup(vecs: Vectors, k: int, n_micro: int, *, seed: int = 42, link: str = "first", zero_rule: str = "either", clamp: bool = True, threshold: str = "exact", unreachable: str = "rank", final_rounds: int = 1, center: str = "mean", keep_empty: bool = False, strategy: str = "auto") -> MicroResult:
+    """Proposal (a) (A0): two passes over the documents, whatever the number of micro-clusters.
+
+    ``unreachable`` (A10): if no threshold leaves ``k`` groups, cut the total order of all pairs (``rank``), take the
+    nearest count that a threshold gives (``nearest``), or fail (``error``). ``info`` always says what the literal
+    relation gave. ``strategy`` as in ``lloyd``: with the same labels, centres are a matrix or stay a table.
+    """
+    if tables.by_table(strategy, n_micro, vecs.v):
+        micro = build_micro_table(vecs, n_micro, seed, keep_empty)
+        links = links_of_products(tables.products(micro.centers, len(micro.count)), micro.least, zero_rule, clamp)
+        groups, info = choose_groups(links, micro.least, k, link, threshold, unreachable)
+        of = vecs.packed.sparkSession.createDataFrame(pa.table({"center_id": np.arange(len(groups)), "g": groups.astype(np.int64)}))
+        source = micro.sums if center == "mean" else micro.centers.withColumnRenamed("cq", "s")
+        added = source.join(F.broadcast(of), "center_id").groupBy(F.col("g").alias("center_id"), "term_id").agg(F.sum("s").alias("s"))
+        centers = tables.unit_table(tables.materialise(added, "sums"))
+        for _ in range(final_rounds - 1):
+            now = tables.add_up(vecs, centers)
+            centers = tables.unit_table(now.sums, centers, now.head)
+        labels = assign_nearest(vecs, centers, "shuffle").withColumnRenamed("center_id", "cluster_id")
+        return MicroResult(labels, centers, micro, groups, info | {"passes": 1 + final_rounds, "cf_rss": micro.rss})
+    micro = build_micro(vecs, n_micro, seed, keep_empty)
+    links = micro_similarity(micro.centers, micro.stats.least, zero_rule, clamp)
+    groups, info = choose_groups(links, micro.stats.least, k, link, threshold, unreachable)
     centers = group_centers(micro, groups, center)
     for _ in range(final_rounds - 1):  # A12r
         now = totals(vecs.packed, centers)
         fresh = unit(now.sums)
         centers = np.where(now.count > 0, fresh, centers)
     labels = assign_nearest(vecs, centers).withColumnRenamed("center_id", "cluster_id")
-    info = {"s0": s0, "s_link": s, "groups_at_s0": count_groups(links, s0, m, link), "groups_literal": reached, "k_reached": int(groups.max(initial=-1)) + 1 == k, "policy_used": policy, "trials": trials, "groups": int(groups.max(initial=-1)) + 1, "n_micro": m, "passes": 1 + final_rounds, "cf_rss": micro.stats.rss()}
-    return MicroResult(labels, centers, micro, groups, info)
+    return MicroResult(labels, centers, micro, groups, info | {"passes": 1 + final_rounds, "cf_rss": micro.stats.rss()})
 
 
 def sweep_micro(vecs: Vectors, k: int, ratios: tuple[float, ...] = (5, 3, 2.25, 2), seed: int = 42) -> list[dict]:

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from textgroups.functions.vectors import Vectors
+from textgroups.operators import tables
 from textgroups.operators.assign import assign_nearest, totals, unit
 from textgroups.operators.hac import cluster_centers, link_in_one_task, mst_link, parthac, sample_clusters
 from textgroups.operators.sampling import draw_sample, sample_size
@@ -24,7 +25,7 @@ BROADCAST_ROWS = 4_000_000
 
 class SampleResult(NamedTuple):
     assign: DataFrame
-    centers: np.ndarray
+    centers: np.ndarray | DataFrame
     sample: DataFrame
     info: dict
 
@@ -40,13 +41,33 @@ def seed_from_sample(vecs: Vectors, sample: DataFrame, s: int, k: int, linkage:
     return sample_clusters(vecs, sample, k, linkage)
 
 
-def sampleseed(vecs: Vectors, k: int, *, s: int | None = None, linkage: str = "single", hac: str = "mst", parts: int | None = None, rounds: int = 2, reassign_sample: bool = False, seed: int = 42) -> SampleResult:
+def _by_table(vecs: Vectors, drawn: DataFrame, s: int, k: int, linkage: str, hac: str, parts: int | None, rounds: int, reassign_sample: bool) -> SampleResult:
+    """The same with centres that stay a table."""
+    fixed = materialise(seed_from_sample(vecs, materialise(drawn, "sample"), s, k, linkage, hac, parts), "seeded")
+    centers = tables.unit_table(tables.sums_of(vecs, fixed.withColumnRenamed("cluster_id", "center_id")))
+    held = None if reassign_sample else fixed.select("doc_id", F.col("cluster_id").alias("fixed"))
+    history = []
+    for _ in range(rounds - 1):
+        now = tables.add_up(vecs, centers, held)
+        history.append(now.rss())
+        centers = tables.unit_table(now.sums, centers, now.head)
+    found = assign_nearest(vecs, centers, "shuffle")
+    if held is not None:
+        found = found.join(held.hint("merge"), "doc_id", "left").withColumn("center_id", F.coalesce("fixed", "center_id")).drop("fixed")
+    info = {"s": s, "rounds": rounds, "rss_by_round": history, "passes": rounds, "linkage": linkage, "hac": hac}
+    return SampleResult(found.withColumnRenamed("center_id", "cluster_id"), centers, fixed, info)
+
+
+def sampleseed(vecs: Vectors, k: int, *, s: int | None = None, linkage: str = "single", hac: str = "mst", parts: int | None = None, rounds: int = 2, reassign_sample: bool = False, seed: int = 42, strategy: str = "auto") -> SampleResult:
     """Proposal (b) (H0): sample of sqrt(k n) documents, hierarchical clustering, ``rounds`` rounds of assignment.
 
     The sample's documents keep their cluster unless ``reassign_sample`` (H11b); they count in the centroids anyway.
+    ``strategy`` as in ``lloyd``: with the same labels, centres are a matrix or stay a table.
     """
     s = s or sample_size(vecs.n, k)
     drawn = draw_sample(vecs.packed.select("doc_id"), s, seed, n=vecs.n)
+    if tables.by_table(strategy, k, vecs.v):
+        return _by_table(vecs, drawn, s, k, linkage, hac, parts, rounds, reassign_sample)
     if hac == "mst" and linkage == "single" and parts is None and s <= ONE_TASK_ROWS:
         table, centers = link_in_one_task(vecs, drawn, k)
         fixed = vecs.packed.sparkSession.createDataFrame(table)

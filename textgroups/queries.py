@@ -273,6 +273,12 @@ for _r in (1, 2, 3):
     _lloyd_query(_r)
 
 
+@query(ORACLES["lloyd_r2"])
+def lloyd_shuffled(spark, sf_dir):
+    """B1 with centres that stay a table"""
+    return lloyd(vecs_of(spark, sf_dir), K, max_iter=2, strategy="shuffle").assign.select("doc_id", "cluster_id")
+
+
 @query(O.with_([*D, *O.lloyd(K, 2)], "\nUNION ALL\n".join(f"SELECT {i + 1} AS round, round({O.rss(f'l{i}')}, 4) AS rss" for i in range(3))))
 def lloyd_rss_by_round(spark, sf_dir):
     """B1, M1"""
@@ -399,6 +405,12 @@ def micro_labels(spark, sf_dir):
     return micro_result(spark, sf_dir).assign.select("doc_id", "cluster_id")
 
 
+@query(ORACLES["micro_labels"])
+def micro_shuffled(spark, sf_dir):
+    """A0 with centres that stay a table"""
+    return microgroup.microgroup(vecs_of(spark, sf_dir), K, M, strategy="shuffle").assign.select("doc_id", "cluster_id")
+
+
 @query(O.with_(ML, f"SELECT round({O.rss('fin')}, 4) AS rss, round({O.rss('l0')}, 4) AS cf_rss"))
 def micro_rss(spark, sf_dir):
     """M1, A13"""
@@ -546,6 +558,12 @@ for _n, _rr, _re in (("sampleseed_r1", 1, False), ("sampleseed_r2", 2, False), (
     _sample_query(_n, _rr, _re)
 
 
+@query(ORACLES["sampleseed_r2"])
+def sampleseed_shuffled(spark, sf_dir):
+    """H0 with centres that stay a table"""
+    return sampleseed.sampleseed(vecs_of(spark, sf_dir), K, strategy="shuffle").assign.select("doc_id", "cluster_id")
+
+
 @query(O.with_([*D, *O.sampleseed(K, 1)], "SELECT side, count(*) AS n FROM (SELECT 'fixed' AS side FROM seeded UNION ALL SELECT 'attached' FROM t1) GROUP BY side"))
 def label_union(spark, sf_dir):
     """H10, O17"""
