@@ -10,11 +10,15 @@ UNIT = 1 << 20
 SEPARATOR = r"[^\p{L}\p{N}]+"
 
 
+def words(text: Column, pattern: str = SEPARATOR, lower: bool = True) -> Column:
+    """The words of a text as an array; null has none."""
+    text = F.coalesce(text, F.lit(""))
+    return F.filter(F.split(F.lower(text) if lower else text, pattern), lambda t: t != "")
+
+
 def tokens(docs: DataFrame, pattern: str = SEPARATOR, lower: bool = True, stop: DataFrame | None = None, ngram: int = 1, id_col: str = "doc_id") -> DataFrame:
     """(doc_id, pos, term) (O5); ``stop(term)`` (a small list) is left out before n-grams are built."""
-    text = F.coalesce(F.col("text"), F.lit(""))
-    words = F.filter(F.split(F.lower(text) if lower else text, pattern), lambda t: t != "")
-    out = docs.select(F.col(id_col).alias("doc_id"), F.posexplode(words).alias("pos", "term"))
+    out = docs.select(F.col(id_col).alias("doc_id"), F.posexplode(words(F.col("text"), pattern, lower)).alias("pos", "term"))
     if stop is not None:
         out = out.join(F.broadcast(stop), "term", "left_anti")
     if ngram > 1:
@@ -40,11 +44,25 @@ def _tf(tf: Column, mode: str, most: Column | None) -> Column:
     return {"raw": tf, "log1p": F.log1p(tf), "binary": F.lit(1.0), "augmented": 0.5 + 0.5 * tf / (most if most is not None else tf)}[mode]
 
 
+def _idf(df: Column, n: int, mode: str) -> Column:
+    return {"plain": F.log(F.lit(float(n)) / df), "smooth": F.log((1.0 + n) / (1.0 + df)) + 1, "none": F.lit(1.0)}[mode]
+
+
+def weigh(rows: DataFrame, n: int, tf_mode: str = "raw", idf_mode: str = "plain", norm: str = "l2") -> DataFrame:
+    """(doc_id, idx, val) of ``rows(doc_id, p)``, p an array of (term_id, tf, df): weights as in ``tfidf``, within the row."""
+    most = F.array_max(F.transform("p", lambda x: x["tf"])) if tf_mode == "augmented" else None
+    weight = lambda x: _tf(x["tf"], tf_mode, most) * _idf(x["df"], n, idf_mode)
+    weighed = rows.select("doc_id", F.filter(F.transform(F.array_sort("p"), lambda x: F.struct(x["term_id"].cast("int").alias("t"), weight(x).alias("w"))), lambda x: x["w"] > 0).alias("p"))
+    length = F.lit(1.0) if norm == "none" else F.sqrt(F.aggregate("p", F.lit(0.0), lambda s, x: s + x["w"] * x["w"]))
+    # The length is a lambda's argument, so it is worked out once a row and not once a term.
+    val = F.transform(F.array(length), lambda l: F.transform("p", lambda x: F.round(x["w"] / l * UNIT).cast("long")))[0]  # noqa: E741
+    return weighed.select("doc_id", F.transform("p", lambda x: x["t"]).alias("idx"), val.alias("val"))
+
+
 def tfidf(tf: DataFrame, df: DataFrame, n: int, tf_mode: str = "raw", idf_mode: str = "plain", norm: str = "l2") -> DataFrame:
     """(doc_id, term, tf, w, wq) (O8): w = tf * ln(n / df), wq = w over the document's length in units of 1/2^20."""
     most = F.max("tf").over(Window.partitionBy("doc_id")) if tf_mode == "augmented" else None
-    idf = {"plain": F.log(F.lit(float(n)) / F.col("df")), "smooth": F.log((1.0 + n) / (1.0 + F.col("df"))) + 1, "none": F.lit(1.0)}[idf_mode]
-    weighted = tf.join(df, "term").withColumn("w", _tf(F.col("tf"), tf_mode, most) * idf).filter("w > 0")
+    weighted = tf.join(df, "term").withColumn("w", _tf(F.col("tf"), tf_mode, most) * _idf(F.col("df"), n, idf_mode)).filter("w > 0")
     if norm == "none":
         return weighted.select("doc_id", "term", "tf", "w", F.round(F.col("w") * UNIT).cast("long").alias("wq"))
     length = F.sqrt(F.sum(F.col("w") * F.col("w")).over(Window.partitionBy("doc_id")))
@@ -52,8 +70,9 @@ def tfidf(tf: DataFrame, df: DataFrame, n: int, tf_mode: str = "raw", idf_mode:
 
 
 def hash_tf(toks: DataFrame, bits: int = 18) -> DataFrame:
-    """(doc_id, term_id, tf): terms as one of 2^bits buckets, no vocabulary needed."""
-    return toks.select("doc_id", F.pmod(F.xxhash64("term"), F.lit(1 << bits)).alias("term_id")).groupBy("doc_id", "term_id").agg(F.count(F.lit(1)).alias("tf"))
+    """(doc_id, term_id, tf): terms as one of 2^bits buckets by their md5, no vocabulary needed."""
+    bucket = F.conv(F.substring(F.md5("term"), 1, 15), 16, 10).cast("long") % (1 << bits)
+    return toks.select("doc_id", bucket.alias("term_id")).groupBy("doc_id", "term_id").agg(F.count(F.lit(1)).alias("tf"))
 
 
 def strip_html(html: Column) -> Column:

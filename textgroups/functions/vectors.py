@@ -7,8 +7,8 @@ from typing import NamedTuple
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from textgroups.functions.text import UNIT, doc_freq, term_freq, tfidf, tokens
-from textgroups.plans.skew import running_totals
+from textgroups.functions.text import UNIT, doc_freq, term_freq, tokens, weigh, words
+from textgroups.plans.skew import join_lookup, running_totals
 from textgroups.plans.storage import materialise
 
 
@@ -40,24 +40,43 @@ def unpack(packed: DataFrame) -> DataFrame:
     return packed.select("doc_id", F.explode(F.arrays_zip("idx", "val")).alias("p")).select("doc_id", F.col("p.idx").alias("term_id"), F.col("p.val").alias("wq"))
 
 
+#: Terms go to the tasks by broadcast up to so many (about 100 bytes each), beyond it postings are shuffled by term.
+BROADCAST_TERMS = 1_000_000
+
+
+def _by_broadcast(docs: DataFrame, terms: DataFrame) -> DataFrame:
+    """(doc_id, p) of all documents. The texts are dealt by id once; words are met with the terms, counted and gathered
+    where their text lies."""
+    dealt = docs.repartition("doc_id").select("doc_id", F.explode_outer(words(F.col("text"))).alias("term"))
+    counted = dealt.join(F.broadcast(terms), "term", "left").groupBy("doc_id", "term_id", "df").agg(F.count(F.lit(1)).alias("tf"))
+    return counted.groupBy("doc_id").agg(F.collect_list(F.when(F.col("term_id").isNotNull(), F.struct("term_id", "tf", "df"))).alias("p"))
+
+
+def _by_shuffle(docs: DataFrame, terms: DataFrame) -> DataFrame:
+    """The same through a join on the term; terms of very many documents are sent to all tasks instead."""
+    tf = materialise(term_freq(tokens(docs)), "tf")
+    found = join_lookup(tf, terms, "term", "df").groupBy("doc_id").agg(F.collect_list(F.struct("term_id", "tf", "df")).alias("p"))
+    every = docs.select("doc_id").distinct().join(found.hint("merge"), "doc_id", "left")
+    return every.select("doc_id", F.coalesce("p", F.array().cast(found.schema["p"].dataType)).alias("p"))
+
+
 def text_vectors(docs: DataFrame, min_df: int = 2, max_df: int | None = None, id_col: str = "doc_id", **weights) -> Vectors:
-    """tf-idf vectors of ``docs(id, text)``.
+    """tf-idf vectors of ``docs(id, text)``, one row an id.
 
-    Term ids are ranks in hash order, counted bucket by bucket, so no task sees the whole vocabulary.
+    Term ids are ranks in the order of the terms' md5, counted bucket by bucket, so no task sees the whole vocabulary.
+    A term's documents are counted within the rows first; the postings themselves are shuffled only where the terms are
+    too many to be sent to all tasks.
     """
     docs = docs.select(F.col(id_col).alias("doc_id"), "text")
-    tf = materialise(term_freq(tokens(docs)), "tf")
-    n = docs.count()
-    df = doc_freq(tf, min_df, max_df)
-    keyed = df.withColumn("_h", F.xxhash64("term")).withColumn("_b", F.shiftrightunsigned("_h", 56)).withColumn("_all", F.lit(0))
+    once = docs.select("doc_id", F.explode(F.array_distinct(words(F.col("text")))).alias("term"))
+    df = doc_freq(once, min_df, max_df)
+    keyed = df.withColumn("_h", F.md5("term")).withColumn("_b", F.substring("_h", 1, 2)).withColumn("_all", F.lit(0))
+    keyed = materialise(keyed, "df")
     terms = running_totals(keyed, ["_all"], "_b", [F.col("_h"), F.col("term")], F.lit(0), "term_id", "_z").select("term", "df", F.col("term_id").cast("int"))
     terms = materialise(terms, "terms")
-    weighted = tfidf(tf, terms, n, **weights)
-    packed = pack(weighted.join(terms.select("term", "term_id"), "term").select("doc_id", "term_id", "wq"))
-    every = docs.select("doc_id").join(packed, "doc_id", "left")
-    empty = lambda c, t: F.coalesce(F.col(c), F.array().cast(t))
-    packed = materialise(every.select("doc_id", empty("idx", "array<int>").alias("idx"), empty("val", "array<long>").alias("val")), "packed")
-    return Vectors(packed, terms, n, terms.count())
+    n, v = docs.count(), terms.count()
+    gathered = _by_broadcast(docs, terms) if v <= BROADCAST_TERMS else _by_shuffle(docs, terms)
+    return Vectors(materialise(weigh(gathered, n, **weights), "packed"), terms, n, v)
 
 
 def point_vectors(points: DataFrame, id_col: str = "vec_id", column: str = "embedding") -> Vectors:
