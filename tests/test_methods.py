@@ -6,13 +6,13 @@ from pyspark.sql import functions as F
 
 from textgroups.functions.text import UNIT
 from textgroups.functions.vectors import Vectors, point_vectors, text_vectors
-from textgroups.operators import hac, metrics, related
+from textgroups.operators import assign, hac, metrics, related
 from textgroups.operators.assign import Totals, assign_nearest, totals, unit, vectors_of
 from textgroups.operators.components import SCHEMES, components
 from textgroups.operators.lloyd import lloyd
 from textgroups.operators.microgroup import Links, count_groups, exact_threshold, group, initial_threshold, link_by_rank, link_edges, micro_similarity, microgroup, threshold_search
 from textgroups.operators.sampleseed import sampleseed
-from textgroups.operators.sampling import draw_sample, pick_centers, random_parts, sample_size
+from textgroups.operators.sampling import draw_sample, everything, pick_centers, random_parts, sample_size
 from textgroups.plans.storage import materialise
 from textgroups.queries import PUBLISHED
 from textgroups.sources.tables import load, replicate
@@ -265,3 +265,42 @@ def test_external_measures(spark):
     same = spark.createDataFrame([(i, i % 2, 1.0) for i in range(10)], "doc_id long, cluster_id long, sim double")
     got = metrics.external(same, truth, "l")
     assert got["purity"] == 1 and got["nmi"] == pytest.approx(1) and got["ari"] == pytest.approx(1) and got["pair_f"] == pytest.approx(1)
+
+
+def test_trees_aligned_from_the_root_down(points):
+    """One part is the plain tree; k parts of the whole collection give k clusters over all documents, the same each time."""
+    every = materialise(everything(points.packed.select("doc_id")))
+    n = every.count()
+    assert sorted(r["rk"] for r in every.collect()) == list(range(n))
+    one = {r["doc_id"]: r["cluster_id"] for r in hac.parthac(points, every, 6, 1, "average")[0].collect()}
+    whole = {r["doc_id"]: r["cluster_id"] for r in hac.sample_clusters(points, every, 6, "average").collect()}
+    assert len(set(zip((one[i] for i in whole), whole.values()))) == 6 == len(set(one.values()))
+    four = {r["doc_id"]: r["cluster_id"] for r in hac.parthac(points, every, 6, 4, "average")[0].collect()}
+    assert len(four) == n and set(four.values()) == set(range(6))
+    assert four == {r["doc_id"]: r["cluster_id"] for r in hac.parthac(points, every, 6, 4, "average")[0].collect()}
+
+
+def test_alignment_of_equal_trees():
+    """Two parts with the same tree, one with its halves swapped: the same leaves meet."""
+    vec = lambda *w: (np.array([i for i, x in enumerate(w) if x]), np.array([x for x in w if x]))
+    leaf = lambda *w: hac.Node(-1, -1, 1.0, 2, *vec(*w))
+    a, b, c = (9, 1, 0), (8, 4, 0), (0, 1, 9)
+    ab = tuple(x + y for x, y in zip(a, b))
+    root = tuple(x + y for x, y in zip(ab, c))
+    first = [leaf(*a), leaf(*b), leaf(*c), hac.Node(0, 1, 0.9, 4, *vec(*ab)), hac.Node(3, 2, 0.1, 6, *vec(*root))]
+    second = [leaf(*c), leaf(*b), leaf(*a), hac.Node(1, 2, 0.8, 4, *vec(*ab)), hac.Node(0, 3, 0.2, 6, *vec(*root))]
+    got = hac.align_trees_down({0: first, 1: second}, 3, 3)
+    assert got[0, 0] == got[1, 2] and got[0, 1] == got[1, 1] and got[0, 2] == got[1, 0] and len(set(got.values())) == 3
+    two = hac.align_trees_down({0: first, 1: second}, 2, 3)
+    assert two[0, 0] == two[0, 1] == two[1, 1] == two[1, 2] != two[0, 2] == two[1, 0]
+
+
+def test_limits_are_errors(points, monkeypatch):
+    drawn = draw_sample(points.packed.select("doc_id"), 30)
+    monkeypatch.setattr(hac, "MOST_ROWS", 20)
+    with pytest.raises(ValueError):
+        hac.sample_clusters(points, drawn, 3, "average")
+    monkeypatch.setattr(assign, "MATRIX_BYTES", 100)
+    with pytest.raises(ValueError):
+        lloyd(points, 5, max_iter=1, strategy="matrix")
+    assert lloyd(points, 5, max_iter=2).info["rounds"] == 2  # goes by table

@@ -3,19 +3,25 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from typing import NamedTuple
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from textgroups.functions.text import UNIT
 from textgroups.functions.vectors import Vectors
-from textgroups.operators.assign import checked, unit
+from textgroups.operators.assign import MATRIX_BYTES, checked, unit
+from textgroups.operators.components import components
+from textgroups.plans.skew import join_lookup, running_totals
+from textgroups.plans.storage import materialise
 
 LINKAGES = ("single", "complete", "average", "centroid")
+#: Documents that one task clusters at most: their products are a matrix of 200 MB.
+MOST_ROWS = 5_000
 
 
 def pairwise_sim(vecs: Vectors, members: DataFrame | None = None, min_sim: float | None = None) -> DataFrame:
@@ -207,11 +213,130 @@ def align_trees(vecs: Vectors, clusters: DataFrame, k: int, align: str = "cut")
     return labels, unit(total if total is not None else np.zeros((vecs.v, k)))
 
 
-def parthac(vecs: Vectors, sample: DataFrame, k: int, parts: int, linkage: str = "single", align: str = "cut") -> tuple[DataFrame, np.ndarray]:
-    """Hierarchical clustering over random parts with aligned trees (B5); ``sample(doc_id, rk)`` may be everything."""
+class Node(NamedTuple):
+    """A node of a part's merge tree; ``left`` and ``right`` are -1 for a leaf of the kept top."""
+
+    left: int
+    right: int
+    height: float
+    size: int
+    idx: np.ndarray
+    val: np.ndarray
+
+
+def tree_tops(vecs: Vectors, parts: DataFrame, leaves: int, linkage: str) -> DataFrame:
+    """The top of each part's merge tree, with ``leaves`` leaves at most: rows (part, node, left, right, height, size, idx,
+    val) of its nodes with their vectors' sums, and rows (part, node, doc_id) of the documents below its leaves (H7)."""
+    rows = vecs.packed.join(parts.hint("merge"), "doc_id")
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        if len(pdf) > MOST_ROWS:
+            raise ValueError(f"a part of {len(pdf)} documents is beyond {MOST_ROWS}: use more parts")
+        pdf = pdf.sort_values("rk")
+        part, n = int(pdf["part"].iloc[0]), len(pdf)
+        merges, _ = agglomerate(_gram(pdf) / UNIT / UNIT, 1, linkage, _dense(pdf) if linkage == "centroid" else None)
+        label = cut_tree(merges, n, min(leaves, n))
+        sums: list[dict[int, int]] = [{} for _ in range(label.max() + 1)]
+        for x, idx, val in zip(label.tolist(), pdf["idx"], pdf["val"], strict=True):
+            for t, w in zip(np.asarray(idx).tolist(), np.asarray(val).tolist(), strict=True):
+                sums[x][t] = sums[x].get(t, 0) + w
+        out = [(part, i, -1, -1, 1.0, int((label == i).sum()), *_sorted(x), None) for i, x in enumerate(sums)]
+        at = {int(i): int(label[i]) for i in range(n)}  # node that a cluster's name (its first member) stands for
+        for left, right, height, size in merges[n - len(sums) :]:
+            x, y = at[left], at[right]
+            sums.append({t: sums[x].get(t, 0) + sums[y].get(t, 0) for t in sums[x].keys() | sums[y].keys()})
+            at[left] = len(out)
+            out.append((part, len(out), x, y, float(height), int(size), *_sorted(sums[-1]), None))
+        out += [(part, int(x), None, None, None, None, None, None, int(d)) for x, d in zip(label, pdf["doc_id"], strict=True)]
+        frame = pd.DataFrame(out, columns=["part", "node", "left", "right", "height", "size", "idx", "val", "doc_id"])
+        return frame.astype({c: "Int64" for c in ("left", "right", "size", "doc_id")})
+
+    return rows.groupBy("part").applyInPandas(run, "part long, node long, left long, right long, height double, size long, idx array<int>, val array<long>, doc_id long")
+
+
+def _sorted(sums: dict[int, int]) -> tuple[list[int], list[int]]:
+    terms = sorted(sums)
+    return terms, [sums[t] for t in terms]
+
+
+def align_trees_down(trees: dict[int, list[Node]], k: int, v: int) -> dict[tuple[int, int], int]:
+    """Cluster of each leaf (part, node): the parts' trees aligned from their roots down (H8).
+
+    A global node holds one node of each part, at first all roots. The global node whose halves are least similar (mean
+    height of its parts' nodes, weighed by size) is split next: the largest part's halves are its two sides, every other
+    part's halves go to the sides so that the sum of the cosines with what is there is largest, and a part's leaf goes
+    to the more similar side; until there are ``k``. A side is one vector at a time, never a matrix of all.
+    """
+
+    def cos(node: Node, side: np.ndarray) -> float:
+        length = float(np.sqrt((node.val.astype(np.float64) ** 2).sum() * (side * side).sum()))
+        return round(float(side[node.idx] @ node.val) / length, 9) if length else 0.0
+
+    def split(members: dict[int, int]) -> tuple[dict[int, int], dict[int, int]]:
+        order = sorted(members, key=lambda p: (trees[p][members[p]].left < 0, -trees[p][members[p]].size, p))
+        sides: tuple[dict[int, int], dict[int, int]] = ({}, {})
+        held = np.zeros(v), np.zeros(v)
+        for p in order:
+            node = trees[p][members[p]]
+            if node.left < 0:
+                one = trees[p][members[p]]
+                put = [(0 if cos(one, held[0]) >= cos(one, held[1]) else 1, members[p])]
+            else:
+                x, y = trees[p][node.left], trees[p][node.right]
+                same = cos(x, held[0]) + cos(y, held[1]) >= cos(y, held[0]) + cos(x, held[1])
+                put = [(0, node.left), (1, node.right)] if same else [(0, node.right), (1, node.left)]
+            for side, at in put:
+                sides[side][p] = at
+                held[side][trees[p][at].idx] += trees[p][at].val
+        return sides
+
+    def height(members: dict[int, int]) -> float | None:
+        inner = [trees[p][x] for p, x in members.items() if trees[p][x].left >= 0]
+        return round(sum(n.height * n.size for n in inner) / sum(n.size for n in inner), 9) if inner else None
+
+    clusters = [{p: len(t) - 1 for p, t in sorted(trees.items())}] if trees else []
+    while len(clusters) < k:
+        open_ = [(h, i) for i, c in enumerate(clusters) if (h := height(c)) is not None]
+        if not open_:
+            break
+        i = min(open_)[1]
+        clusters[i : i + 1] = split(clusters[i])
+    out = {}
+    for c, members in enumerate(clusters):
+        for p, x in members.items():
+            below = [x]
+            while below:
+                at = below.pop()
+                node = trees[p][at]
+                if node.left < 0:
+                    out[p, at] = c
+                else:
+                    below += [node.left, node.right]
+    return out
+
+
+def parthac(vecs: Vectors, sample: DataFrame, k: int, parts: int, linkage: str = "single", align: str = "tree") -> tuple[DataFrame, np.ndarray | None]:
+    """Hierarchical clustering over random parts with aligned trees (B5): (doc_id, cluster_id) and, but for ``tree``, the
+    centres. ``sample(doc_id, rk)`` may be everything, in parts of up to MOST_ROWS documents.
+
+    ``tree``: the tops of the local merge trees (2 k leaves each) are aligned from their roots down. ``cut`` and
+    ``topdown``: the parts' clusters at k are matched (``align_trees``).
+    """
     from textgroups.operators.sampling import random_parts
 
-    return align_trees(vecs, _local_clusters(vecs, random_parts(sample, parts), k, linkage), k, align)
+    dealt = random_parts(sample, parts)
+    if align != "tree":
+        return align_trees(vecs, _local_clusters(vecs, dealt, k, linkage), k, align)
+    found = materialise(tree_tops(vecs, dealt, 2 * k, linkage), "trees")
+    nodes = found.filter("doc_id is null")
+    if (cells := nodes.agg(F.sum(F.size("idx"))).first()[0] or 0) * 12 > MATRIX_BYTES:
+        raise ValueError(f"{cells} cells of tree nodes are too many for the driver: use fewer parts")
+    trees: dict[int, list[Node]] = {}
+    for r in nodes.orderBy("part", "node").collect():  # of a checked size
+        trees.setdefault(r["part"], []).append(Node(r["left"], r["right"], r["height"], r["size"], np.array(r["idx"], np.int64), np.array(r["val"], np.int64)))
+    table = [(int(p), int(x), c) for (p, x), c in align_trees_down(trees, k, vecs.v).items()]
+    of = vecs.packed.sparkSession.createDataFrame(table, "part long, node long, cluster_id long")
+    return found.filter("doc_id is not null").join(F.broadcast(of), ["part", "node"]).select("doc_id", "cluster_id"), None
 
 
 def spanning_tree(gram: np.ndarray, ids: np.ndarray) -> list[tuple[int, int, int]]:
@@ -264,13 +389,16 @@ def forest(edges: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
 def mst(vecs: Vectors, members: DataFrame, parts: int = 4, fan_in: int = 4) -> DataFrame:
     """(a, b, dp): the spanning tree of ``members(doc_id, rk)`` from trees of part pairs.
 
-    Every pair of parts is one task that runs Prim; trees are merged ``fan_in`` at a time by Kruskal until one is left.
-    A task holds two parts, a merge at most ``fan_in`` trees of fewer edges than members.
+    Every pair of parts is one task that runs Prim; trees are merged ``fan_in`` at a time by Kruskal until one is left,
+    each level written. A task holds two parts, a merge at most ``fan_in`` trees of fewer edges than members.
     """
-    rows = vecs.packed.join(F.broadcast(members), "doc_id").withColumn("part", F.col("rk") % parts)
-    pairs = [(p, q) for p in range(parts) for q in range(p + 1, parts)] or [(0, 0)]
     spark = vecs.packed.sparkSession
-    table = spark.createDataFrame([(i, p) for i, pq in enumerate(pairs) for p in set(pq)], "pair long, part long")
+    rows = vecs.packed.join(members.hint("merge"), "doc_id").withColumn("part", F.col("rk") % parts)
+    one = spark.range(parts).select(F.col("id").alias("p"))
+    table = one.select("p", F.explode(F.sequence(F.least(F.col("p") + 1, F.lit(parts - 1)), F.lit(parts - 1))).alias("q")).filter("p < q" if parts > 1 else "true")
+    table = table.withColumn("pair", (F.row_number().over(Window.orderBy("p", "q")) - 1).cast("long"))
+    table = table.select("pair", F.explode(F.array_distinct(F.array("p", "q"))).alias("part"))
+    left = max(1, parts * (parts - 1) // 2)
     dealt = rows.join(F.broadcast(table), "part")
 
     def prim(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -278,8 +406,7 @@ def mst(vecs: Vectors, members: DataFrame, parts: int = 4, fan_in: int = 4) -> D
         return pd.DataFrame([(pdf["pair"].iloc[0], *e) for e in spanning_tree(_gram(pdf), pdf["doc_id"].to_numpy())], columns=["pair", "a", "b", "dp"])
 
     schema = "pair long, a long, b long, dp long"
-    trees = dealt.groupBy("pair").applyInPandas(prim, schema)
-    left = len(pairs)
+    trees = materialise(dealt.groupBy("pair").applyInPandas(prim, schema), "trees")
 
     def kruskal(pdf: pd.DataFrame) -> pd.DataFrame:
         kept = forest(list(zip(pdf["a"].tolist(), pdf["b"].tolist(), pdf["dp"].tolist(), strict=True)))
@@ -287,7 +414,7 @@ def mst(vecs: Vectors, members: DataFrame, parts: int = 4, fan_in: int = 4) -> D
 
     while left > 1:
         left = -(-left // fan_in)
-        trees = trees.withColumn("pair", F.floor(F.col("pair") / fan_in)).groupBy("pair").applyInPandas(kruskal, schema)
+        trees = materialise(trees.withColumn("pair", F.floor(F.col("pair") / fan_in)).groupBy("pair").applyInPandas(kruskal, schema), "trees")
     return trees.select("a", "b", "dp")
 
 
@@ -311,11 +438,23 @@ def cut_mst(tree: list[tuple[int, int, int]], ids: list[int], k: int | None = No
 
 
 def mst_link(vecs: Vectors, members: DataFrame, k: int | None = None, threshold: float | None = None, parts: int = 4, fan_in: int = 4) -> DataFrame:
-    """Single-link clusters (doc_id, cluster_id) of ``members(doc_id, rk)`` through the spanning tree."""
-    tree = [(r["a"], r["b"], r["dp"]) for r in mst(vecs, members, parts, fan_in).collect()]  # fewer edges than members
-    ids = [r["doc_id"] for r in members.orderBy("rk").select("doc_id").collect()]
-    labels = cut_mst(tree, ids, k, threshold)
-    return vecs.packed.sparkSession.createDataFrame(list(labels.items()), "doc_id long, cluster_id long")
+    """Single-link clusters (doc_id, cluster_id) of ``members(doc_id, rk)`` through the spanning tree.
+
+    The k - 1 weakest edges (or those below a similarity) are cut, what is left are components; clusters are numbered by
+    their first member. Edges and members stay tables; only the k - 1 cut edges go to all tasks.
+    """
+    members = materialise(members.select("doc_id", "rk"), "members")
+    tree = mst(vecs, members, parts, fan_in)
+    if k is not None:
+        weak = tree.orderBy("dp", F.desc("a"), F.desc("b")).limit(max(0, k - 1))
+        kept = tree.join(F.broadcast(weak), ["a", "b"], "left_anti")
+    else:
+        kept = tree.filter(F.col("dp") / float(UNIT) / UNIT >= threshold)
+    loops = members.select(F.col("doc_id").alias("a"), F.col("doc_id").alias("b"))
+    comp = materialise(components(kept.select("a", "b").unionByName(loops)).join(members.withColumnRenamed("doc_id", "node").hint("merge"), "node"), "comp")
+    first = comp.groupBy("comp").agg(F.min("rk").alias("first"), F.count(F.lit(1)).alias("n")).withColumn("_all", F.lit(0)).withColumn("_b", F.floor(F.col("first") / 1000))
+    number = running_totals(materialise(first, "first"), ["_all"], "_b", [F.col("first")], F.lit(0), "cluster_id", "_z")
+    return join_lookup(comp, materialise(number.select("comp", "n", "cluster_id"), "number"), "comp", "n").select(F.col("node").alias("doc_id"), "cluster_id")
 
 
 def link_in_one_task(vecs: Vectors, members: DataFrame, k: int) -> tuple[pa.Table, np.ndarray]:
@@ -364,7 +503,9 @@ def cluster_centers(vecs: Vectors, labels: DataFrame, k: int) -> np.ndarray:
 
 
 def sample_clusters(vecs: Vectors, sample: DataFrame, k: int, linkage: str = "single") -> DataFrame:
-    """(doc_id, cluster_id) of a sample by the sequential algorithm in one task (H4)."""
+    """(doc_id, cluster_id) of a sample by the sequential algorithm in one task (H4), of up to MOST_ROWS documents."""
+    if (s := sample.count()) > MOST_ROWS:
+        raise ValueError(f"a sample of {s} documents is beyond one task's {MOST_ROWS}: use hac='parts', or 'mst' for single link")
     rows = vecs.packed.join(F.broadcast(sample), "doc_id").repartition(1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -15,8 +15,10 @@ from textgroups.operators.hac import cluster_centers, link_in_one_task, mst_link
 from textgroups.operators.sampling import draw_sample, sample_size
 from textgroups.plans.storage import materialise
 
-#: Sample documents a part of the spanning-tree route, about.
-PART_ROWS = 500
+#: Sample documents a part of the spanning-tree route, about: a pair of parts is a matrix of 128 MB in its task.
+PART_ROWS = 2_000
+#: Parts of aligned trees at least, so that the route is parallel for every sample.
+LEAST_PARTS = 4
 #: Samples of no more documents are clustered by one task (a matrix of 32 MB), with the same labels.
 ONE_TASK_ROWS = 2_000
 #: Labels of the sample go to the tasks by broadcast up to so many rows (16 bytes each).
@@ -33,9 +35,9 @@ class SampleResult(NamedTuple):
 def seed_from_sample(vecs: Vectors, sample: DataFrame, s: int, k: int, linkage: str, hac: str, parts: int | None) -> DataFrame:
     """(doc_id, cluster_id) of the sample: ``mst`` (exact single link from part pairs), ``exact`` (any linkage, one
     task) or ``parts`` (aligned trees of random parts)."""
-    parts = parts or max(1, -(-s // PART_ROWS))
     if hac == "parts":
-        return parthac(vecs, sample, k, parts, linkage)[0]
+        return parthac(vecs, sample, k, parts or max(LEAST_PARTS, -(-s // PART_ROWS)), linkage)[0]
+    parts = parts or max(1, -(-s // PART_ROWS))
     if hac == "mst" and linkage == "single":
         return mst_link(vecs, sample, k=k, parts=max(2, parts))
     return sample_clusters(vecs, sample, k, linkage)

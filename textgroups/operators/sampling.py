@@ -7,6 +7,8 @@ import math
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from textgroups.plans.skew import running_totals
+
 SEED = 42
 
 
@@ -50,8 +52,20 @@ def pick_centers(ids: DataFrame, m: int, seed: int = SEED, id_col: str = "doc_id
     return draw_sample(ids, m, seed, id_col=id_col, n=n).select(F.col("rk").alias("center_id"), "doc_id")
 
 
+def everything(ids: DataFrame, seed: int = SEED, id_col: str = "doc_id") -> DataFrame:
+    """(doc_id, rk) of all ids in hash order: the draw of a whole collection, ranked bucket by bucket."""
+    keyed = ids.select(F.col(id_col).alias("doc_id"), order_key(F.col(id_col), seed).alias("h")).withColumn("b", F.substring("h", 1, 4)).withColumn("_all", F.lit(0))
+    ranked = running_totals(keyed, ["_all"], "b", [F.col("h"), F.col("doc_id")], F.lit(0), "rk", "_z", F.substring("b", 1, 2))
+    return ranked.select("doc_id", "rk")
+
+
 def random_parts(sample: DataFrame, parts: int, exact_capacity: bool = True) -> DataFrame:
-    """``sample(doc_id, rk)`` with ``part``: parts differ by one row at most (H6), or by hash for very large samples."""
+    """``sample(doc_id, rk)`` with ``part``: parts differ by one row at most (H6), or by hash for very large samples.
+
+    To draw each document's part with a probability proportional to the places that the parts have left is to deal a
+    shuffled deck that holds every part's number once for each of its places. ``rk`` is a random order, so dealing the
+    numbers in turn by ``rk`` has the same distribution, needs no state from row to row, and repeats by the seed.
+    """
     return sample.withColumn("part", F.col("rk") % parts if exact_capacity else F.pmod(F.xxhash64("doc_id"), F.lit(parts)))
 
 

@@ -153,3 +153,81 @@ def sampleseed(k: int, rounds: int, reassign: bool = False) -> list[tuple[str, s
         if i < rounds:
             out += means(f"r{i}", f"k{i}", f"k{i - 1}")
     return out
+
+
+#: Documents of the sample of the second proposal, as a scalar query over ``ids``.
+def sample_rows(k: int) -> str:
+    return f"(SELECT CAST(ceil(sqrt({k} * count(*)::DOUBLE)) AS BIGINT) FROM ids)"
+
+
+ALL_ROWS = "(SELECT count(*) FROM ids)"
+
+
+def linkage(kind: str, k: int) -> list[tuple[str, str]]:
+    """seeded(doc_id, c): the sample's clusters by ``complete`` or ``average`` linkage, merged pair by pair."""
+    weight = "CASE WHEN a2 = i AND b2 <> i THEN na WHEN b2 = i THEN nb ELSE 1 END"
+    value = "min(sim)" if kind == "complete" else f"round(sum(sim * {weight}) / sum({weight}), 12)"
+    first = "OVER (ORDER BY sim DESC, a, b)"
+    return [
+        ("walk", f"""SELECT 0::BIGINT AS step, x.rk AS a, y.rk AS b, round(e.dp / {FULL}.0, 12) AS sim, 1::BIGINT AS na, 1::BIGINT AS nb, 0::BIGINT AS i, 0::BIGINT AS j FROM e JOIN smp x ON x.doc_id = e.a JOIN smp y ON y.doc_id = e.b
+  UNION ALL SELECT step + 1, a2, b2, {value}, CAST(CASE WHEN a2 = i THEN sum(na) ELSE max(na) END AS BIGINT), CAST(CASE WHEN b2 = i THEN sum(nb) ELSE max(nb) END AS BIGINT), i, j
+  FROM (SELECT *, CASE WHEN a = j THEN i ELSE a END AS a2, CASE WHEN b = j THEN i ELSE b END AS b2 FROM (SELECT step, a, b, sim, na, nb, first_value(a) {first} AS i, first_value(b) {first} AS j FROM walk))
+  WHERE a2 <> b2 AND step < (SELECT count(*) FROM smp) - {k} GROUP BY step, a2, b2, i, j"""),
+        ("kept", "SELECT DISTINCT i AS a, j AS b FROM walk WHERE step > 0"),
+        ("kept2", "SELECT a, b FROM kept UNION ALL SELECT b, a FROM kept"),
+        ("reach", "SELECT rk, rk AS x FROM smp UNION SELECT r.rk, kept2.b FROM reach r JOIN kept2 ON kept2.a = r.x"),
+        ("comp", "SELECT rk, min(x) AS low FROM reach GROUP BY rk"),
+        ("seeded", "SELECT doc_id, dense_rank() OVER (ORDER BY low) - 1 AS c FROM comp JOIN smp USING (rk)"),
+    ]
+
+
+def euclid_rounds(k: int, rounds: int) -> list[tuple[str, str]]:
+    """x(doc_id, v), o0..(c, v) and l0..(doc_id, c, dist2): squared distances to the means, empty clusters keep theirs."""
+    out = [("x", "SELECT vec_id AS doc_id, embedding::DOUBLE[] AS v FROM embeddings"), ("o0", f"SELECT v, row_number() OVER (ORDER BY md5('{SEED}:' || doc_id), doc_id) - 1 AS c FROM x QUALIFY c < {k}")]
+    for i in range(rounds + 1):
+        out.append((f"l{i}", f"SELECT x.doc_id, o.c, list_sum(list_transform(list_zip(x.v, o.v), lambda p: (p[1] - p[2]) * (p[1] - p[2]))) AS dist2 FROM x CROSS JOIN o{i} o QUALIFY row_number() OVER (PARTITION BY x.doc_id ORDER BY round(list_dot_product(o.v, o.v) - 2 * list_dot_product(x.v, o.v), 9), o.c) = 1"))
+        if i < rounds:
+            out.append((f"m{i}", f"SELECT c, list(m ORDER BY d) AS v FROM (SELECT c, d, avg(e) AS m FROM (SELECT l.c, generate_subscripts(x.v, 1) AS d, unnest(x.v) AS e FROM l{i} l JOIN x USING (doc_id)) GROUP BY c, d) GROUP BY c"))
+            out.append((f"o{i + 1}", f"SELECT c, v FROM m{i} UNION ALL SELECT c, v FROM o{i} WHERE c NOT IN (SELECT c FROM m{i})"))
+    return out
+
+
+def micro_euclid(k: int, m: int) -> list[tuple[str, str]]:
+    """fin(doc_id, c): spheres around m points, the smallest gaps linked first until k groups are left, then their means."""
+    return [
+        *euclid_rounds(m, 0),
+        ("head", "SELECT row_number() OVER (ORDER BY c) - 1 AS mc, c, n, r FROM (SELECT c, count(*) AS n, sqrt(max(dist2)) AS r FROM l0 GROUP BY c)"),
+        ("vec", "SELECT h.mc, h.r, o.v FROM head h JOIN o0 o USING (c)"),
+        ("pairs", "SELECT a.mc AS a, b.mc AS b, sqrt(list_sum(list_transform(list_zip(a.v, b.v), lambda p: (p[1] - p[2]) * (p[1] - p[2])))) - a.r - b.r AS gap FROM vec a JOIN vec b ON a.mc < b.mc"),
+        ("ranked", "SELECT *, row_number() OVER (ORDER BY gap, a, b) AS rn FROM pairs"),
+        ("crit", "SELECT b, min(rn) AS r FROM ranked GROUP BY b"),
+        ("cut", f"SELECT r FROM crit QUALIFY row_number() OVER (ORDER BY r) = (SELECT count(*) FROM head) - {k}"),
+        ("linked", "SELECT a, b FROM ranked WHERE rn <= (SELECT r FROM cut)"),
+        *first_groups("linked"),
+        ("gm", "SELECT c, list(m ORDER BY d) AS v FROM (SELECT g AS c, d, sum(e) / any_value(n) AS m FROM (SELECT g.g, generate_subscripts(x.v, 1) AS d, unnest(x.v) AS e, gn.n FROM l0 JOIN head USING (c) JOIN groups g USING (mc) JOIN x USING (doc_id) JOIN (SELECT g, sum(n) AS n FROM groups JOIN head USING (mc) GROUP BY g) gn ON gn.g = g.g) GROUP BY g, d) GROUP BY c"),
+        ("fin", "SELECT x.doc_id, gm.c FROM x CROSS JOIN gm QUALIFY row_number() OVER (PARTITION BY x.doc_id ORDER BY round(list_dot_product(gm.v, gm.v) - 2 * list_dot_product(x.v, gm.v), 9), gm.c) = 1"),
+    ]
+
+
+def external(lab: str, label: str = "lang") -> str:
+    """(measure, value) of a labelling against a column of documents."""
+    return f"""SELECT unnest(['purity', 'nmi', 'ari', 'pair_f']) AS measure, unnest([purity, nmi, ari, pair_f]) AS value FROM (
+  SELECT purity, CASE WHEN hr + hc > 0 THEN 2 * mi / (hr + hc) ELSE 1 END AS nmi, (t - r * c / ev) / ((r + c) / 2 - r * c / ev) AS ari, 2 * (t / r) * (t / c) / (t / r + t / c) AS pair_f FROM (
+    SELECT (SELECT sum(m) FROM (SELECT max(n) AS m FROM cell GROUP BY c)) / t0.n AS purity, t0.n * (t0.n - 1) / 2 AS ev,
+      (SELECT sum(cell.n / t0.n * ln(cell.n * t0.n / (a.n * b.n))) FROM cell JOIN (SELECT c, sum(n) AS n FROM cell GROUP BY c) a USING (c) JOIN (SELECT y, sum(n) AS n FROM cell GROUP BY y) b USING (y)) AS mi,
+      (SELECT -sum(x / t0.n * ln(x / t0.n)) FROM (SELECT sum(cell.n) AS x FROM cell GROUP BY c)) AS hr, (SELECT -sum(x / t0.n * ln(x / t0.n)) FROM (SELECT sum(cell.n) AS x FROM cell GROUP BY y)) AS hc,
+      (SELECT sum(cell.n * (cell.n - 1) / 2) FROM cell) AS t, (SELECT sum(x * (x - 1) / 2) FROM (SELECT sum(cell.n) AS x FROM cell GROUP BY c)) AS r, (SELECT sum(x * (x - 1) / 2) FROM (SELECT sum(cell.n) AS x FROM cell GROUP BY y)) AS c
+    FROM (SELECT sum(cell.n) AS n FROM cell) t0))"""
+
+
+def silhouette(lab: str) -> str:
+    """Mean cosine silhouette of a labelling of points."""
+    return f"""(SELECT avg(CASE WHEN sz > 1 AND other IS NOT NULL THEN (other - inner_) / greatest(greatest(inner_, other), 1e-12) ELSE 0 END) FROM (
+  SELECT d.doc_id, max(CASE WHEN d.c = l.c THEN z.n END) AS sz, max(CASE WHEN d.c = l.c THEN 1 - (d.dp / {FULL}.0 - q.q / {FULL}.0) / greatest(z.n - 1, 1) END) AS inner_, min(CASE WHEN d.c <> l.c THEN 1 - d.dp / {FULL}.0 / z.n END) AS other
+  FROM (SELECT p.doc_id, s.c, sum(p.wq * s.s)::DOUBLE AS dp FROM post p JOIN (SELECT c, term, CAST(sum(wq) AS BIGINT) AS s FROM {lab} JOIN post USING (doc_id) GROUP BY c, term) s USING (term) GROUP BY p.doc_id, s.c) d
+  JOIN {lab} l USING (doc_id) JOIN (SELECT c, count(*) AS n FROM {lab} GROUP BY c) z ON z.c = d.c JOIN (SELECT doc_id, sum(wq * wq)::DOUBLE AS q FROM post GROUP BY doc_id) q ON q.doc_id = d.doc_id GROUP BY d.doc_id))"""
+
+
+def heaviest(centres: str, t: int) -> tuple[str, str]:
+    """The t heaviest terms of each centre, ties by the order of the terms' md5."""
+    return ("heavy", f"SELECT c, term, cq FROM {centres} QUALIFY row_number() OVER (PARTITION BY c ORDER BY abs(cq) DESC, md5(term), term) <= {t}")

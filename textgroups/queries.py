@@ -15,7 +15,7 @@ from textgroups.operators.assign import assign_nearest, totals, vectors_of
 from textgroups.operators.components import components
 from textgroups.operators.lloyd import lloyd, lloyd_euclidean
 from textgroups.operators.related import bisecting, cf_onepass, factorkm, mllib_bisecting, mllib_kmeans, random_medoids, rep_points, seed_centers
-from textgroups.operators.sampling import draw_sample, pick_centers, random_parts, sample_size, split_sample
+from textgroups.operators.sampling import draw_sample, everything, pick_centers, random_parts, sample_size, split_sample
 from textgroups.sources.tables import load
 
 K, M, FULL = 10, 50, O.FULL
@@ -75,6 +75,12 @@ def micro_result(spark, sf_dir):
     return _once(spark, sf_dir, "microgroup", lambda: microgroup.microgroup(vecs_of(spark, sf_dir), K, M))
 
 
+def _drawn(ids: DataFrame) -> DataFrame:
+    """The sample of the second proposal: sqrt(k n) ids."""
+    n = ids.count()
+    return draw_sample(ids, sample_size(n, K), n=n)
+
+
 def _sims(df: DataFrame, *columns: str) -> DataFrame:
     return df.withColumns({c: F.round(c, 6) for c in columns})
 
@@ -134,7 +140,7 @@ def bigrams(spark, sf_dir):
     return X.tokens(docs_of(spark, sf_dir), ngram=2).groupBy("term").agg(F.count(F.lit(1)).alias("n")).filter("n >= 20")
 
 
-@query()
+@query(O.with_(D[:2], f"SELECT doc_id, ('0x' || substr(md5(term), 1, 15))::BIGINT % {1 << 18} AS term_id, count(*) AS tf FROM tok WHERE term <> '' GROUP BY 1, 2"))
 def hash_tf(spark, sf_dir):
     """O9"""
     return X.hash_tf(X.tokens(docs_of(spark, sf_dir)))
@@ -173,17 +179,20 @@ def doc_sample(spark, sf_dir):
     return draw_sample(ids, sample_size(n, K), n=n)
 
 
-@query(O.with_([("o", "SELECT doc_id, lang, row_number() OVER (PARTITION BY lang ORDER BY md5('42:' || doc_id)) AS i, count(*) OVER (PARTITION BY lang) AS c FROM documents")], "SELECT doc_id, lang FROM o WHERE i <= ceil(c * (100.0::DOUBLE / (SELECT count(*) FROM documents)))"))
+@query(O.with_([D[0], ("o", "SELECT doc_id, lang, row_number() OVER (PARTITION BY lang ORDER BY md5('42:' || doc_id)) AS i, count(*) OVER (PARTITION BY lang) AS c FROM documents")], f"SELECT doc_id, lang FROM o WHERE i <= ceil(c * ({O.sample_rows(K)}::DOUBLE / (SELECT count(*) FROM documents)))"))
 def stratified_sample(spark, sf_dir):
     """H2b"""
     docs = docs_of(spark, sf_dir)
-    return draw_sample(docs, 100, method="stratified", stratum="lang").join(docs.select("doc_id", "lang"), "doc_id").select("doc_id", "lang")
+    n = docs.count()
+    return draw_sample(docs, sample_size(n, K), method="stratified", stratum="lang", n=n).join(docs.select("doc_id", "lang"), "doc_id").select("doc_id", "lang")
 
 
-@query()
+@query(O.with_([D[0]], f"SELECT doc_id, row_number() OVER (ORDER BY md5('42:' || doc_id), doc_id) - 1 AS rk FROM ids WHERE substr(md5('42:' || doc_id), 1, 8) < printf('%08x', CAST(floor({O.sample_rows(K)}::DOUBLE / (SELECT count(*) FROM ids) * 4294967295) AS BIGINT))"))
 def bernoulli_sample(spark, sf_dir):
     """H2b"""
-    return draw_sample(docs_of(spark, sf_dir).select("doc_id"), 100, method="bernoulli")
+    ids = docs_of(spark, sf_dir).select("doc_id")
+    n = ids.count()
+    return draw_sample(ids, sample_size(n, K), method="bernoulli", n=n)
 
 
 @query("SELECT n, k, CAST(ceil(sqrt(n::DOUBLE * k)) AS BIGINT) AS s FROM (VALUES (20000, 50), (20000, 100), (20000, 200), (250000, 400)) t(n, k)")
@@ -193,17 +202,17 @@ def sample_sizes(spark, sf_dir):
     return spark.createDataFrame(rows, "n int, k int, s long")
 
 
-@query(O.with_([D[0], *O.ordered()], "SELECT doc_id, rk, rk % 4 AS part FROM ord WHERE rk < 100"))
+@query(O.with_([D[0], *O.ordered()], f"SELECT doc_id, rk, rk % 4 AS part FROM ord WHERE rk < {O.sample_rows(K)}"))
 def random_parts_of_sample(spark, sf_dir):
     """H6"""
-    return random_parts(draw_sample(docs_of(spark, sf_dir).select("doc_id"), 100), 4)
+    return random_parts(_drawn(docs_of(spark, sf_dir).select("doc_id")), 4)
 
 
-@query(O.with_([D[0], *O.ordered()], "SELECT CASE WHEN rk < 100 THEN 'member' ELSE 'rest' END AS side, count(*) AS n, CAST(sum(doc_id) AS BIGINT) AS total FROM ord GROUP BY 1"))
+@query(O.with_([D[0], *O.ordered()], f"SELECT CASE WHEN rk < {O.sample_rows(K)} THEN 'member' ELSE 'rest' END AS side, count(*) AS n, CAST(sum(doc_id) AS BIGINT) AS total FROM ord GROUP BY 1"))
 def sample_members(spark, sf_dir):
     """O16"""
     ids = docs_of(spark, sf_dir).select("doc_id")
-    inside, outside = split_sample(ids, draw_sample(ids, 100))
+    inside, outside = split_sample(ids, _drawn(ids))
     both = inside.withColumn("side", F.lit("member")).unionByName(outside.withColumn("side", F.lit("rest")))
     return both.groupBy("side").agg(F.count(F.lit(1)).alias("n"), F.sum("doc_id").alias("total"))
 
@@ -249,16 +258,19 @@ def assign_dense(spark, sf_dir):
     return _sims(assign_nearest(v, vectors_of(v, pick_centers(v.packed.select("doc_id"), K)), "dense"), "sim")
 
 
-@query()
+@query(O.with_([*D, *O.lloyd(K, 3), O.heaviest("c3", 200), *O.labels("heavy", "lt")], f"SELECT doc_id, c AS center_id, round(dp / {FULL}.0, 6) AS sim FROM lt"))
 def assign_truncated(spark, sf_dir):
     """D6"""
-    return assign_nearest(vecs_of(spark, sf_dir), lloyd_of(spark, sf_dir).centers, "truncate", terms=200)
+    return _sims(assign_nearest(vecs_of(spark, sf_dir), lloyd_of(spark, sf_dir).centers, "truncate", terms=200), "sim")
 
 
-@query()
+_PRUNED = [*D, *O.lloyd(K, 3), O.heaviest("c3", 200), ("met", "SELECT DISTINCT p.doc_id, h.c FROM post p JOIN heavy h USING (term)"), ("pd", "SELECT p.doc_id, c.c, CAST(sum(p.wq * c.cq) AS BIGINT) AS dp FROM post p JOIN c3 c USING (term) SEMI JOIN met ON met.doc_id = p.doc_id AND met.c = c.c GROUP BY p.doc_id, c.c"), ("lp", "SELECT i.doc_id, coalesce(x.c, 0) AS c, coalesce(x.dp, 0) AS dp FROM ids i LEFT JOIN (SELECT * FROM pd QUALIFY row_number() OVER (PARTITION BY doc_id ORDER BY dp DESC, c) = 1) x USING (doc_id)")]
+
+
+@query(O.with_(_PRUNED, f"SELECT doc_id, c AS center_id, round(dp / {FULL}.0, 6) AS sim FROM lp"))
 def assign_pruned(spark, sf_dir):
     """D7"""
-    return assign_nearest(vecs_of(spark, sf_dir), lloyd_of(spark, sf_dir).centers, "prune", terms=200)
+    return _sims(assign_nearest(vecs_of(spark, sf_dir), lloyd_of(spark, sf_dir).centers, "prune", terms=200), "sim")
 
 
 def _lloyd_query(r: int):
@@ -304,7 +316,7 @@ def lloyd_euclid_assign(spark, sf_dir):
     return lloyd_euclidean(load(spark, sf_dir, "embeddings"), K, 0)[0].select("doc_id", "cluster_id")
 
 
-@query()
+@query(O.with_(O.euclid_rounds(K, 8), "SELECT doc_id, c AS cluster_id FROM l8"))
 def lloyd_euclid(spark, sf_dir):
     """B1u"""
     return lloyd_euclidean(load(spark, sf_dir, "embeddings"), K, 8)[0].select("doc_id", "cluster_id")
@@ -425,7 +437,7 @@ def micro_points(spark, sf_dir):
     return microgroup.microgroup(points_of(spark, sf_dir), K, M).assign.select("doc_id", "cluster_id")
 
 
-@query()
+@query(O.with_(O.micro_euclid(K, M), "SELECT doc_id, c AS cluster_id FROM fin"))
 def micro_points_euclid(spark, sf_dir):
     """A14"""
     return microgroup.micro_points_euclidean(load(spark, sf_dir, "embeddings"), K, M)
@@ -451,40 +463,43 @@ def micro_threshold_search(spark, sf_dir):
     return spark.createDataFrame(rows, "how string, s double, groups int, trials int")
 
 
-@query()
+_SWEPT = [*D, *[(f"w{i}", "SELECT " + f"{r}::DOUBLE AS ratio, (SELECT count(*) FROM head)::INTEGER AS n_micro, (SELECT max(g) + 1 FROM groups)::INTEGER AS groups, round({O.rss('fin')}, 4) AS rss") for i, r in enumerate((5, 3, 2.25, 2))]]
+_SWEPT = [*D, *[(n, O.with_(O.micro_labels(K, int(r * K)), q)) for (n, q), r in zip(_SWEPT[len(D) :], (5, 3, 2.25, 2), strict=True)]]
+
+
+@query(O.with_(_SWEPT, "SELECT * FROM w0 UNION ALL SELECT * FROM w1 UNION ALL SELECT * FROM w2 UNION ALL SELECT * FROM w3"))
 def micro_sweep(spark, sf_dir):
     """A15"""
     rows = [(float(r["ratio"]), r["n_micro"], r["groups"], r["rss"]) for r in microgroup.sweep_micro(vecs_of(spark, sf_dir), K)]
-    return spark.createDataFrame(rows, "ratio double, n_micro int, groups int, rss double")
+    return spark.createDataFrame(rows, "ratio double, n_micro int, groups int, rss double").withColumn("rss", F.round("rss", 4))
 
 
 # ---------------------------------------------------------------- proposal (b)
 
-S = [*D, *O.sample(100)]
+S = [*D, *O.sample(O.sample_rows(K))]
 
 
 @query(O.with_(S, f"SELECT a, b, round(dp / {FULL}.0, 6) AS sim FROM sdot WHERE a < b"))
 def sample_edges(spark, sf_dir):
     """H3, pairwise_cos"""
     v = vecs_of(spark, sf_dir)
-    return _sims(hac.pairwise_sim(v, draw_sample(v.packed.select("doc_id"), 100)), "sim")
+    return _sims(hac.pairwise_sim(v, _drawn(v.packed.select("doc_id"))), "sim")
 
 
 @query(O.with_(S, f"SELECT a, b, round(dp / {FULL}.0, 6) AS sim FROM sdot WHERE a < b ORDER BY dp DESC, a, b LIMIT 1"))
 def best_pair(spark, sf_dir):
     """O22"""
     v = vecs_of(spark, sf_dir)
-    return _sims(relational.best_pair(hac.pairwise_sim(v, draw_sample(v.packed.select("doc_id"), 100))), "sim")
+    return _sims(relational.best_pair(hac.pairwise_sim(v, _drawn(v.packed.select("doc_id")))), "sim")
 
 
-_THRESHOLD = O.with_([*P, *O.sample(200), ("twoway", f"SELECT a, b FROM sdot WHERE dp >= {FULL} * 0.5"), ("reach", "SELECT doc_id, doc_id AS x FROM smp UNION SELECT r.doc_id, w.b FROM reach r JOIN twoway w ON w.a = r.x")], "SELECT doc_id AS node, min(x) AS comp FROM reach GROUP BY doc_id")
+_THRESHOLD = O.with_([*P, *O.sample(O.ALL_ROWS), ("twoway", f"SELECT a, b FROM sdot WHERE dp >= {FULL} * 0.5"), ("reach", "SELECT doc_id, doc_id AS x FROM smp UNION SELECT r.doc_id, w.b FROM reach r JOIN twoway w ON w.a = r.x")], "SELECT doc_id AS node, min(x) AS comp FROM reach GROUP BY doc_id")
 
 
 def _threshold_edges(spark, sf_dir) -> DataFrame:
     v = points_of(spark, sf_dir)
-    drawn = draw_sample(v.packed.select("doc_id"), 200)
-    edges = hac.pairwise_sim(v, drawn, 0.5).select("a", "b")
-    return edges.unionByName(drawn.select(F.col("doc_id").alias("a"), F.col("doc_id").alias("b")))
+    edges = hac.pairwise_sim(v, None, 0.5).select("a", "b")
+    return edges.unionByName(v.packed.select(F.col("doc_id").alias("a"), F.col("doc_id").alias("b")))
 
 
 def _components_query(name: str, scheme: str):
@@ -499,27 +514,34 @@ for _name, _scheme in (("components_minlabel", "min_label"), ("components_full",
     _components_query(_name, _scheme)
 
 
-@query(O.with_([*P, *O.sample(100), *O.single_link(K)], "SELECT doc_id, c AS cluster_id FROM seeded"))
+@query(O.with_([*P, *O.sample(O.ALL_ROWS), *O.single_link(K)], "SELECT doc_id, c AS cluster_id FROM seeded"))
 def single_link_k(spark, sf_dir):
-    """H4, H5a, B6 on points"""
+    """H5a, B6 over all points"""
     v = points_of(spark, sf_dir)
-    return hac.mst_link(v, draw_sample(v.packed.select("doc_id"), 100), k=K, parts=3)
+    return hac.mst_link(v, everything(v.packed.select("doc_id")), k=K, parts=max(3, -(-v.n // sampleseed.PART_ROWS)))
 
 
-@query(O.with_([*D, *O.sample(100), *O.single_link(K)], "SELECT doc_id, c AS cluster_id FROM seeded"))
+@query(O.with_([*P, *O.sample(O.ALL_ROWS), ("twoway", f"SELECT a, b FROM sdot WHERE dp / {FULL}.0 >= 0.6"), ("reach", "SELECT doc_id, doc_id AS x FROM smp UNION SELECT r.doc_id, w.b FROM reach r JOIN twoway w ON w.a = r.x"), ("comp", "SELECT r.doc_id, min(s.rk) AS low FROM reach r JOIN smp s ON s.doc_id = r.x GROUP BY r.doc_id")], "SELECT doc_id, dense_rank() OVER (ORDER BY low) - 1 AS cluster_id FROM comp"))
+def single_link_threshold(spark, sf_dir):
+    """H5a, B6 over all points, cut at a similarity"""
+    v = points_of(spark, sf_dir)
+    return hac.mst_link(v, everything(v.packed.select("doc_id")), threshold=0.6, parts=max(3, -(-v.n // sampleseed.PART_ROWS)))
+
+
+@query(O.with_([*S, *O.single_link(K)], "SELECT doc_id, c AS cluster_id FROM seeded"))
 def single_link_sequential(spark, sf_dir):
     """H4: merges in one task give the same clusters as the spanning tree"""
     v = vecs_of(spark, sf_dir)
-    return hac.sample_clusters(v, draw_sample(v.packed.select("doc_id"), 100), K, "single")
+    return hac.sample_clusters(v, _drawn(v.packed.select("doc_id")), K, "single")
 
 
 def _linkage_query(linkage: str):
     def run(spark, sf_dir):
         v = vecs_of(spark, sf_dir)
-        return hac.sample_clusters(v, draw_sample(v.packed.select("doc_id"), 100), K, linkage)
+        return hac.sample_clusters(v, _drawn(v.packed.select("doc_id")), K, linkage)
 
     run.__name__ = f"{linkage}_link"
-    query()(run)
+    query(None if linkage == "centroid" else O.with_([*S, *O.linkage(linkage, K)], "SELECT doc_id, c AS cluster_id FROM seeded"))(run)
 
 
 for _l in ("complete", "average", "centroid"):
@@ -530,19 +552,19 @@ for _l in ("complete", "average", "centroid"):
 def local_trees(spark, sf_dir):
     """H7"""
     v = vecs_of(spark, sf_dir)
-    return hac.local_trees(v, random_parts(draw_sample(v.packed.select("doc_id"), 100), 4))
+    return hac.local_trees(v, random_parts(_drawn(v.packed.select("doc_id")), 4))
 
 
 def _parthac_query(align: str):
     def run(spark, sf_dir):
-        v = vecs_of(spark, sf_dir)
-        return hac.parthac(v, draw_sample(v.packed.select("doc_id"), 200), K, 4, "average", align)[0]
+        v = points_of(spark, sf_dir)
+        return hac.parthac(v, everything(v.packed.select("doc_id")), K, max(4, -(-v.n // sampleseed.PART_ROWS)), "average", align)[0]
 
     run.__name__ = f"parthac_{align}"
     query()(run)
 
 
-for _a in ("cut", "topdown"):
+for _a in ("tree", "cut", "topdown"):
     _parthac_query(_a)
 
 
@@ -587,7 +609,10 @@ def bisecting_k(spark, sf_dir):
     return bisecting(vecs_of(spark, sf_dir), 4, rounds=3)
 
 
-@query()
+_FAR = [("e", f"SELECT vec_id, list_transform(embedding, lambda x: CAST(round(x::DOUBLE * {O.UNIT}) AS BIGINT)) AS q FROM embeddings"), ("f0", "SELECT 0 AS rk, vec_id FROM embeddings QUALIFY row_number() OVER (ORDER BY md5('42:' || vec_id), vec_id) = 1"), ("f1", "SELECT rk, vec_id FROM f0 UNION ALL (SELECT 1, x.vec_id FROM e x JOIN f0 f ON true JOIN e y ON y.vec_id = f.vec_id GROUP BY x.vec_id ORDER BY max(list_sum(list_transform(list_zip(x.q, y.q), lambda p: p[1] * p[2]))), x.vec_id LIMIT 1)"), ("f2", "SELECT rk, vec_id FROM f1 UNION ALL (SELECT 2, x.vec_id FROM e x JOIN f1 f ON true JOIN e y ON y.vec_id = f.vec_id GROUP BY x.vec_id ORDER BY max(list_sum(list_transform(list_zip(x.q, y.q), lambda p: p[1] * p[2]))), x.vec_id LIMIT 1)"), ("f3", "SELECT rk, vec_id FROM f2 UNION ALL (SELECT 3, x.vec_id FROM e x JOIN f2 f ON true JOIN e y ON y.vec_id = f.vec_id GROUP BY x.vec_id ORDER BY max(list_sum(list_transform(list_zip(x.q, y.q), lambda p: p[1] * p[2]))), x.vec_id LIMIT 1)"), ("f4", "SELECT rk, vec_id FROM f3 UNION ALL (SELECT 4, x.vec_id FROM e x JOIN f3 f ON true JOIN e y ON y.vec_id = f.vec_id GROUP BY x.vec_id ORDER BY max(list_sum(list_transform(list_zip(x.q, y.q), lambda p: p[1] * p[2]))), x.vec_id LIMIT 1)")]
+
+
+@query(O.with_(_FAR, "SELECT rk, vec_id FROM f4"))
 def farthest_seeds(spark, sf_dir):
     """B4"""
     v = points_of(spark, sf_dir)
@@ -661,13 +686,16 @@ def internal_similarity(spark, sf_dir):
     return metrics.internal_similarity(vecs_of(spark, sf_dir), lloyd_of(spark, sf_dir).assign).withColumn("internal", F.round("internal", 6))
 
 
-@query()
+_COMPARED = [*D, ("base", O.with_(O.lloyd(K, 8), f"SELECT {O.rss('l8')} AS rss")), ("mg", O.with_(O.micro_labels(K, M), f"SELECT {O.rss('fin')} AS rss")), ("ss", O.with_(O.sampleseed(K, 2), f"SELECT {O.rss('r2')} AS rss"))]
+
+
+@query(O.with_(_COMPARED, "SELECT method, round(rss, 4) AS rss, round(100 * (rss / (SELECT rss FROM base) - 1), 4) + 0.0 AS loss_pct FROM (SELECT 'lloyd' AS method, rss FROM base UNION ALL SELECT 'microgroup', rss FROM mg UNION ALL SELECT 'sampleseed', rss FROM ss)"))
 def rss_compare(spark, sf_dir):
     """The three methods side by side"""
     v = vecs_of(spark, sf_dir)
-    base = totals(v.packed, lloyd(v, K).centers).rss()
+    base = metrics.rss(v, lloyd(v, K).assign)
     rows = [("lloyd", base), ("microgroup", metrics.rss(v, micro_result(spark, sf_dir).assign)), ("sampleseed", metrics.rss(v, sample_of(spark, sf_dir).assign))]
-    return spark.createDataFrame([(m, x, metrics.rss_loss(x, base)) for m, x in rows], "method string, rss double, loss_pct double")
+    return spark.createDataFrame([(m, x, metrics.rss_loss(x, base)) for m, x in rows], "method string, rss double, loss_pct double").select("method", F.round("rss", 4).alias("rss"), F.round("loss_pct", 4).alias("loss_pct"))
 
 
 @query(O.with_([*D, *O.lloyd(K, 3)], "SELECT 'lloyd' AS method, round(sum(m)::DOUBLE / (SELECT count(*) FROM l3), 6) AS purity FROM (SELECT c, max(n) AS m FROM (SELECT l3.c, d.lang, count(*) AS n FROM l3 JOIN documents d USING (doc_id) GROUP BY l3.c, d.lang) GROUP BY c)"))
@@ -677,11 +705,11 @@ def cluster_purity(spark, sf_dir):
     return spark.createDataFrame([("lloyd", got["purity"])], "method string, purity double").withColumn("purity", F.round("purity", 6))
 
 
-@query()
+@query(O.with_([*D, *O.lloyd(K, 3), ("cell", "SELECT l3.c, d.lang AS y, count(*)::DOUBLE AS n FROM l3 JOIN documents d USING (doc_id) GROUP BY l3.c, d.lang")], f"SELECT measure, round(value, 6) AS value FROM ({O.external('l3')})"))
 def external_measures(spark, sf_dir):
     """M11"""
     got = metrics.external(lloyd_of(spark, sf_dir).assign, docs_of(spark, sf_dir), "lang")
-    return spark.createDataFrame([(m, float(x)) for m, x in got.items()], "measure string, value double")
+    return spark.createDataFrame([(m, float(x)) for m, x in got.items()], "measure string, value double").withColumn("value", F.round("value", 6))
 
 
 @query(O.with_([*D, *O.lloyd(K, 3)], "SELECT c AS cluster_id, count(*) AS n, round(count(*) / avg(count(*)) OVER (), 6) AS share_of_mean FROM l3 GROUP BY c"))
@@ -690,11 +718,11 @@ def cluster_sizes(spark, sf_dir):
     return metrics.sizes(lloyd_of(spark, sf_dir).assign).withColumn("share_of_mean", F.round("share_of_mean", 6))
 
 
-@query()
+@query(O.with_([*P, *O.lloyd(K, 3)], f"SELECT round({O.silhouette('l3')}, 6) AS silhouette"))
 def silhouette(spark, sf_dir):
     """M12"""
     v = points_of(spark, sf_dir)
-    return spark.createDataFrame([(metrics.silhouette(v, lloyd(v, K, max_iter=3).assign, K),)], "silhouette double")
+    return spark.createDataFrame([(metrics.silhouette(v, lloyd(v, K, max_iter=3).assign, K),)], "silhouette double").withColumn("silhouette", F.round("silhouette", 6))
 
 
 @query("SELECT * FROM (VALUES ('lloyd', 8 * 1000 * 10::BIGINT), ('microgroup', (1000 * 50 + 50 * 50 // 2 + 1000 * 10)::BIGINT), ('sampleseed', (100 * 100 // 2 + 2 * 900 * 10)::BIGINT)) t(method, evals)")
@@ -825,11 +853,11 @@ def running_rss(spark, sf_dir):
     return lloyd_of(spark, sf_dir).assign.select("cluster_id", "doc_id", F.round(F.sum(1 - F.col("sim")).over(w), 4).alias("running"))
 
 
-@query(O.with_([*P, *O.sample(100), *O.single_link(K)], f"SELECT row_number() OVER (ORDER BY dp DESC, a, b) AS step, round((dp - lag(dp) OVER (ORDER BY dp DESC, a, b)) / {FULL}.0, 6) AS gap FROM tree"))
+@query(O.with_([*P, *O.sample(O.sample_rows(K)), *O.single_link(K)], f"SELECT row_number() OVER (ORDER BY dp DESC, a, b) AS step, round((dp - lag(dp) OVER (ORDER BY dp DESC, a, b)) / {FULL}.0, 6) AS gap FROM tree"))
 def merge_gap(spark, sf_dir):
     """Falls of the merge heights"""
     v = points_of(spark, sf_dir)
-    tree = hac.mst(v, draw_sample(v.packed.select("doc_id"), 100), 3)
+    tree = hac.mst(v, _drawn(v.packed.select("doc_id")), 3)
     w = Window.orderBy(F.desc("dp"), "a", "b")
     return tree.select(F.row_number().over(w).alias("step"), F.round((F.col("dp") - F.lag("dp").over(w)) / float(FULL), 6).alias("gap"))
 
@@ -897,13 +925,11 @@ def dense_centroid(spark, sf_dir):
     return load(spark, sf_dir, "embeddings").select("label", F.posexplode("embedding").alias("dim", "x")).groupBy("label", F.col("dim").cast("long").alias("dim")).agg(F.round(F.avg(F.col("x").cast("double")), 6).alias("mean"))
 
 
-@query(O.with_([*P[:2], *O.ordered()], "SELECT o.doc_id AS a, p.doc_id AS b FROM (SELECT doc_id, wq FROM post JOIN ord USING (doc_id) WHERE term = 0 AND rk < 50) o JOIN (SELECT doc_id, wq FROM post WHERE term = 0) p ON abs(o.wq - p.wq) <= 5000"))
+@query(O.with_(P[:2], "SELECT o.doc_id AS a, p.doc_id AS b FROM (SELECT doc_id, wq FROM post WHERE term = 0) o JOIN (SELECT doc_id, wq FROM post WHERE term = 0) p ON abs(o.wq - p.wq) <= 5000"))
 def band_join(spark, sf_dir):
-    """Points whose first coordinate lies within a band"""
-    v = points_of(spark, sf_dir)
-    first = v.packed.select("doc_id", F.element_at("val", 1).alias("x"))
-    drawn = first.join(draw_sample(v.packed.select("doc_id"), 50).select("doc_id"), "doc_id").select(F.col("doc_id").alias("a"), "x")
-    return relational.band_join(drawn, first.select(F.col("doc_id").alias("b"), F.col("x").alias("y")), "x", "y", 5000).select("a", "b")
+    """Points whose first coordinates lie within a band"""
+    first = points_of(spark, sf_dir).packed.select("doc_id", F.element_at("val", 1).alias("x"))
+    return relational.band_join(first.select(F.col("doc_id").alias("a"), "x"), first.select(F.col("doc_id").alias("b"), F.col("x").alias("y")), "x", "y", 5000).select("a", "b")
 
 
 @query("SELECT e.event_id, o.o_orderkey FROM events e JOIN orders o ON o.o_custkey % 500 = e.user_id % 500 AND o.o_orderdate + INTERVAL 9500 DAY <= e.ts AND e.ts <= o.o_orderdate + INTERVAL 9502 DAY")
@@ -1017,7 +1043,7 @@ def benchmark_nearest(spark, sf_dir):
     return stream_assign(load(spark, sf_dir, "benchmark").select(F.col("item_id").alias("doc_id"), "text"), model)
 
 
-@query()
+@query("SELECT vec_id, round(list_cosine_similarity(embedding::DOUBLE[], embedding::DOUBLE[]), 6) AS one, round(sqrt(list_dot_product(embedding::DOUBLE[], embedding::DOUBLE[])), 6) AS norm FROM embeddings")
 def udf_cos(spark, sf_dir):
     """O36"""
     from textgroups.functions.udfs import register
@@ -1045,7 +1071,7 @@ def udtf_tokens(spark, sf_dir):
     return spark.sql("SELECT item_id, term, count(*) AS n FROM tg_benchmark, LATERAL tokenize(text) GROUP BY item_id, term")
 
 
-@query()
+@query(O.with_(L3, f"SELECT doc_id, cluster_id::INTEGER AS cluster_id, round(sim, 6) AS sim FROM {_LAB}"))
 def write_read_assign(spark, sf_dir):
     """O3: labels written by cluster and read back"""
     from textgroups.plans.storage import workspace
@@ -1053,7 +1079,7 @@ def write_read_assign(spark, sf_dir):
 
     path = workspace(spark, "assign")
     save(lloyd_of(spark, sf_dir).assign, path, ["cluster_id"])
-    return spark.read.parquet(path)
+    return _sims(spark.read.parquet(path), "sim")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
