@@ -7,9 +7,9 @@ candidates, and every link is verified on the whole sets. Measured on random set
 a chance of 0.95, at 0.85 of 0.99, from 0.9 on nearly always. Two unrelated sets share one of 36 bits with a chance of
 1e-8; for more than 10^9 sets use SEGMENTS = 4, which leaves fewer chance candidates than documents.
 
-Buckets of up to BUCKET_LIMIT different sets are compared in pairs. In a larger one all sets are compared with one of
-them, then those that stand outside the bucket's largest component with another one. What is still outside is compared
-with all sets of the bucket that are in another component, in blocks of sets: a task holds two blocks and gives the links
+In a bucket of more than two different sets all are compared with one of them, then those that stand outside the
+bucket's largest component with another one. What is still outside is compared with all sets of the bucket that are in
+another component, in blocks of sets: a task holds two blocks and gives the links
 it finds, so no row is made for a pair that is none. Pairs within a component need no comparison, so components are those
 of all verified candidates. Work is linear in a large group of close copies; where many of its members stand outside the
 largest component, the comparison of blocks grows with their number times the group's size.
@@ -40,8 +40,6 @@ from textgroups.plans.storage import materialise
 
 SHINGLE, SIMILARITY = 5, 0.8
 TABLES, SEGMENTS, PROBES, SEED = 20, 3, 6, 43
-#: Buckets of more different sets than this are compared by way of their components.
-BUCKET_LIMIT = 8
 #: Sets and characters of a block that is compared with another one, about.
 BLOCK_ROWS, BLOCK_CHARS = 256, 4 << 20
 SLICE_BYTES, _DECODED = 2 << 20, 128
@@ -177,11 +175,8 @@ def links(distinct: DataFrame, texts_of: Callable[[DataFrame], DataFrame]) -> Da
     keys = distinct.select("fp", F.explode("keys").alias("key"))
     shared = materialise(keys.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("a"), F.max("fp").alias("b")).filter("n > 1"), "shared")
     more = materialise(shared.filter("n > 2").select("key", "n", F.col("a").alias("least")), "more")
-    members = materialise(join_lookup(keys, more, "key", "n"), "members")
-    small, large = members.filter(F.col("n") <= BUCKET_LIMIT), members.filter(F.col("n") > BUCKET_LIMIT)
-    one, two = small.select("key", F.col("fp").alias("a")), small.select("key", F.col("fp").alias("b"))
-    pairs = shared.filter("n = 2").select("a", "b").unionByName(one.join(two.hint("merge"), "key").filter("a < b").select("a", "b"))
-    pairs = pairs.unionByName(large.filter("fp <> least").select(F.col("least").alias("a"), F.col("fp").alias("b")))
+    large = materialise(join_lookup(keys, more, "key", "n"), "members")
+    pairs = shared.filter("n = 2").select("a", "b").unionByName(large.filter("fp <> least").select(F.col("least").alias("a"), F.col("fp").alias("b")))
     tried = materialise(pairs.distinct(), "pairs")
     candidates = tried.select(F.col("a").alias("fp")).unionByName(tried.select(F.col("b").alias("fp"))).distinct()
     texts = materialise(texts_of(candidates), "texts")
