@@ -94,6 +94,21 @@ def cos_sim(a: Column, b: Column) -> Column:
     return dot(a, b) / F.sqrt(dot(a, a) * dot(b, b))
 
 
+def map_dot(a: Column, b: Column) -> Column:
+    """Product of two maps of weights."""
+    return F.aggregate(F.map_entries(a), F.lit(0.0), lambda s, e: s + e["value"].cast("double") * F.coalesce(F.try_element_at(b, e["key"]).cast("double"), F.lit(0.0)))
+
+
+def cos_sparse(a: Column, b: Column) -> Column:
+    """Cosine of two maps of weights."""
+    return map_dot(a, b) / F.sqrt(map_dot(a, a) * map_dot(b, b))
+
+
+def as_map(idx: Column, val: Column) -> Column:
+    """A packed vector as a map of weights."""
+    return F.map_from_arrays(idx, val)
+
+
 def euclid(a: Column, b: Column) -> Column:
     """Euclidean distance of two dense arrays."""
     return F.sqrt(F.aggregate(F.zip_with(a, b, lambda p, q: p.cast("double") - q.cast("double")), F.lit(0.0), lambda s, d: s + d * d))

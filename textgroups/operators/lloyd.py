@@ -104,6 +104,32 @@ def lloyd(vecs: Vectors, k: int, init="random", max_iter: int = 8, tol: float =
     return LloydResult(labels, centers, {"rounds": rounds, "rss_by_round": history, "passes": rounds + 1})
 
 
+def add_points(ids: DataFrame, centers: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Counts, sums and largest squared distances of the points ``ids(doc_id, x)`` by nearest centre, added up in the tasks."""
+    import pyarrow as pa
+
+    def add(batches):
+        sums, n, far = np.zeros_like(centers), np.zeros(len(centers), np.int64), np.zeros(len(centers))
+        for batch in batches:
+            x, label = nearest_point(batch, centers)
+            np.add.at(sums, label, x)
+            n += np.bincount(label, minlength=len(centers))
+            np.maximum.at(far, label, ((x - centers[label]) ** 2).sum(axis=1))
+        yield pa.record_batch([pa.array(np.arange(len(centers))), pa.array(n), pa.array(list(sums)), pa.array(far)], names=["c", "n", "x", "far"])
+
+    rows = ids.mapInArrow(add, "c long, n long, x array<double>, far double")
+    added = rows.select("c", "n", "far", F.posexplode("x").alias("i", "x")).groupBy("c", "i").agg(F.sum("x").alias("x"), F.sum("n").alias("n"), F.max("far").alias("far")).toArrow()
+    c, i, x, n, far = (added.column(j).to_numpy() for j in range(5))
+    sums, count, radius = np.zeros_like(centers), np.zeros(len(centers)), np.zeros(len(centers))
+    sums[c, i], count[c], radius[c] = x, n, far
+    return count, sums, radius
+
+
+def nearest_point(batch, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    x = batch.column("x").flatten().to_numpy().reshape(batch.num_rows, -1)
+    return x, np.round(-2 * x @ c.T + (c * c).sum(axis=1), 9).argmin(axis=1)
+
+
 def lloyd_euclidean(points: DataFrame, k: int, max_iter: int = 8, seed: int = 42, id_col: str = "vec_id", column: str = "embedding") -> tuple[DataFrame, np.ndarray]:
     """K-Means on points with squared distances x x - 2 x c + c c (B1u); a task adds up its own points."""
     import pyarrow as pa
@@ -113,35 +139,17 @@ def lloyd_euclidean(points: DataFrame, k: int, max_iter: int = 8, seed: int = 42
     start = ids.join(F.broadcast(picked), "doc_id").orderBy("center_id").select("x").collect()
     centers = np.array([r["x"] for r in start])
 
-    def nearest(batch, c):
-        x = batch.column("x").flatten().to_numpy().reshape(batch.num_rows, -1)
-        return x, np.round(-2 * x @ c.T + (c * c).sum(axis=1), 9).argmin(axis=1)
-
     for _ in range(max_iter):
-        at = centers
-
-        def add(batches, at=at):
-            sums, n = np.zeros_like(at), np.zeros(len(at), np.int64)
-            for batch in batches:
-                x, label = nearest(batch, at)
-                np.add.at(sums, label, x)
-                n += np.bincount(label, minlength=len(at))
-            yield pa.record_batch([pa.array(np.arange(len(at))), pa.array(n), pa.array(list(sums))], names=["c", "n", "x"])
-
-        got = ids.mapInArrow(add, "c long, n long, x array<double>").collect()  # k rows a task
-        total, n = np.zeros_like(at), np.zeros(len(at))
-        for r in got:
-            total[r["c"]] += r["x"]
-            n[r["c"]] += r["n"]
-        fresh = np.where(n[:, None] > 0, total / np.maximum(n, 1)[:, None], at)
-        if np.array_equal(fresh, at):
+        n, total, _far = add_points(ids, centers)
+        fresh = np.where(n[:, None] > 0, total / np.maximum(n, 1)[:, None], centers)
+        if np.array_equal(fresh, centers):
             break
         centers = fresh
     last = centers
 
     def label(batches):
         for batch in batches:
-            x, best = nearest(batch, last)
+            x, best = nearest_point(batch, last)
             yield pa.record_batch([batch.column("doc_id"), pa.array(best.astype(np.int64)), pa.array(((x - last[best]) ** 2).sum(axis=1))], names=["doc_id", "cluster_id", "dist2"])
 
     return ids.mapInArrow(label, "doc_id long, cluster_id long, dist2 double"), centers

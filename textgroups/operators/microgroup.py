@@ -331,20 +331,12 @@ def sweep_micro(vecs: Vectors, k: int, ratios: tuple[float, ...] = (5, 3, 2.25,
 def micro_points_euclidean(points: DataFrame, k: int, n_micro: int, seed: int = 42, id_col: str = "vec_id", column: str = "embedding") -> DataFrame:
     """The point form (A14): radius (largest distance) instead of the lowest similarity, gap between spheres as the
     link measure, smallest gaps first until ``k`` groups are left; then one assignment to the groups' means."""
-    from textgroups.operators.lloyd import lloyd_euclidean
-
-    labels, centers = lloyd_euclidean(points, n_micro, 0, seed, id_col, column)
-    head = labels.groupBy("cluster_id").agg(F.count(F.lit(1)).alias("n"), F.max("dist2").alias("r2")).collect()
-    dims = points.select(F.col(id_col).alias("doc_id"), F.posexplode(F.col(column)).alias("dim", "x")).join(labels, "doc_id")
-    sums = np.zeros_like(centers)
-    for r in dims.groupBy("cluster_id", "dim").agg(F.sum(F.col("x").cast("double")).alias("s")).collect():
-        sums[r["cluster_id"], r["dim"]] = r["s"]
-    ids = sorted(r["cluster_id"] for r in head)
-    n = np.zeros(len(centers))
-    radius = np.zeros(len(centers))
-    for r in head:
-        n[r["cluster_id"]], radius[r["cluster_id"]] = r["n"], r["r2"] ** 0.5
-    centers, sums, n, radius = centers[ids], sums[ids], n[ids], radius[ids]
+    from textgroups.operators.lloyd import add_points, lloyd_euclidean
+
+    _, centers = lloyd_euclidean(points, n_micro, 0, seed, id_col, column)
+    n, sums, far = add_points(points.select(F.col(id_col).alias("doc_id"), F.col(column).cast("array<double>").alias("x")), centers)
+    ids = np.flatnonzero(n)
+    centers, sums, n, radius = centers[ids], sums[ids], n[ids], np.sqrt(far[ids])
     a, b = np.triu_indices(len(ids), 1)
     gap = np.sqrt(((centers[a] - centers[b]) ** 2).sum(axis=1)) - radius[a] - radius[b]
     links = Links(a, b, -gap, -gap, np.full(len(a), 2))

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from textgroups.functions.text import UNIT
 from textgroups.functions.vectors import Vectors
-from textgroups.operators.assign import assign_nearest, totals, unit, vectors_of
+from textgroups.operators.assign import checked, assign_nearest, totals, unit, vectors_of
 from textgroups.operators.hac import agglomerate
 from textgroups.operators.lloyd import lloyd
 from textgroups.operators.sampling import draw_sample, order_key, pick_centers, sample_size
@@ -113,6 +113,7 @@ def nmf(vecs: Vectors, rank: int, iters: int = 10, seed: int = 42) -> tuple[Data
     its task, and one pass a round brings back the two sums that the term side needs. Returns the loadings
     (doc_id, load), the term side, and the squared error of each round, which never rises.
     """
+    checked(rank, vecs.v)
     rng, v = np.random.default_rng(seed), vecs.v
     terms = rng.random((v, rank)) * 0.1 + 0.01
     spark, history = vecs.packed.sparkSession, []
@@ -147,15 +148,12 @@ def nmf(vecs: Vectors, rank: int, iters: int = 10, seed: int = 42) -> tuple[Data
             some = np.flatnonzero(xw.any(axis=1))
             yield pa.record_batch([pa.array(np.concatenate([some, [-1, -2]])), pa.array([*xw[some], ww.ravel(), np.array([xx])])], names=["t", "x"])
 
-        got = loads.mapInArrow(add, "t long, x array<double>").groupBy("t", F.size("x").alias("n")).agg(F.array(*[F.sum(F.try_element_at("x", F.lit(i + 1))) for i in range(rank * rank)]).alias("x")).collect()
-        xw, ww, xx = np.zeros((vecs.v, rank)), np.zeros((rank, rank)), 0.0
-        for r in got:
-            if r["t"] >= 0:
-                xw[r["t"]] = r["x"][:rank]
-            elif r["t"] == -1:
-                ww = np.array(r["x"]).reshape(rank, rank)
-            else:
-                xx = r["x"][0]
+        got = loads.mapInArrow(add, "t long, x array<double>").select("t", F.posexplode("x").alias("i", "x")).groupBy("t", "i").agg(F.sum("x").alias("x")).toArrow()
+        at, place, x = (got.column(i).to_numpy() for i in range(3))
+        xw, ww = np.zeros((vecs.v, rank)), np.zeros(rank * rank)
+        xw[at[at >= 0], place[at >= 0]] = x[at >= 0]
+        ww[place[at == -1]] = x[at == -1]
+        ww, xx = ww.reshape(rank, rank), float(x[at == -2].sum())
         terms = terms * xw / np.maximum(terms @ ww, 1e-12)
         history.append(float(xx - 2 * (terms * xw).sum() + ((terms.T @ terms) * ww).sum()))
         held.unpersist()

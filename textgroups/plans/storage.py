@@ -21,6 +21,8 @@ def shared_dir(spark: SparkSession) -> str:
         return named.rstrip("/")
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
+        if not context.master.startswith("local") or context.master.startswith("local-cluster"):
+            raise ValueError(f"set {CHECKPOINT_KEY}: executors on other machines need a folder that all can read")
         context.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="textgroups-"))
     return context.getCheckpointDir().rstrip("/")
 

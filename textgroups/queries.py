@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from textgroups import oracles as O
 from textgroups.functions import text as X
-from textgroups.functions.vectors import Vectors, cos_sim, point_vectors, text_vectors
+from textgroups.functions.vectors import Vectors, as_map, cos_sim, cos_sparse, point_vectors, text_vectors
 from textgroups.operators import hac, metrics, microgroup, relational, sampleseed
 from textgroups.operators.assign import assign_nearest, totals, vectors_of
 from textgroups.operators.components import components
@@ -842,15 +842,40 @@ def nearest_two_margin(spark, sf_dir):
 @query(O.with_(L3, f"SELECT doc_id, ntile(10) OVER (PARTITION BY cluster_id ORDER BY sim, doc_id) AS tile, round(percent_rank() OVER (PARTITION BY cluster_id ORDER BY sim, doc_id), 6) AS pr FROM {_LAB}"))
 def ntile_sim(spark, sf_dir):
     """O24"""
-    w = Window.partitionBy("cluster_id").orderBy("sim", "doc_id")
-    return lloyd_of(spark, sf_dir).assign.select("doc_id", F.ntile(10).over(w).alias("tile"), F.round(F.percent_rank().over(w), 6).alias("pr"))
+    rows = relational.placed(lloyd_of(spark, sf_dir).assign.select("doc_id", "cluster_id", "sim"), "cluster_id", [F.col("sim"), F.col("doc_id")], F.floor(F.col("sim") * 4096))
+    pr = F.when(F.col("n") > 1, F.col("at") / (F.col("n") - 1)).otherwise(F.lit(0.0))
+    return rows.select("doc_id", relational.tiles(10).alias("tile"), F.round(pr, 6).alias("pr"))
 
 
 @query(O.with_(L3, f"SELECT cluster_id, doc_id, round(sum(1 - sim) OVER (PARTITION BY cluster_id ORDER BY sim DESC, doc_id ROWS UNBOUNDED PRECEDING), 4) + 0.0 AS running FROM {_LAB}"))
 def running_rss(spark, sf_dir):
     """O23"""
-    w = Window.partitionBy("cluster_id").orderBy(F.desc("sim"), "doc_id").rowsBetween(Window.unboundedPreceding, 0)
-    return lloyd_of(spark, sf_dir).assign.select("cluster_id", "doc_id", F.round(F.sum(1 - F.col("sim")).over(w), 4).alias("running"))
+    far = 1 - F.col("sim")
+    rows = relational.placed(lloyd_of(spark, sf_dir).assign.select("cluster_id", "doc_id", "sim"), "cluster_id", [F.desc("sim"), F.col("doc_id")], F.floor(far * 4096), far)
+    return rows.select("cluster_id", "doc_id", F.round(F.col("before") + far, 4).alias("running"))
+
+
+@query(O.with_(L3, f"SELECT cluster_id, doc_id, round(avg(sim) OVER (PARTITION BY cluster_id ORDER BY sim DESC, doc_id ROWS 4 PRECEDING), 6) AS moving FROM {_LAB}"))
+def moving_sim(spark, sf_dir):
+    """Mean similarity over five documents, from the nearest on"""
+    rows = lloyd_of(spark, sf_dir).assign.select("cluster_id", "doc_id", "sim")
+    return relational.moving_mean(rows, "cluster_id", [F.desc("sim"), F.col("doc_id")], "sim", 5, F.floor((1 - F.col("sim")) * 4096)).select("cluster_id", "doc_id", F.round("moving", 6).alias("moving"))
+
+
+@query(O.with_([D[0], *O.ordered()], f"SELECT doc_id FROM ord WHERE rk >= {O.sample_rows(K)}"))
+def remainder_docs(spark, sf_dir):
+    """The documents outside the sample"""
+    ids = docs_of(spark, sf_dir).select("doc_id")
+    return split_sample(ids, _drawn(ids))[1]
+
+
+@query(O.with_([*D, ("near", "SELECT doc_id, lead(doc_id) OVER (ORDER BY doc_id) AS other FROM ids"), ("len", "SELECT doc_id, sum(wq::DOUBLE * wq) AS q FROM post GROUP BY doc_id")], "SELECT n.doc_id, n.other, round(coalesce(sum(x.wq::DOUBLE * y.wq) / any_value(sqrt(a.q * b.q)), 0), 6) + 0.0 AS cos FROM near n JOIN len a ON a.doc_id = n.doc_id JOIN len b ON b.doc_id = n.other LEFT JOIN post x ON x.doc_id = n.doc_id LEFT JOIN post y ON y.doc_id = n.other AND y.term = x.term GROUP BY n.doc_id, n.other"))
+def sparse_cos(spark, sf_dir):
+    """Cosine of each document with the one of the next id"""
+    v = vecs_of(spark, sf_dir)
+    rows = relational.placed(v.packed.select(F.lit(0).alias("g"), "doc_id", as_map(F.col("idx"), F.col("val")).alias("m")).filter(F.size("m") >= 0), "g", [F.col("doc_id")], F.floor(F.col("doc_id") / 100_000))
+    one, two = rows.select("at", "doc_id", "m"), rows.select((F.col("at") - 1).alias("at"), F.col("doc_id").alias("other"), F.col("m").alias("o"))
+    return one.join(two.hint("merge"), "at").filter((F.size("m") > 0) & (F.size("o") > 0)).select("doc_id", "other", F.round(cos_sparse(F.col("m"), F.col("o")), 6).alias("cos"))
 
 
 @query(O.with_([*P, *O.sample(O.sample_rows(K)), *O.single_link(K)], f"SELECT row_number() OVER (ORDER BY dp DESC, a, b) AS step, round((dp - lag(dp) OVER (ORDER BY dp DESC, a, b)) / {FULL}.0, 6) AS gap FROM tree"))
@@ -865,7 +890,8 @@ def merge_gap(spark, sf_dir):
 @query(O.with_(L3, f"SELECT cluster_id, round(quantile_cont(sim, 0.5), 6) AS median, round(quantile_cont(sim, 0.9), 6) AS p90 FROM {_LAB} GROUP BY cluster_id"))
 def sim_quantiles(spark, sf_dir):
     """O24"""
-    return lloyd_of(spark, sf_dir).assign.groupBy("cluster_id").agg(F.round(F.percentile("sim", 0.5), 6).alias("median"), F.round(F.percentile("sim", 0.9), 6).alias("p90"))
+    got = relational.group_quantiles(lloyd_of(spark, sf_dir).assign, "cluster_id", "sim", F.floor(F.col("sim") * 4096), {"median": 0.5, "p90": 0.9})
+    return got.select("cluster_id", F.round("median", 6).alias("median"), F.round("p90", 6).alias("p90"))
 
 
 @query(O.with_(D[:3], "SELECT d.lang, count(DISTINCT tf.term) AS terms FROM tf JOIN documents d USING (doc_id) GROUP BY d.lang"))
@@ -1015,7 +1041,15 @@ def top_orders(spark, sf_dir):
     return load(spark, sf_dir, "orders").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(20).select("o_orderkey", "o_totalprice")
 
 
-@query()
+_CUSTOMERS = [
+    ("q", "SELECT o_custkey AS doc_id, p_type, sum(l_quantity) AS qty FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey GROUP BY 1, 2"),
+    ("ids", "SELECT DISTINCT doc_id FROM q"),
+    ("tf", "SELECT doc_id, term, CAST(sum(times) AS BIGINT) AS tf FROM (SELECT doc_id, unnest(string_split_regex(lower(replace(p_type, ' ', '')), '[^\\p{L}\\p{N}]+')) AS term, ceil(qty / 10) AS times FROM q) WHERE term <> '' AND times > 0 GROUP BY doc_id, term"),
+    *D[3:],
+]
+
+
+@query(O.with_([*_CUSTOMERS, *O.micro_labels(5, 20)], "SELECT r_name, c AS cluster_id, count(*) AS n FROM fin JOIN customer ON doc_id = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY r_name, c"))
 def clusters_by_region(spark, sf_dir):
     """Customers by what they buy, clustered, by region"""
     rows = relational.behaviour_vectors(*[load(spark, sf_dir, t) for t in ("orders", "lineitem", "part")])
@@ -1033,14 +1067,22 @@ def micro_english(spark, sf_dir):
     return microgroup.microgroup(v, K, M).assign.select("doc_id", "cluster_id")
 
 
-@query()
+_PASSAGES = [
+    *D, *O.lloyd(K, 3),
+    ("btf", "SELECT doc_id, term, count(*) AS tf FROM (SELECT item_id AS doc_id, unnest(string_split_regex(lower(coalesce(text, '')), '[^\\p{L}\\p{N}]+')) AS term FROM benchmark) WHERE term <> '' GROUP BY doc_id, term"),
+    ("bw", "SELECT doc_id, term, w, sqrt(sum(w * w) OVER (PARTITION BY doc_id)) AS len FROM (SELECT doc_id, term, tf * ln((SELECT count(*) FROM ids)::DOUBLE / df) AS w FROM btf JOIN dfq USING (term)) WHERE w > 0"),
+    ("bd", f"SELECT doc_id, c, CAST(sum(CAST(floor(w / len * {O.UNIT} + 0.5) AS BIGINT) * cq) AS BIGINT) AS dp FROM bw JOIN c3 USING (term) GROUP BY doc_id, c"),
+]
+
+
+@query(O.with_(_PASSAGES, f"SELECT b.item_id AS doc_id, coalesce(x.c, 0) AS cluster_id, round(coalesce(x.dp, 0) / {FULL}.0, 6) + 0.0 AS sim FROM benchmark b LEFT JOIN (SELECT * FROM bd QUALIFY row_number() OVER (PARTITION BY doc_id ORDER BY dp DESC, c) = 1) x ON x.doc_id = b.item_id"))
 def benchmark_nearest(spark, sf_dir):
     """Passages against frozen centres"""
     from textgroups.streaming.stream import Frozen, stream_assign
 
     v = vecs_of(spark, sf_dir)
     model = Frozen(v.terms, lloyd_of(spark, sf_dir).centers, v.n)
-    return stream_assign(load(spark, sf_dir, "benchmark").select(F.col("item_id").alias("doc_id"), "text"), model)
+    return _sims(stream_assign(load(spark, sf_dir, "benchmark").select(F.col("item_id").alias("doc_id"), "text"), model), "sim")
 
 
 @query("SELECT vec_id, round(list_cosine_similarity(embedding::DOUBLE[], embedding::DOUBLE[]), 6) AS one, round(sqrt(list_dot_product(embedding::DOUBLE[], embedding::DOUBLE[])), 6) AS norm FROM embeddings")

@@ -7,10 +7,11 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from textgroups.functions.text import UNIT
+from textgroups.functions.text import UNIT, words
 from textgroups.operators.assign import nearest_in_batch, unit
 
 
@@ -28,26 +29,29 @@ class Frozen:
 
 def vectorise(docs: DataFrame, model: Frozen) -> DataFrame:
     """(doc_id, idx, val) of new documents by the frozen vocabulary, inside the row (no shuffle, so streams can use it)."""
-    rows = {r["term"]: (r["term_id"], float(np.log(model.n / r["df"]))) for r in model.terms.toLocalIterator()}
-    held = docs.sparkSession.sparkContext.broadcast(rows)
+    known = model.terms.select("term", "term_id", "df").toArrow().combine_chunks()  # of a checked size
+    held = docs.sparkSession.sparkContext.broadcast((known.column("term").combine_chunks(), known.column("term_id").to_numpy(), np.log(model.n / known.column("df").to_numpy())))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import regex
-
+        terms, ids, idf = held.value
         for batch in batches:
-            idx, val = [], []
-            for text in batch.column("text").to_pylist():
-                tf: dict[str, int] = {}
-                for t in regex.split(r"[^\p{L}\p{N}]+", (text or "").lower()):
-                    if t in held.value:
-                        tf[t] = tf.get(t, 0) + 1
-                w = sorted((held.value[t][0], f * held.value[t][1]) for t, f in tf.items() if held.value[t][1] > 0)
-                length = sum(x * x for _, x in w) ** 0.5
-                idx.append([i for i, _ in w])
-                val.append([int(np.floor(x / length * UNIT + 0.5)) for _, x in w])
-            yield pa.record_batch([batch.column("doc_id"), pa.array(idx, pa.list_(pa.int32())), pa.array(val, pa.list_(pa.int64()))], names=["doc_id", "idx", "val"])
-
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, idx array<int>, val array<long>")
+            found = batch.column("words")
+            place = pc.index_in(found.flatten(), value_set=terms)
+            owner = np.repeat(np.arange(batch.num_rows), np.diff(found.offsets.to_numpy()))
+            real = place.is_valid().to_numpy(zero_copy_only=False)
+            at = place.fill_null(0).to_numpy(zero_copy_only=False)
+            real &= idf[at] > 0
+            cell, tf = np.unique(owner[real] << 32 | ids[at[real]].astype(np.int64), return_counts=True)
+            weight_of = np.zeros(int(ids.max(initial=-1)) + 1)
+            weight_of[ids] = idf
+            row, idx = cell >> 32, cell & 0xFFFFFFFF
+            w = tf * weight_of[idx]
+            length = np.sqrt(np.bincount(row, w * w, batch.num_rows))
+            val = np.floor(w / length[row] * UNIT + 0.5).astype(np.int64)
+            ends = np.searchsorted(row, np.arange(batch.num_rows + 1)).astype(np.int32)
+            yield pa.record_batch([batch.column("doc_id"), pa.ListArray.from_arrays(ends, pa.array(idx.astype(np.int32))), pa.ListArray.from_arrays(ends, pa.array(val))], names=["doc_id", "idx", "val"])
+
+    return docs.select("doc_id", words(F.col("text")).alias("words")).mapInArrow(run, "doc_id long, idx array<int>, val array<long>")
 
 
 def stream_assign(docs: DataFrame, model: Frozen) -> DataFrame:
