@@ -9,8 +9,9 @@ compressed blocks, and a reduce that merges one shard in memory and stores sorte
 3. per word: followers seen once, twice, more often (for the back-off weight of the word as a context) and different
    predecessors (for the lower-order probability).
 
-Scoring maps the arrays into memory (``numpy.memmap``), so workers of a machine share one copy in the page cache and
-no model goes through the driver. The folder must be mounted on all machines; another one can be named by ``folder``.
+Scoring maps the arrays into memory (``numpy.memmap``), each when it is first asked for, so workers of a machine share
+one copy in the page cache and no model goes through the driver. A folder that is mounted on all machines is mapped where
+it lies; from any other store that pyarrow opens, a worker copies the shards it needs to its own disk first.
 
 Defined results: a null or empty text is its end token alone; repeated rows count and are scored each; with no training
 rows every text scores 0 (one unknown event of probability 1 a token); an empty table gives no rows; extra columns are
@@ -19,7 +20,10 @@ ignored; null ids count as the text '' in the fold rule.
 
 from __future__ import annotations
 
+import hashlib
+import io
 import os
+import tempfile
 from collections.abc import Callable, Iterator
 from functools import lru_cache
 
@@ -27,6 +31,7 @@ import numpy as np
 import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame
+from pyarrow import fs
 from pyspark.sql import functions as F
 
 from textgroups.llm.words import _mix, as_text, hash_strings, slices, split_words
@@ -36,6 +41,8 @@ from textgroups.plans.storage import input_bytes, local_path, workspace
 SHARD_BYTES = 24 << 20
 #: Different keys that a map task holds before it deals them out.
 HELD_KEYS = 3_000_000
+#: Arrays that a worker has mapped at once, of each kind; systems bound the maps of a process at about 65 000.
+MOST_MAPS = 8192
 END_HASH, START = np.uint64(0x5851F42D4C957F2D), np.uint64(0xFFFFFFFF)
 _UNKNOWN = np.uint64(0xFFFFFFFE)
 #: The optimizer's estimate for a plan that it knows nothing about is beyond this.
@@ -84,16 +91,54 @@ def _deal(shard: np.ndarray, keys: np.ndarray, *values: np.ndarray) -> Iterator[
         yield pa.record_batch([pa.array([int(s)], pa.int32()), pa.array([len(at)], pa.int64()), pa.array([_pack(_delta(keys[at]), *[v[at] for v in values])], pa.binary())], names=["shard", "n", "block"])
 
 
-def _save(path: str, array: np.ndarray) -> None:
+def _save(folder: str, name: str, array: np.ndarray) -> None:
     """Whole or not at all, so that a task that is run again only repeats its file."""
+    if local_path(folder) is None:  # an object of such a store is there once it is complete
+        held = io.BytesIO()
+        np.save(held, array)
+        store, path = fs.FileSystem.from_uri(folder)
+        with store.open_output_stream(f"{path}/{name}.npy") as f:
+            f.write(held.getbuffer())
+        return
+    path = f"{local_path(folder)}/{name}.npy"
     part = f"{path}.{os.getpid()}.{os.urandom(4).hex()}"
     with open(part, "wb") as f:
         np.save(f, array)
     os.replace(part, path)
 
 
-def _open(path: str) -> np.ndarray:
-    return np.load(path, mmap_mode="r")
+def _open(folder: str, name: str) -> np.ndarray | None:
+    """The array, mapped; None where no key fell into its shard."""
+    at = local_path(folder)
+    path = f"{at}/{name}.npy" if at is not None else _copied(*fs.FileSystem.from_uri(folder), name)
+    return np.load(path, mmap_mode="r") if path and os.path.exists(path) else None
+
+
+def _copied(store: fs.FileSystem, folder: str, name: str) -> str | None:
+    """A copy of a stored array on this machine, made once."""
+    if store.get_file_info(f"{folder}/{name}.npy").type == fs.FileType.NotFound:
+        return None
+    own = os.path.join(tempfile.gettempdir(), "ngram-" + hashlib.md5(folder.encode()).hexdigest())
+    path = f"{own}/{name}.npy"
+    if not os.path.exists(path):
+        os.makedirs(own, exist_ok=True)
+        part = f"{path}.{os.getpid()}.{os.urandom(4).hex()}"
+        with store.open_input_stream(f"{folder}/{name}.npy") as f, open(part, "wb") as out:
+            while block := f.read(1 << 24):
+                out.write(block)
+        os.replace(part, path)
+    return path
+
+
+class Shards:
+    """The arrays of one kind by shard, mapped when they are first asked for."""
+
+    def __init__(self, folder: str, name: str, empty: Callable[[int], np.ndarray]):
+        found = lambda s: x if (x := _open(folder, f"{name}-{s}")) is not None else empty(s)
+        self._of = lru_cache(MOST_MAPS)(found)
+
+    def __getitem__(self, s: int) -> np.ndarray:
+        return self._of(int(s))
 
 
 def _top(hashes: np.ndarray, bits: int) -> np.ndarray:
@@ -105,8 +150,8 @@ class Vocabulary:
 
     def __init__(self, folder: str, bits: int):
         self.bits = bits
-        self.hashes = [_open(f"{folder}/words-{s}.npy") for s in range(1 << bits)]
-        self.bases = np.concatenate([[0], np.cumsum([len(h) for h in self.hashes])]).astype(np.int64)
+        self.hashes = Shards(folder, "words", lambda s: np.zeros(0, np.uint64))
+        self.bases = _open(folder, "bases")
         self.folder = folder
 
     def ids(self, hashes: np.ndarray) -> np.ndarray:
@@ -114,7 +159,7 @@ class Vocabulary:
         return _find(self.hashes, self.bits, hashes, lambda s, at: (self.bases[s] + at).astype(np.uint64), _UNKNOWN)
 
 
-def _find(shards: list[np.ndarray], bits: int, hashes: np.ndarray, value: Callable[[int, np.ndarray], np.ndarray], missing) -> np.ndarray:
+def _find(shards: Shards, bits: int, hashes: np.ndarray, value: Callable[[int, np.ndarray], np.ndarray], missing) -> np.ndarray:
     """``value(shard, positions)`` of each hash; the needles go through the arrays in their order."""
     order = np.argsort(hashes)
     ranked = hashes[order]
@@ -196,6 +241,11 @@ def _merged(rows: DataFrame, shards: int, kinds: tuple[type, ...], finish: Calla
     return rows.repartitionById(shards, F.col("shard")).mapInArrow(run, schema)
 
 
+def narrow(counts: np.ndarray) -> np.ndarray:
+    """Counts in 32 bits where all of a shard fit, else in 64."""
+    return counts.astype(np.uint32 if counts.max(initial=0) < 1 << 32 else np.uint64)
+
+
 def discounts(n: list[int]) -> list[float]:
     """Discounts of counts 1, 2 and 3 or more from the numbers of counts 1 to 4; bounded where a number is missing."""
     n1, n2, n3, n4 = n
@@ -212,10 +262,9 @@ def _of_counts(counts: np.ndarray) -> list[int]:
 def fit(training: DataFrame, folder: str | None = None) -> dict:
     """Count the model over ``training(text)`` and store it; returns its description (a few numbers)."""
     spark = training.sparkSession
-    folder = local_path(folder or workspace(spark, "ngram"))
-    if folder is None:
-        raise ValueError("the model's arrays are mapped into memory: name a folder that is mounted on all machines")
-    os.makedirs(folder, exist_ok=True)
+    folder = folder or workspace(spark, "ngram")
+    if (at := local_path(folder)) is not None:
+        os.makedirs(at, exist_ok=True)
     size = input_bytes(training.select("text"))
     if size >= _UNKNOWN_BYTES:
         size = (training.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // 2
@@ -230,16 +279,16 @@ def fit(training: DataFrame, folder: str | None = None) -> dict:
         return keys[counts > 0], counts[counts > 0]
 
     def store_words(s: int, keys: np.ndarray, values: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
-        _save(f"{folder}/words-{s}.npy", keys)
-        _save(f"{folder}/counts-{s}.npy", values[0])
-        yield pa.record_batch([pa.array([len(keys)]), pa.array([int(values[0].sum())])], names=["v", "n"])
+        _save(folder, f"words-{s}", keys)
+        _save(folder, f"counts-{s}", values[0])
+        yield pa.record_batch([pa.array([s]), pa.array([len(keys)]), pa.array([int(values[0].sum())])], names=["s", "v", "n"])
 
-    for s in range(shards):  # a shard that no key falls into keeps these
-        for name, kind in (("words", np.uint64), ("counts", np.int64), ("pairs", np.uint64), ("pair-counts", np.uint32)):
-            _save(f"{folder}/{name}-{s}.npy", np.zeros(0, kind))
     counted = _counted(training, lambda t: used(*words_of(t)), lambda k: _top(k, bits))
-    vocabulary = _merged(counted, shards, (np.uint32,), store_words, "v long, n long").agg(F.sum("v"), F.sum("n")).first()
-    model = {"folder": folder, "bits": bits, "v": vocabulary[0] or 0, "n": vocabulary[1] or 0}
+    vocabulary = _merged(counted, shards, (np.uint32,), store_words, "s long, v long, n long").toArrow()  # a row a shard
+    sizes = np.zeros(shards + 1, np.int64)
+    sizes[vocabulary.column("s").to_numpy() + 1] = vocabulary.column("v").to_numpy()
+    _save(folder, "bases", np.cumsum(sizes))
+    model = {"folder": folder, "bits": bits, "v": int(sizes.sum()), "n": int(vocabulary.column("n").to_numpy().sum())}
     if model["v"] >= int(_UNKNOWN):
         raise ValueError("word ids need more than 32 bits: train on fewer texts a model")
     if not model["n"]:
@@ -255,7 +304,7 @@ def fit(training: DataFrame, folder: str | None = None) -> dict:
         ids, *values = _summed(ids, *values)
         bases = _vocabulary(folder, bits).bases
         shard = np.searchsorted(bases, ids.astype(np.int64), side="right") - 1
-        shard[ids == START] = 0
+        shard[ids >= _UNKNOWN] = 0
         tagged = ids << np.uint64(1) | np.uint64(tag)
         zero = [np.zeros(len(ids), np.uint32)] * (3 - len(values))
         yield from _deal(shard, tagged, *[v.astype(np.uint32) for v in values], *zero)
@@ -264,9 +313,12 @@ def fit(training: DataFrame, folder: str | None = None) -> dict:
         counts = values[0]
         hashes = _mix(keys)
         order = np.argsort(hashes)
-        _save(f"{folder}/pairs-{s}.npy", hashes[order])
-        _save(f"{folder}/pair-counts-{s}.npy", counts[order].astype(np.uint32))
-        _save(f"{folder}/pair-tops-{s}.npy", np.array(_of_counts(counts)))
+        _save(folder, f"pairs-{s}", hashes[order])
+        _save(folder, f"pair-counts-{s}", narrow(counts[order]))
+        tops = [np.array([x]) for x in _of_counts(counts)]
+        none = np.array([_UNKNOWN])  # stands for no word: what all pairs are counted under
+        yield from by_word(0, none, *tops[:3])
+        yield from by_word(1, none, tops[3])
         one, two = counts == 1, counts == 2
         yield from by_word(0, keys >> np.uint64(32), one.astype(np.int64), two.astype(np.int64), (~one & ~two).astype(np.int64))
         yield from by_word(1, keys & np.uint64(0xFFFFFFFF), np.ones(len(keys), np.int64))
@@ -274,23 +326,23 @@ def fit(training: DataFrame, folder: str | None = None) -> dict:
     def store_sums(s: int, keys: np.ndarray, values: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
         bases = _vocabulary(folder, bits).bases
         ids, follower = keys >> np.uint64(1), (keys & np.uint64(1)).astype(bool)
-        known = ids != START
+        known, start, every = ids < _UNKNOWN, ids == START, ids == _UNKNOWN
         sums = np.zeros((4, int(bases[s + 1] - bases[s])), np.uint32)
-        context = known & ~follower
+        context, follows = known & ~follower, known & follower
         for i in range(3):
             sums[i, (ids[context].astype(np.int64) - bases[s])] = values[i][context]
-        sums[3, (ids[follower].astype(np.int64) - bases[s])] = values[0][follower]
-        _save(f"{folder}/sums-{s}.npy", sums)
-        start = [int(v[~known].sum()) for v in values]
-        tops = _of_counts(sums[3])
-        yield pa.record_batch([pa.array([x]) for x in (*start, int(sums[3].sum(dtype=np.int64)), int((sums[3] > 2).sum()), *tops)], names=["s1", "s2", "s3", "follows", "more", "t1", "t2", "t3", "t4"])
+        sums[3, (ids[follows].astype(np.int64) - bases[s])] = values[0][follows]
+        _save(folder, f"sums-{s}", sums)
+        begin = [int(v[start].sum()) for v in values]
+        pair_tops = [*(int(v[every & ~follower].sum()) for v in values), int(values[0][every & follower].sum())]
+        row = (*begin, int(sums[3].sum(dtype=np.int64)), int((sums[3] > 2).sum()), *_of_counts(sums[3]), *pair_tops)
+        yield pa.record_batch([pa.array([x]) for x in row], names=names)
+
+    names = ["s1", "s2", "s3", "follows", "more", "t1", "t2", "t3", "t4", "p1", "p2", "p3", "p4"]
 
     pairs = _merged(_counted(training, pairs_of, lambda k: _top(_mix(k), bits)), shards, (np.uint32,), store_pairs, "shard int, n long, block binary")
-    names = ["s1", "s2", "s3", "follows", "more", "t1", "t2", "t3", "t4"]
     sums = _merged(pairs, shards, (np.uint32,) * 3, store_sums, ", ".join(f"{n} long" for n in names)).agg(*[F.sum(n) for n in names]).first()
-    model |= {"start": list(sums[:3]), "follows": sums[3], "tops1": list(sums[5:9]), "more1": sums[4]}
-    tops = [np.load(p) for s in range(shards) if os.path.exists(p := f"{folder}/pair-tops-{s}.npy")]
-    model["tops2"] = [int(x) for x in np.sum(tops, axis=0)]
+    model |= {"start": list(sums[:3]), "follows": sums[3], "tops1": list(sums[5:9]), "more1": sums[4], "tops2": list(sums[9:13])}
     model["d1"], model["d2"] = discounts(model["tops1"]), discounts(model["tops2"])
     return model
 
@@ -305,12 +357,11 @@ class Model:
 
     def __init__(self, about: dict):
         self.about = about
-        folder, shards = about["folder"], range(1 << about["bits"])
+        folder = about["folder"]
         self.vocabulary = _vocabulary(folder, about["bits"])
-        self.counts = [_open(f"{folder}/counts-{s}.npy") for s in shards]
-        self.pairs = [_open(f"{folder}/pairs-{s}.npy") for s in shards]
-        self.pair_counts = [_open(f"{folder}/pair-counts-{s}.npy") for s in shards]
-        self.sums = [_open(p) if os.path.exists(p := f"{folder}/sums-{s}.npy") else np.zeros((4, len(self.counts[s])), np.uint32) for s in shards]
+        none = lambda s: np.zeros(0, np.uint64)
+        self.counts, self.pairs, self.pair_counts = (Shards(folder, name, none) for name in ("counts", "pairs", "pair-counts"))
+        self.sums = Shards(folder, "sums", lambda s: np.zeros((4, len(self.counts[s])), np.uint32))
         self.docs = int(self.counts_of(self.vocabulary.ids(np.array([END_HASH])))[0])
         d1, a = about["d1"], about
         n1, n2 = a["tops1"][:2]
