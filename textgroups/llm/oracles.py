@@ -36,14 +36,16 @@ SELECT doc_id, size, source_size, target, source, fs.first_slot,
 
 def license_sql() -> str:
     names = ", ".join(f"'{s}': '{n}'" for n, s in license_scan.SENTENCES.items())
-    line = "(' ' || array_to_string(ids, ' ') || ' ')"
-    rules = ", ".join(f"CASE WHEN contains({line}, ' {' '.join(q)} ') THEN '{n}' END" for n, q in license_scan.RULES)
+    steps = []
+    for i, (name, ids) in enumerate(license_scan.in_order()):
+        steps.append(f"t{i + 1} AS (SELECT doc_id, ids, replace(line, '{ids}', ' | ') AS line, CASE WHEN contains(line, '{ids}') THEN list_append(found, '{name}') ELSE found END AS found FROM t{i})")
     return f"""
 WITH s AS (SELECT doc_id, list_transform(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\\n\\r]+|[.!?]+[ \\t]+|[.!?]+$'),
   lambda x: rtrim(trim(regexp_replace(x, '{license_scan.NOISE}', ' ', 'g')), ' .')) AS ss FROM documents),
 k AS (SELECT doc_id, list_filter(list_transform(ss, lambda x: map_extract_value(MAP {{{names}}}, x)), lambda i: i IS NOT NULL) AS ids FROM s),
-f AS (SELECT doc_id, ids, list_sort(list_distinct(list_filter([{rules}], lambda x: x IS NOT NULL))) AS found FROM k)
-SELECT doc_id, array_to_string(ids, ' ') AS sentence_ids, array_to_string(found, ',') AS licenses, len(found)::BIGINT AS n_licenses FROM f"""
+t0 AS (SELECT doc_id, ids, ' ' || array_to_string(ids, ' ') || ' ' AS line, []::VARCHAR[] AS found FROM k),
+{", ".join(steps)}
+SELECT doc_id, array_to_string(ids, ' ') AS sentence_ids, array_to_string(list_sort(list_distinct(found)), ',') AS licenses, len(list_distinct(found))::BIGINT AS n_licenses FROM t{len(steps)}"""
 
 
 def sharding_sql() -> str:
