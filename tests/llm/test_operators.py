@@ -234,6 +234,32 @@ def test_token_counts_and_cache(spark, docs, rows, tmp_path, model):
     assert spark.read.parquet(str(tmp_path)).count() == docs.select("text").distinct().count()
 
 
+def test_the_three_ways_of_the_cache(spark, docs, rows, tmp_path, monkeypatch):
+    """Misses sent to the tasks, known rows sent to the tasks, and neither: the same counts."""
+    want = {r["doc_id"]: r["n_tokens"] for r in token_cache.count_tokens(docs).collect()}
+    most = docs.filter("doc_id >= 3")
+    for limit in (0, 10 * token_cache.ROW_BYTES):
+        monkeypatch.setattr(token_cache, "BROADCAST_BYTES", limit)
+        path = str(tmp_path / str(limit))
+        token_cache.count_tokens(most, cache_path=path).collect()
+        assert {r["doc_id"]: r["n_tokens"] for r in token_cache.count_tokens(docs, cache_path=path).collect()} == want
+
+
+def test_hot_source_and_hot_text(spark, docs, rows):
+    """A third of all rows in one source with one text: the mix, the counts and the packing are whole."""
+    hot = spark.range(10_000, 10_000 + len(rows) // 2).select(F.col("id").alias("doc_id"), F.lit(rows[0][1]).alias("text"), F.lit("hot").alias("source"))
+    every = docs.select("doc_id", "text", "source").unionByName(hot)
+    got = mixing.mixture(every).toPandas()
+    by = got.groupby("source").agg(target=("target", "first"), taken=("taken", "sum"))
+    assert (abs(by["target"] - by["taken"]) <= 1).all() and (got["taken"] <= 2 * got["size"]).all()
+    counts = {r["doc_id"]: r["n_tokens"] for r in token_cache.count_tokens(every).collect()}
+    assert len(counts) == every.count() and {counts[10_000 + i] for i in range(len(rows) // 2)} == {counts[rows[0][0]]}
+    pieces = packing.pack(every).toPandas()
+    total = pieces.groupby("doc_id")["length"].sum()
+    assert (total[total.index >= 10_000] == total[rows[0][0]]).all() and len(total) == every.count()
+    assert not pieces.duplicated(["sequence_id", "offset"]).any() and pieces.groupby("sequence_id")["length"].sum().max() <= 4096
+
+
 def test_packing_against_the_tokenizer(spark, docs, rows):
     from tokenizers import Tokenizer
 

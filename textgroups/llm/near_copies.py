@@ -7,12 +7,13 @@ candidates, and every link is verified on the whole sets. Measured on random set
 a chance of 0.95, at 0.85 of 0.99, from 0.9 on nearly always. Two unrelated sets share one of 36 bits with a chance of
 1e-8; for more than 10^9 sets use SEGMENTS = 4, which leaves fewer chance candidates than documents.
 
-In a bucket of more than two different sets all are compared with one of them, then those that stand outside the
-bucket's largest component with another one. What is still outside is compared with all sets of the bucket that are in
-another component, in blocks of sets: a task holds two blocks and gives the links
-it finds, so no row is made for a pair that is none. Pairs within a component need no comparison, so components are those
-of all verified candidates. Work is linear in a large group of close copies; where many of its members stand outside the
-largest component, the comparison of blocks grows with their number times the group's size.
+The tables are gone through in turns. In a bucket that holds more than one component of the links found so far, the sets
+outside its largest component are compared with one set of that, and the links are added; after the first few tables most
+copies are in their component and cost nothing any more. What is outside at the end is compared with all sets of its
+buckets that are in another component, in blocks of sets: a task holds two blocks and gives the links it finds, so no row
+is made for a pair that is none. Pairs within a component need no comparison, so components are those of all verified
+candidates. Work is linear in a large group of close copies; where many of its members stand outside the largest
+component, the comparison of blocks grows with their number times the group's size.
 
 Defined results: a null or empty text, or one without words, has the empty set, and empty sets are linked to each other;
 fewer words than a shingle are one shingle; rows of one set are linked; null ids never become a component id unless all
@@ -22,7 +23,7 @@ ids of the component are null; rows that repeat an id and a text count as one; a
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
-from functools import lru_cache
+from functools import lru_cache, reduce
 
 import numpy as np
 import pandas as pd
@@ -40,6 +41,8 @@ from textgroups.plans.storage import materialise
 
 SHINGLE, SIMILARITY = 5, 0.8
 TABLES, SEGMENTS, PROBES, SEED = 20, 3, 6, 43
+#: Turns in which the tables are gone through; the first one takes a third of what each other one takes.
+TURNS = 4
 #: Sets and characters of a block that is compared with another one, about.
 BLOCK_ROWS, BLOCK_CHARS = 256, 4 << 20
 SLICE_BYTES, _DECODED = 2 << 20, 128
@@ -112,13 +115,18 @@ def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     return materialise(pairs.select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long"), "verified")
 
 
-def _outside(large: DataFrame, edges: DataFrame) -> DataFrame:
-    """(key, fp, comp, main, n) of the buckets that hold more than one component, whose largest one is ``main``."""
-    known = components(edges).withColumnRenamed("node", "fp")
-    members = materialise(large.select("key", "fp").join(known, "fp", "left").select("key", "fp", F.coalesce("comp", "fp").alias("comp")), "members")
-    parts = members.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("n"))
-    main = parts.groupBy("key").agg(F.max_by("comp", F.struct("n", "comp")).alias("main"), F.sum("n").alias("n"), F.count(F.lit(1)).alias("parts"))
-    return materialise(join_lookup(members, materialise(main.filter("parts > 1").drop("parts"), "main"), "key", "n"), "outside")
+def _outside(members: DataFrame, edges: DataFrame | None) -> DataFrame:
+    """(key, fp, comp, main, lead, n) of the buckets of the written ``members(key, fp)`` that hold more than one component:
+    ``main`` is the largest one and ``lead`` a set of it."""
+    if edges is None:
+        held = members.select("key", "fp", F.col("fp").alias("comp"))
+    else:
+        known = components(edges).withColumnRenamed("node", "fp")
+        held = materialise(members.select("key", "fp").join(known.hint("merge"), "fp", "left").select("key", "fp", F.coalesce("comp", "fp").alias("comp")), "held")
+    parts = held.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("lead"))
+    main = parts.groupBy("key").agg(F.max_by(F.struct("comp", "lead"), F.struct("n", "comp")).alias("main"), F.sum("n").alias("n"), F.count(F.lit(1)).alias("parts"))
+    main = main.filter("parts > 1").select("key", "n", F.col("main.comp").alias("main"), F.col("main.lead").alias("lead"))
+    return materialise(join_lookup(held, materialise(main, "main"), "key", "n"), "outside")
 
 
 def _compared(one: list[np.ndarray], two: list[np.ndarray]) -> Iterator[tuple[int, int]]:
@@ -145,6 +153,9 @@ def _by_blocks(outside: DataFrame, texts: DataFrame) -> DataFrame:
     rows = rows.join(texts.select("fp", F.length("text").alias("chars")).hint("merge"), "fp").withColumn("side", F.xxhash64("group", "stray"))
     rows = materialise(rows, "rows")
     parts = rows.groupBy("group", "stray", "side").agg(F.count(F.lit(1)).alias("n"), F.sum("chars").alias("chars"))
+    # Two sets alone have met already.
+    many = parts.groupBy("group").agg(F.sum("n").alias("sets")).filter("sets > 2").select("group")
+    parts = parts.join(many.hint("merge"), "group", "left_semi")
     parts = materialise(parts.withColumn("blocks", F.greatest(F.ceil(F.col("n") / BLOCK_ROWS), F.ceil(F.col("chars") / BLOCK_CHARS)).cast("long")), "parts")
     dealt = join_lookup(rows.select("side", "fp", "comp"), parts.select("side", "n", "blocks"), "side", "n")
     dealt = dealt.select(F.xxhash64("side", F.pmod(F.xxhash64("fp", F.lit(7)), "blocks")).alias("block"), "fp", "comp")
@@ -170,31 +181,35 @@ def _by_blocks(outside: DataFrame, texts: DataFrame) -> DataFrame:
     return materialise(full.groupBy("pair").applyInPandas(run, "a long, b long").distinct(), "block-links")
 
 
-def links(distinct: DataFrame, texts_of: Callable[[DataFrame], DataFrame]) -> DataFrame:
+def _turns(tables: int) -> list[tuple[int, int]]:
+    """(first, past the last) table of each turn."""
+    cuts = sorted({round(tables * x / (3 * TURNS - 2)) for x in (0, *range(1, 3 * TURNS - 1, 3))})
+    return list(zip(cuts, cuts[1:]))
+
+
+def links(distinct: DataFrame, texts_of: Callable[[DataFrame], DataFrame], tables: int = TABLES) -> DataFrame:
     """Edges (a, b) between different sets of the written ``distinct(fp, keys)``; ``texts_of`` adds their texts to sets (fp)."""
-    keys = distinct.select("fp", F.explode("keys").alias("key"))
-    shared = materialise(keys.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("a"), F.max("fp").alias("b")).filter("n > 1"), "shared")
-    more = materialise(shared.filter("n > 2").select("key", "n", F.col("a").alias("least")), "more")
-    large = materialise(join_lookup(keys, more, "key", "n"), "members")
-    pairs = shared.filter("n = 2").select("a", "b").unionByName(large.filter("fp <> least").select(F.col("least").alias("a"), F.col("fp").alias("b")))
-    tried = materialise(pairs.distinct(), "pairs")
-    candidates = tried.select(F.col("a").alias("fp")).unionByName(tried.select(F.col("b").alias("fp"))).distinct()
-    texts = materialise(texts_of(candidates), "texts")
-    edges = verified(tried, texts)
-    if large.isEmpty():
+    edges, tried, buckets, held = None, None, [], None
+    for first, last in _turns(tables):
+        some = F.slice("keys", F.lit(first * PROBES + 1), F.lit((last - first) * PROBES))
+        keys = distinct.select("fp", F.explode(some).alias("key"))
+        shared = keys.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+        members = materialise(join_lookup(keys, materialise(shared, "shared"), "key", "n").select("key", "fp"), "members")
+        buckets.append(members)
+        found = _outside(members, edges).filter("comp <> main")
+        pairs = found.select(F.least("fp", "lead").alias("a"), F.greatest("fp", "lead").alias("b")).distinct()
+        pairs = materialise(pairs if tried is None else pairs.join(tried.hint("merge"), ["a", "b"], "left_anti"), "pairs")
+        sets = pairs.select(F.col("a").alias("fp")).unionByName(pairs.select(F.col("b").alias("fp"))).distinct()
+        fresh = materialise(texts_of(sets if held is None else sets.join(held.select("fp").hint("merge"), "fp", "left_anti")), "texts")
+        held = fresh if held is None else held.unionByName(fresh)
+        good = verified(pairs, held)
+        edges, tried = (good, pairs) if edges is None else (edges.unionByName(good), tried.unionByName(pairs))
+    outside = reduce(DataFrame.unionByName, [_outside(members, edges).select("main", "fp", "comp") for members in buckets])
+    outside = materialise(outside.distinct(), "outside")
+    if outside.isEmpty():
         return edges
-    for turn in range(2):
-        outside = _outside(large, edges)
-        strays = outside.filter("comp <> main")
-        if strays.isEmpty():
-            return edges
-        lead = strays.groupBy("key").agg(F.min_by(F.struct("fp", "comp"), F.xxhash64("fp", F.lit(turn))).alias("lead"), F.any_value("n").alias("n"))
-        pairs = join_lookup(outside.drop("n"), materialise(lead, "lead"), "key", "n").filter("comp <> lead.comp").select("fp", F.col("lead.fp").alias("to"))
-        pairs = pairs.select(F.least("fp", "to").alias("a"), F.greatest("fp", "to").alias("b")).distinct().join(tried.hint("merge"), ["a", "b"], "left_anti")
-        pairs = materialise(pairs, "pairs")
-        edges, tried = edges.unionByName(verified(pairs, texts)), tried.unionByName(pairs)
-    outside = _outside(large, edges)
-    return edges if outside.isEmpty() else edges.unionByName(_by_blocks(outside, texts))
+    sets = outside.select("fp").distinct().join(held.select("fp").hint("merge"), "fp", "left_anti")
+    return edges.unionByName(_by_blocks(outside, held.unionByName(materialise(texts_of(sets), "texts"))))
 
 
 def keep_one(docs: DataFrame, tables: int = TABLES) -> DataFrame:
@@ -209,7 +224,7 @@ def keep_one(docs: DataFrame, tables: int = TABLES) -> DataFrame:
         found = docs.select(text_key(F.col("text")).alias("tx"), "text").join(sized(materialise(wanted, "wanted")), "tx")
         return found.groupBy("fp").agg(F.any_value("text").alias("text"))
 
-    by_set = labels(distinct.drop("keys"), spanning_forest(links(distinct, texts_of)))
+    by_set = labels(distinct.drop("keys"), spanning_forest(links(distinct, texts_of, tables)))
     found = materialise(join_lookup(rows.select("id", "tx", "fp"), by_set, "fp", "n").filter("id is not null"), "found")
     stay = found.filter("id = component_id").groupBy("id", "comp").agg(F.min("tx").alias("tx")).select("id", "tx", F.lit(True).alias("stays"))
     texts = found.groupBy("id", "tx").agg(F.count(F.lit(1)).alias("times")).join(stay.hint("merge"), ["id", "tx"], "left")

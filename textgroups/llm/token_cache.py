@@ -104,7 +104,8 @@ def count_tokens(docs: DataFrame, tokenizer: str | None = None, cache_path: str
     else:
         todo = docs.join(misses.hint("merge"), same, "left_semi")
     cache.append(encode_counts(todo, path))
-    counts = cache.read().dropDuplicates(["digest"])
+    # A batch that was run again may have stored a count twice; only this batch's digests are looked at.
+    counts = cache.read().join(first.select(F.col("_d").alias("digest")), "digest", "left_semi").dropDuplicates(["digest"])
     sized = materialise(first.select(F.col("_d").alias("digest"), "n").join(counts, "digest").withColumnRenamed("digest", "_d"), "counted")
     out = join_lookup(rows, sized, "_d", "n")
     return out.select("doc_id", F.col("_bytes").alias("n_bytes"), "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))
