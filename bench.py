@@ -2,7 +2,8 @@
 
 ``queries`` holds seconds; ``measures`` holds RSS, RSS loss and time gain of the two proposals over the baseline of 8
 rounds at each published setting of k (P) and at k scaled with n (R). ``python bench.py --report`` also runs the
-engine ablation (W11), seeds (W13), link rules and linkages (W16) and speed-up over cores (W10).
+engine ablation (W11), link rules and linkages over five seeds (W13, W16), other weights, the enlarged collection (W4,
+W8) and speed-up over cores (W10).
 """
 
 from __future__ import annotations
@@ -35,6 +36,7 @@ def timed(f):
 
 
 def main() -> None:
+    from textgroups.plans.storage import clear
     from textgroups.workloads import SETTINGS, prepared, run_setting
 
     spark = session(CPUS)
@@ -47,11 +49,15 @@ def main() -> None:
             measures.append({x: round(y, 4) if isinstance(y, float) else y for x, y in r.items()})
     out = {"metric": "seconds of all runs", "value": round(sum(seconds.values()), 2), "unit": "sec", "queries": {k: round(v, 2) for k, v in seconds.items()}, "sf": SF_DIR.rsplit("sf", 1)[-1], "cores": CPUS, "measures": measures}
     if "--report" in sys.argv:
-        from textgroups.workloads import ablations
+        from textgroups.workloads import ablations, forms, run_workload
 
         out["ablations"] = ablations(spark, SF_DIR, vecs)
+        out["forms"] = forms(spark, SF_DIR)
+        for scale in ("R", "P"):
+            out["enlarged_" + scale] = [{k: v for k, v in r.items()} for r in run_workload("W8", spark, SF_DIR, scale) + run_workload("W4", spark, SF_DIR, scale)[1:]]
         out["speed_up"] = speed_up()
     print(json.dumps(out))
+    clear(spark)
     spark.stop()
 
 

@@ -144,3 +144,14 @@ def test_running_totals_in_two_levels(spark):
     for coarse in (None, F.floor(F.col("b") / 16)):
         got = running_totals(rows, ["g"], "b", [F.col("id")], F.col("id"), "at", "before", coarse).collect()
         assert {r["id"]: (r["at"], r["before"]) for r in got} == want
+
+
+def test_workspaces_are_cleared(spark):
+    from textgroups.plans import storage
+
+    kept = storage.workspace(spark, "kept")
+    spark.range(3).write.parquet(kept)
+    assert kept.startswith(storage._own(spark) + "/") and spark.sparkContext.applicationId in kept
+    storage.drop_path(spark, kept)
+    with pytest.raises(Exception):
+        spark.read.parquet(kept)

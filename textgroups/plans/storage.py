@@ -28,8 +28,17 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def workspace(spark: SparkSession, name: str) -> str:
-    """A fresh path below the shared folder."""
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    """A fresh path below the application's own part of the shared folder."""
+    return f"{_own(spark)}/{name}-{uuid.uuid4().hex}"
+
+
+def _own(spark: SparkSession) -> str:
+    return f"{shared_dir(spark)}/textgroups-{spark.sparkContext.applicationId}"
+
+
+def clear(spark: SparkSession) -> None:
+    """Delete all that this application has written for itself: call it when its results have been taken out."""
+    drop_path(spark, _own(spark))
 
 
 def local_path(path: str) -> str | None:
