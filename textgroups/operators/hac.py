@@ -226,7 +226,7 @@ class Node(NamedTuple):
 
 def tree_tops(vecs: Vectors, parts: DataFrame, leaves: int, linkage: str) -> DataFrame:
     """The top of each part's merge tree, with ``leaves`` leaves at most: rows (part, node, left, right, height, size, idx,
-    val) of its nodes with their vectors' sums, and rows (part, node, doc_id) of the documents below its leaves (H7)."""
+    val) of its nodes, leaves with their vectors' sums, and rows (part, node, doc_id) of the documents below (H7)."""
     rows = vecs.packed.join(parts.hint("merge"), "doc_id")
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -236,17 +236,16 @@ def tree_tops(vecs: Vectors, parts: DataFrame, leaves: int, linkage: str) -> Dat
         part, n = int(pdf["part"].iloc[0]), len(pdf)
         merges, _ = agglomerate(_gram(pdf) / UNIT / UNIT, 1, linkage, _dense(pdf) if linkage == "centroid" else None)
         label = cut_tree(merges, n, min(leaves, n))
-        sums: list[dict[int, int]] = [{} for _ in range(label.max() + 1)]
-        for x, idx, val in zip(label.tolist(), pdf["idx"], pdf["val"], strict=True):
-            for t, w in zip(np.asarray(idx).tolist(), np.asarray(val).tolist(), strict=True):
-                sums[x][t] = sums[x].get(t, 0) + w
-        out = [(part, i, -1, -1, 1.0, int((label == i).sum()), *_sorted(x), None) for i, x in enumerate(sums)]
+        kept = int(label.max()) + 1
+        cells = np.concatenate([np.zeros(0, np.int64), *pdf["idx"]]) | np.repeat(label, pdf["idx"].map(len)).astype(np.int64) << 32
+        cell, inverse = np.unique(cells, return_inverse=True)
+        sums = np.bincount(inverse, np.concatenate([np.zeros(0), *pdf["val"]]), len(cell)).astype(np.int64)
+        ends, size = np.searchsorted(cell >> 32, np.arange(kept + 1)), np.bincount(label)
+        out = [(part, i, -1, -1, 1.0, int(size[i]), (cell[a:b] & 0xFFFFFFFF).tolist(), sums[a:b].tolist(), None) for i, (a, b) in enumerate(zip(ends, ends[1:]))]
         at = {int(i): int(label[i]) for i in range(n)}  # node that a cluster's name (its first member) stands for
-        for left, right, height, size in merges[n - len(sums) :]:
-            x, y = at[left], at[right]
-            sums.append({t: sums[x].get(t, 0) + sums[y].get(t, 0) for t in sums[x].keys() | sums[y].keys()})
-            at[left] = len(out)
-            out.append((part, len(out), x, y, float(height), int(size), *_sorted(sums[-1]), None))
+        for left, right, height, count in merges[n - kept :]:
+            x, y, at[left] = at[left], at[right], len(out)
+            out.append((part, len(out), x, y, float(height), int(count), None, None, None))
         out += [(part, int(x), None, None, None, None, None, None, int(d)) for x, d in zip(label, pdf["doc_id"], strict=True)]
         frame = pd.DataFrame(out, columns=["part", "node", "left", "right", "height", "size", "idx", "val", "doc_id"])
         return frame.astype({c: "Int64" for c in ("left", "right", "size", "doc_id")})
@@ -254,9 +253,20 @@ def tree_tops(vecs: Vectors, parts: DataFrame, leaves: int, linkage: str) -> Dat
     return rows.groupBy("part").applyInPandas(run, "part long, node long, left long, right long, height double, size long, idx array<int>, val array<long>, doc_id long")
 
 
-def _sorted(sums: dict[int, int]) -> tuple[list[int], list[int]]:
-    terms = sorted(sums)
-    return terms, [sums[t] for t in terms]
+def trees_of(nodes: pa.Table) -> dict[int, list[Node]]:
+    """The parts' trees from the rows of ``tree_tops``, in the order of part and node; an inner node's vector is the sum of
+    its halves."""
+    trees: dict[int, list[Node]] = {}
+    for r in nodes.drop(["idx", "val"]).append_column("at", pa.array(np.arange(nodes.num_rows))).to_pylist():
+        tree = trees.setdefault(r["part"], [])
+        if r["left"] < 0:
+            idx, val = (nodes.column(c)[r["at"]].values.to_numpy(zero_copy_only=False).astype(np.int64) for c in ("idx", "val"))
+        else:
+            x, y = tree[r["left"]], tree[r["right"]]
+            idx, inverse = np.unique(np.concatenate([x.idx, y.idx]), return_inverse=True)
+            val = np.bincount(inverse, np.concatenate([x.val, y.val]), len(idx)).astype(np.int64)
+        tree.append(Node(r["left"], r["right"], r["height"], r["size"], idx, val))
+    return trees
 
 
 def align_trees_down(trees: dict[int, list[Node]], k: int, v: int) -> dict[tuple[int, int], int]:
@@ -290,17 +300,19 @@ def align_trees_down(trees: dict[int, list[Node]], k: int, v: int) -> dict[tuple
                 held[side][trees[p][at].idx] += trees[p][at].val
         return sides
 
-    def height(members: dict[int, int]) -> float | None:
+    def weakness(members: dict[int, int]) -> float | None:
         inner = [trees[p][x] for p, x in members.items() if trees[p][x].left >= 0]
         return round(sum(n.height * n.size for n in inner) / sum(n.size for n in inner), 9) if inner else None
 
     clusters = [{p: len(t) - 1 for p, t in sorted(trees.items())}] if trees else []
+    heights = [weakness(c) for c in clusters]
     while len(clusters) < k:
-        open_ = [(h, i) for i, c in enumerate(clusters) if (h := height(c)) is not None]
+        open_ = [(h, i) for i, h in enumerate(heights) if h is not None]
         if not open_:
             break
         i = min(open_)[1]
-        clusters[i : i + 1] = split(clusters[i])
+        halves = split(clusters[i])
+        clusters[i : i + 1], heights[i : i + 1] = halves, map(weakness, halves)
     out = {}
     for c, members in enumerate(clusters):
         for p, x in members.items():
@@ -331,9 +343,7 @@ def parthac(vecs: Vectors, sample: DataFrame, k: int, parts: int, linkage: str =
     nodes = found.filter("doc_id is null")
     if (cells := nodes.agg(F.sum(F.size("idx"))).first()[0] or 0) * 12 > MATRIX_BYTES:
         raise ValueError(f"{cells} cells of tree nodes are too many for the driver: use fewer parts")
-    trees: dict[int, list[Node]] = {}
-    for r in nodes.orderBy("part", "node").collect():  # of a checked size
-        trees.setdefault(r["part"], []).append(Node(r["left"], r["right"], r["height"], r["size"], np.array(r["idx"], np.int64), np.array(r["val"], np.int64)))
+    trees = trees_of(nodes.drop("doc_id").orderBy("part", "node").toArrow())  # of a checked size
     table = [(int(p), int(x), c) for (p, x), c in align_trees_down(trees, k, vecs.v).items()]
     of = vecs.packed.sparkSession.createDataFrame(table, "part long, node long, cluster_id long")
     return found.filter("doc_id is not null").join(F.broadcast(of), ["part", "node"]).select("doc_id", "cluster_id"), None
