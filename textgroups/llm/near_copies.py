@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from textgroups.llm.rows import keep_unmarked, sized, text_key
 from textgroups.llm.simhash import SEGMENT_BITS, bit_sums, labels, soft_keys
-from textgroups.llm.words import as_text, slices
+from textgroups.llm.words import as_text, let_go, slices
 from textgroups.operators.components import components, spanning_forest
 from textgroups.plans.skew import join_lookup
 from textgroups.plans.storage import materialise
@@ -94,6 +94,7 @@ def prints(docs: DataFrame, tables: int = TABLES) -> DataFrame:
                 ends = np.concatenate([[0], np.cumsum([tables * PROBES if len(s) else 0 for s in sets])]).astype(np.int32)
                 keys = pa.ListArray.from_arrays(ends, pa.array(fuzzy_keys(some, tables).ravel()))
                 yield pa.record_batch([batch.column("id"), batch.column("tx"), pa.array(fp.view(np.int64)), keys], names=["id", "tx", "fp", "keys"])
+        let_go()
 
     return rows.mapInArrow(run, "id long, tx long, fp long, keys array<long>")
 
@@ -106,6 +107,7 @@ def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
         for batch in batches:
             good = pa.array([similar(held(x.as_py()), held(y.as_py())) for x, y in zip(as_text(batch.column("text_a")), as_text(batch.column("text_b")))], pa.bool_())
             yield batch.select(["a", "b"]).filter(good)
+        let_go()
 
     for side in ("b", "a"):
         uses = pairs.groupBy(side).agg(F.count(F.lit(1)).alias("n"))

@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from textgroups.llm.rows import keep_unmarked, text_key
-from textgroups.llm.words import as_text, combine, hash_strings, slices, split_words
+from textgroups.llm.words import as_text, combine, hash_strings, let_go, slices, split_words
 from textgroups.plans.storage import materialise
 
 WINDOW = 8
@@ -133,6 +133,7 @@ def _measured(docs: DataFrame) -> DataFrame:
             for part in slices(batch, "text", MEASURE_BYTES):
                 got = measure(as_text(part.column("text")))
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("tx"), *[pa.array(got[m].astype(np.int64)) for m in MEASURES]], names=["doc_id", "tx", *MEASURES])
+        let_go()
 
     return rows.mapInArrow(run, "doc_id long, tx long, " + ", ".join(f"{m} long" for m in MEASURES))
 
