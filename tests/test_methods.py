@@ -10,7 +10,7 @@ from textgroups.operators import assign, hac, metrics, related
 from textgroups.operators.assign import Totals, assign_nearest, totals, unit, vectors_of
 from textgroups.operators.components import SCHEMES, components
 from textgroups.operators.lloyd import lloyd
-from textgroups.operators.microgroup import Links, count_groups, exact_threshold, group, initial_threshold, link_by_rank, link_edges, micro_similarity, microgroup, threshold_search
+from textgroups.operators.microgroup import Links, choose_groups, count_groups, exact_threshold, group, initial_threshold, link_by_rank, link_edges, micro_similarity, microgroup, threshold_search
 from textgroups.operators.sampleseed import sampleseed
 from textgroups.operators.sampling import draw_sample, everything, pick_centers, random_parts, sample_size
 from textgroups.plans.storage import materialise
@@ -49,6 +49,14 @@ def test_links_of_worked_example():
     assert group(links, link_edges(links, 0.30, strict=True), 4, "closure").tolist() == [0, 1, 1, 2]
 
 
+def test_rank_cuts_the_order_where_a_threshold_reaches_k():
+    low, links = g1()
+    exact, info = choose_groups(links, low, 3, "first", "exact", "rank")
+    assert exact.tolist() == [0, 1, 1, 2] and info["policy_used"] == "threshold"
+    ranked, info = choose_groups(links, low, 3, "first", "rank", "rank")
+    assert ranked.tolist() == [0, 0, 1, 2] and (info["policy_used"], info["groups_literal"], info["k_reached"]) == ("rank", 3, True)
+
+
 def test_micro_similarity_matches_formula():
     rng = np.random.default_rng(1)
     c = unit(rng.random((12, 6)))
