@@ -127,6 +127,18 @@ def test_spanning_tree_cut_is_threshold_graph(spark, points):
     assert len(set(zip(labels.values(), (comp[i] for i in labels)))) == 5 == len(set(comp.values()))
 
 
+def test_centroid_linkage_needs_no_vectors():
+    rng = np.random.default_rng(6)
+    x = unit(rng.random((8, 14))) / UNIT
+    clusters = {i: [i] for i in range(14)}
+    while len(clusters) > 4:
+        mean = {c: x[:, m].sum(axis=1) for c, m in clusters.items()}
+        _, a, b = min((-round(mean[a] @ mean[b] / np.sqrt((mean[a] @ mean[a]) * (mean[b] @ mean[b])), 12), a, b) for a in clusters for b in clusters if a < b)
+        clusters[a] += clusters.pop(b)
+    _, labels = hac.agglomerate(x.T @ x, 4, "centroid")
+    assert sorted(map(sorted, clusters.values())) == sorted(np.flatnonzero(labels == c).tolist() for c in range(4))
+
+
 @pytest.mark.parametrize("k", [1, 7, 40])
 def test_one_task_seeding_is_the_spanning_tree_of_parts(vecs, k):
     drawn = materialise(draw_sample(vecs.packed.select("doc_id"), 40))
