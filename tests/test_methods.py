@@ -127,6 +127,20 @@ def test_spanning_tree_cut_is_threshold_graph(spark, points):
     assert len(set(zip(labels.values(), (comp[i] for i in labels)))) == 5 == len(set(comp.values()))
 
 
+def test_density_start_holds_no_matrix_of_the_sample(vecs, monkeypatch):
+    sample = draw_sample(vecs.packed.select("doc_id"), sample_size(vecs.n, 5))
+    x = vectors_of(vecs, sample.select(F.col("rk").alias("center_id"), "doc_id"))
+    gram = x.T @ x / UNIT / UNIT
+    picked, nearest = [], np.zeros(len(gram))
+    for _ in range(5):
+        value = np.round(gram.sum(axis=0) * (1 - nearest), 9)
+        value[picked] = -np.inf
+        picked.append(int(value.argmax()))
+        nearest = np.maximum(nearest, gram[picked[-1]])
+    monkeypatch.setattr(assign, "MATRIX_BYTES", 5 * vecs.v * 8)  # the five centres and no more
+    assert np.array_equal(related.seed_centers(vecs, 5, "density"), x[:, picked])
+
+
 def test_centroid_linkage_needs_no_vectors():
     rng = np.random.default_rng(6)
     x = unit(rng.random((8, 14))) / UNIT
