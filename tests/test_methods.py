@@ -153,6 +153,21 @@ def test_centroid_linkage_needs_no_vectors():
     assert sorted(map(sorted, clusters.values())) == sorted(np.flatnonzero(labels == c).tolist() for c in range(4))
 
 
+@pytest.mark.parametrize("scheme", SCHEMES)
+def test_threshold_components_write_no_pairs(spark, points, scheme, monkeypatch):
+    monkeypatch.setattr(hac, "BLOCK_ROWS", -(-points.n // 3))
+    info: dict = {}
+    got = {r["node"]: r["comp"] for r in hac.threshold_components(points, 0.4, scheme, info).collect()}
+    rows = sorted((r["doc_id"], r["val"]) for r in points.packed.collect())
+    ids, x = np.array([r[0] for r in rows]), np.array([r[1] for r in rows], np.int64)
+    linked = (x @ x.T >= 0.4 * UNIT * UNIT) | np.eye(len(x), dtype=bool)
+    want = ids
+    for _ in ids:
+        want = np.where(linked, want, 1 << 60).min(axis=1)
+    assert got == dict(zip(ids.tolist(), want.tolist())) and 1 < len(set(want)) < len(ids)
+    assert info["messages"] < len(x) ** 2 / 8
+
+
 @pytest.mark.parametrize("k", [1, 7, 40])
 def test_one_task_seeding_is_the_spanning_tree_of_parts(vecs, k):
     drawn = materialise(draw_sample(vecs.packed.select("doc_id"), 40))
