@@ -10,7 +10,7 @@ from textgroups.operators import assign, hac, metrics, related
 from textgroups.operators.assign import Totals, assign_nearest, totals, unit, vectors_of
 from textgroups.operators.components import SCHEMES, components
 from textgroups.operators.lloyd import lloyd
-from textgroups.operators.microgroup import Links, choose_groups, count_groups, exact_threshold, group, initial_threshold, link_by_rank, link_edges, micro_similarity, microgroup, threshold_search
+from textgroups.operators.microgroup import Links, MicroTable, build, choose_groups, count_groups, exact_threshold, group, initial_threshold, link_by_rank, link_edges, micro_similarity, microgroup, regroup, rss_of, threshold_search
 from textgroups.operators.sampleseed import sampleseed
 from textgroups.operators.sampling import draw_sample, everything, pick_centers, random_parts, sample_size
 from textgroups.plans.storage import materialise
@@ -127,6 +127,21 @@ def test_spanning_tree_cut_is_threshold_graph(spark, points):
     assert len(set(zip(labels.values(), (comp[i] for i in labels)))) == 5 == len(set(comp.values()))
 
 
+def test_micro_clusters_where_no_matrix_fits(spark, vecs, monkeypatch):
+    one = build(vecs, 30)
+    want = rss_of(vecs, regroup(vecs, one, 6).centers)
+    monkeypatch.setattr(assign, "MATRIX_BYTES", 29 * vecs.v * 8)
+    many = build(vecs, 30)
+    assert isinstance(many, MicroTable) and many.m == one.m and many.rss == pytest.approx(one.rss)
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    assert rows(one.head(spark)) == rows(many.head(spark)) and rows(one.sums(spark)) == rows(many.sums(spark))
+    assert all(np.array_equal(x, y) for x, y in zip(one.links(), many.links()))
+    got = regroup(vecs, many, 6)
+    assert rss_of(vecs, got.centers) == pytest.approx(want)
+    monkeypatch.setattr(assign, "MATRIX_BYTES", 5 * vecs.v * 8)
+    assert rss_of(vecs, got.centers) == pytest.approx(want)
+
+
 def test_density_start_holds_no_matrix_of_the_sample(vecs, monkeypatch):
     sample = draw_sample(vecs.packed.select("doc_id"), sample_size(vecs.n, 5))
     x = vectors_of(vecs, sample.select(F.col("rk").alias("center_id"), "doc_id"))
