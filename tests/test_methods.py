@@ -144,6 +144,17 @@ def test_micro_clusters_where_no_matrix_fits(spark, vecs, monkeypatch):
     assert not isinstance(got.centers, np.ndarray) and rss_of(vecs, got.centers) == pytest.approx(want)
 
 
+def test_dense_pairs_by_blocks(spark, small, monkeypatch):
+    monkeypatch.setattr(hac, "PAIR_ROWS", 20)
+    e = load(spark, small, "embeddings").filter("label = 3")
+    x = {r["vec_id"]: np.array(r["embedding"], float) for r in e.collect()}
+    none = e.limit(1).select(F.lit(-1).cast("long").alias("vec_id"), F.lit(None).cast("array<float>").alias("embedding"))
+    got = {(r["a"], r["b"]): r["cos"] for r in hac.dense_pairs(e.select("vec_id", "embedding").unionByName(none), "vec_id", "embedding").collect()}
+    assert [got.pop((-1, a)) for a in x] == [None] * len(x)
+    assert set(got) == {(a, b) for a in x for b in x if a < b} and len(x) > 40
+    assert all(c == pytest.approx(x[a] @ x[b] / np.sqrt((x[a] @ x[a]) * (x[b] @ x[b]))) for (a, b), c in got.items())
+
+
 def test_density_start_holds_no_matrix_of_the_sample(vecs, monkeypatch):
     sample = draw_sample(vecs.packed.select("doc_id"), sample_size(vecs.n, 5))
     x = vectors_of(vecs, sample.select(F.col("rk").alias("center_id"), "doc_id"))
