@@ -87,6 +87,7 @@ def schedule(targets: DataFrame, block: int = BLOCK_WORDS) -> DataFrame:
     cells = ends.withColumn("cell", F.explode(F.sequence(F.floor(F.col("low") * CELLS), F.least(F.floor(F.col("high") * CELLS), F.lit(CELLS - 1)))))
     hit = points.join(cells, "cell").filter("u >= low and u < high").select("k", "_src", "blocks", "words", F.floor(F.col("k") / BUCKET_ROWS).alias("_b"))
     ranked = running_totals(hit, ["_src"], "_b", [F.col("k")], F.lit(0), "rank", "_zero", F.floor(F.col("_b") / BUCKET_ROWS)).filter("rank < blocks").select(F.col("k").alias("slot"), "_src", "rank", "words")
+    ranked = materialise(ranked, "ranked")
     got = ranked.groupBy("_src").agg(F.count(F.lit(1)).alias("got"))
     short = ends.join(got, "_src", "left").withColumn("got", F.coalesce("got", F.lit(0))).filter("got < blocks")
     # The points miss a source's share by a few blocks at most (their discrepancy), so few are numbered here.
@@ -100,18 +101,19 @@ def mix_blocks(docs: DataFrame, block: int = BLOCK_WORDS) -> DataFrame:
     """Pieces of documents with the slot that takes them.
 
     (doc_id, source, size, source_size, target, place, slot, rank, pass, first, words): ``words`` words of the document
-    from its word ``first`` on stand in this slot; a document that no slot takes has one row with ``words`` 0.
+    from its word ``first`` on stand in this slot; a document that no slot takes has one row with ``words`` 0. Lines and
+    slots are written on the way: in one plan the driver holds every exchange of both, twice over, at once.
     """
     sizes = materialise(docs.select(F.col("doc_id").cast("long"), F.col("source").cast("string"), word_count(F.col("text")).alias("size")), "sizes")
     targets = materialise(source_targets(sizes), "targets")
     keyed = targets.withColumn("_src", source_key(F.col("source"))).drop("source")
-    placed = lines(sizes).join(F.broadcast(keyed) if targets.count() <= 100_000 else keyed, "_src")
+    placed = materialise(lines(sizes), "lines").join(F.broadcast(keyed) if targets.count() <= 100_000 else keyed, "_src")
     repeats = placed.withColumn("pass", F.explode(F.sequence(F.lit(0), F.lit(CAP - 1))))
     begin = F.col("start") + F.col("pass") * F.col("source_size")
     upto = F.least(begin + F.col("size"), F.floor("target"))
     repeats = repeats.withColumn("begin", begin).withColumn("upto", upto).withColumn("rank", F.when(F.col("begin") < F.col("upto"), F.sequence(F.floor(F.col("begin") / block), F.floor((F.col("upto") - 1) / block))))
     pieces = repeats.filter("rank is not null").withColumn("rank", F.explode("rank"))
-    wanted = schedule(targets, block).withColumnRenamed("words", "slot_words")
+    wanted = materialise(schedule(targets, block).withColumnRenamed("words", "slot_words"), "slots")
     taken = pieces.join(wanted, ["_src", "rank"], "left")
     from_word = F.greatest(F.col("begin"), F.col("rank") * block)
     to_word = F.least(F.col("upto"), F.col("rank") * block + F.coalesce("slot_words", F.lit(0)))
@@ -137,6 +139,7 @@ def mixed_documents(docs: DataFrame, block: int = BLOCK_WORDS) -> DataFrame:
     """
     times = mixture(docs, block).filter("size > 0").select("doc_id", "source", "size", F.floor(F.col("taken") / F.col("size") + 0.5).cast("int").alias("times"))
     times = times.groupBy("doc_id", "source", "size").agg(F.sum("times").alias("times"), F.count(F.lit(1)).alias("rows")).filter("times > 0")
+    times = materialise(times, "times")
     rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("id"), F.col("source").cast("string").alias("src"), word_count(F.col("text")).alias("words"))
     joined = rows.join(times.hint("merge"), rows["id"].eqNullSafe(times["doc_id"]) & rows["src"].eqNullSafe(times["source"]) & (rows["words"] == times["size"]))
     each = F.ceil(F.col("times") / F.col("rows")).cast("int")  # equal rows share what the mix takes of them
