@@ -13,6 +13,7 @@ from textgroups.operators.lloyd import lloyd
 from textgroups.operators.microgroup import Links, MicroTable, build, choose_groups, count_groups, exact_threshold, group, initial_threshold, link_by_rank, link_edges, micro_similarity, microgroup, regroup, rss_of, threshold_search
 from textgroups.operators.sampleseed import sampleseed
 from textgroups.operators.sampling import draw_sample, everything, pick_centers, random_parts, sample_size
+from textgroups.plans.audit import plan_uses
 from textgroups.plans.storage import materialise
 from textgroups.queries import PUBLISHED
 from textgroups.sources.tables import load, replicate
@@ -196,6 +197,45 @@ def test_threshold_components_write_no_pairs(spark, points, scheme, monkeypatch)
     assert info["messages"] < len(x) ** 2 / 8
 
 
+def test_threshold_components_deal_no_copies(spark, points, monkeypatch):
+    """Blocks meet in tasks that read the written tiles: no exchange of points, which was one copy a block."""
+    seen = []
+    met = hac._met_tiles
+    monkeypatch.setattr(hac, "BLOCK_ROWS", -(-points.n // 5))
+    monkeypatch.setattr(hac, "_TILE_BYTES", 4 * points.v * 7)
+    monkeypatch.setattr(hac, "_met_tiles", lambda tiles: seen.append(met(tiles)) or seen[-1])
+    few = {r["node"]: r["comp"] for r in hac.threshold_components(points, 0.4, "full_exchange").collect()}
+    assert len(seen) == 1 and plan_uses(seen[0], "CartesianProduct") and not plan_uses(seen[0], "Exchange")
+    monkeypatch.setattr(hac, "BLOCK_ROWS", points.n)
+    assert few == {r["node"]: r["comp"] for r in hac.threshold_components(points, 0.4).collect()} and len(seen) == 1
+
+
+def test_links_between_blocks_are_exact(spark, monkeypatch):
+    """Products of 2^39 - 1 and 2^39, which single precision cannot tell apart; only the second is half of 2^40."""
+    monkeypatch.setattr(hac, "BLOCK_ROWS", 1)
+    ids = sorted(r["id"] for r in spark.range(100).groupBy(F.pmod(F.xxhash64("id"), F.lit(4))).agg(F.min("id").alias("id")).collect())
+    one, half = 1 << 20, 1 << 19
+    rows = [[one, 1, 0, 0], [half - 1, one - 1, 0, 0], [0, 0, one, 1], [0, 0, half - 1, one]]
+    packed = spark.createDataFrame([(i, [0, 1, 2, 3], x) for i, x in zip(ids, rows, strict=True)], "doc_id long, idx array<int>, val array<long>")
+    got = {r["node"]: r["comp"] for r in hac.threshold_components(Vectors(packed, None, 4, 4), 0.5, "full_exchange").collect()}
+    assert got == {ids[0]: ids[0], ids[1]: ids[1], ids[2]: ids[2], ids[3]: ids[2]}
+
+
+def test_full_exchange_of_large_components(spark):
+    """A path, a star, a clique and chained stars: messages grow with the links, not with the square of a component."""
+    path = [(i, i + 1) for i in range(600)]
+    star = [(1000, i) for i in range(1001, 1400)]
+    clique = [(a, b) for a in range(2000, 2040) for b in range(a + 1, 2040)]
+    chain = [(3000 + 50 * k, 3000 + 50 * k + i) for k in range(12) for i in range(1, 51)]
+    far = [(9_007, 9_001), (9_001, 9_003), (-5, 9_003)]
+    edges = path + star + clique + chain + far
+    info: dict = {}
+    got = {r["node"]: r["comp"] for r in components(spark.createDataFrame(edges, "a long, b long"), "full_exchange", info=info).collect()}
+    low = [0, 1000, 2000, 3000, -5]
+    assert got == {x: r for part, r in zip((path, star, clique, chain, far), low, strict=True) for e in part for x in e}
+    assert info["messages"] < 60 * len(edges) and info["rounds"] < 40
+
+
 @pytest.mark.parametrize("k", [1, 7, 40])
 def test_one_task_seeding_is_the_spanning_tree_of_parts(vecs, k):
     drawn = materialise(draw_sample(vecs.packed.select("doc_id"), 40))
